@@ -112,19 +112,29 @@ def _combine(w: np.ndarray, k: int) -> np.ndarray:
     return mix(h + np.uint64(k))
 
 
-def windows(texts: list[bytes], k: int, lower: bool = False, whole_if_short: bool = False) -> Iterator[tuple[np.ndarray, int]]:
-    """For each text: the hashes of its k-word windows in order, and its number of words.
+def window_arrays(texts: list[bytes], k: int, lower: bool = False, whole_if_short: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of all k-word windows, text after text; where each text's begin; words of each text; all words' hashes.
 
-    ``whole_if_short``: a text with 1 to k-1 words has one window, all of its words.
+    The second has one more entry for the end. ``whole_if_short``: a text with 1 to k-1 words has one window, all of
+    its words.
     """
     data, at = joined(texts)
     w, starts, _ = words(data, lower)
-    h = _combine(w, k)
     cut = np.searchsorted(starts, at)
-    for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
-        if b - a >= k:
-            yield h[a : b - k + 1], b - a
-        elif whole_if_short and b > a:
-            yield _combine(w[a:b], b - a), b - a
-        else:
-            yield h[:0], b - a
+    n = np.diff(cut)
+    h = _combine(w, k)
+    size = np.maximum(n - k + 1, 0)
+    begin = np.concatenate([[0], np.cumsum(size)])
+    h = h[np.arange(begin[-1]) + np.repeat(cut[:-1] - begin[:-1], size)]
+    if whole_if_short and len(short := np.flatnonzero((n > 0) & (n < k))):
+        h = np.insert(h, begin[short], [_combine(w[cut[i] : cut[i + 1]], int(n[i]))[0] for i in short])
+        size[short] = 1
+        begin = np.concatenate([[0], np.cumsum(size)])
+    return h, begin, n, w
+
+
+def windows(texts: list[bytes], k: int, lower: bool = False, whole_if_short: bool = False) -> Iterator[tuple[np.ndarray, int]]:
+    """For each text: the hashes of its k-word windows in order, and its number of words."""
+    h, begin, n, _ = window_arrays(texts, k, lower, whole_if_short)
+    for a, b, m in zip(begin[:-1].tolist(), begin[1:].tolist(), n.tolist(), strict=True):
+        yield h[a:b], m
