@@ -66,8 +66,9 @@ def components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
         out = j.filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")) if large else j.select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
         return out.filter("u <> v").distinct()
 
+    edges = stage(edges.select("u", "v").filter("u <> v").distinct(), "cc")
     nodes = both(edges).select(F.col("u").alias("node")).distinct()
-    e, seen = stage(edges.select("u", "v").filter("u <> v").distinct(), "cc"), None
+    e, seen = edges, None
     for _ in range(max_rounds):
         e = stage(star(both(star(both(e), True)), False), "cc")
         key = e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from provgraph.llm.common import components, stage
 from provgraph.llm.wordkernel import batches, window_arrays
 
-GROUPS = 64
+GROUPS = 128
 REGION = np.uint64(3 << 61)  # n-grams below this hash are counted over all documents when the order is made
 _U64 = np.uint64
 
@@ -132,7 +132,7 @@ def signatures(df: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int,
                     order = s
                 prefix.append(order[:p].tobytes())
                 v = np.bincount((s & _U64(GROUPS - 1)).astype(np.int64), minlength=GROUPS)
-                vec.append(v.astype(np.uint16 if len(s) < 1 << 16 else np.uint32).tobytes())
+                vec.append(v.astype(np.uint8 if v.max() < 256 else np.uint32).tobytes())
             yield pa.RecordBatch.from_arrays([b.column("i"), pa.array(n, pa.int32()), pa.array(node, pa.int64()), pa.array(prefix, pa.binary()), pa.array(vec, pa.binary())], ["id", "n", "node", "prefix", "vec"])
 
     kind = df.schema[id_col].dataType.simpleString()
@@ -203,27 +203,75 @@ def tree_join(n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, le
 
 
 def _vectors(raw: list[bytes]) -> np.ndarray:
-    return np.array([np.frombuffer(x, np.uint16 if len(x) == 2 * GROUPS else np.uint32) for x in raw], np.int32).reshape(-1, GROUPS)
+    return np.array([np.frombuffer(x, np.uint8 if len(x) == GROUPS else np.uint32) for x in raw], np.int32).reshape(-1, GROUPS)
 
 
-def cross_pairs(mixed: DataFrame, percent: int, rows_per_task: int = 50_000) -> DataFrame:
-    """Candidate pairs (a, b) of different roots, from rows (token, node, root, n, vec)."""
-    tasks = max(16, mixed.count() // rows_per_task)
+def _small_blocks(sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All index pairs i < j within consecutive blocks of these sizes."""
+    end = np.repeat(np.cumsum(sizes), sizes)
+    later = end - np.arange(len(end)) - 1
+    left = np.repeat(np.arange(len(end)), later)
+    return left, left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(later) - later, later)
+
+
+def block_pairs(token: np.ndarray, n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs that share a token, differ in root, and may have the overlap they need. Blocks that would be one leaf skip the tree."""
+    order = np.argsort(token, kind="stable")
+    cut = np.flatnonzero(np.concatenate(([True], token[order][1:] != token[order][:-1], [True])))
+    size = np.diff(cut)
+    left, right = [], []
+    for s, e in zip(cut[:-1][size > leaf], cut[1:][size > leaf], strict=True):
+        own = order[s:e]
+        x, y = tree_join(n[own], vec[own], root[own], percent, leaf)
+        left.append(own[x])
+        right.append(own[y])
+    small = np.flatnonzero(size <= leaf)
+    for at in range(0, len(small), 4096):
+        part = small[at : at + 4096]
+        own = order[np.concatenate([np.arange(cut[i], cut[i + 1]) for i in part])]
+        i, j = _small_blocks(size[part])
+        x, y = own[i], own[j]
+        ok = (root[x] != root[y]) & (100 * np.minimum(n[x], n[y]).astype(np.int64) >= percent * np.maximum(n[x], n[y]))
+        x, y = x[ok], y[ok]
+        ok = np.concatenate([np.minimum(vec[x[k : k + 50_000]], vec[y[k : k + 50_000]]).sum(1) for k in range(0, len(x), 50_000)] or [np.zeros(0)]) >= need(n[x], n[y], percent)
+        left.append(x[ok])
+        right.append(y[ok])
+    none = np.zeros(0, np.int64)
+    return (np.concatenate(left), np.concatenate(right)) if left else (none, none)
+
+
+def cross_pairs(mixed: DataFrame, tasks: int, percent: int, thin: bool) -> DataFrame:
+    """Candidate pairs (a, b) of different roots, from rows (token, node, root, n, vec); ``thin``: each node's likeliest alone."""
 
     def join(t: pa.Table) -> pa.Table:
         token, node, n, root = (t.column(c).to_numpy() for c in ("token", "node", "n", "root"))
-        vec, order = _vectors(t.column("vec").to_pylist()), np.argsort(token, kind="stable")
-        cut = np.flatnonzero(np.concatenate(([True], token[order][1:] != token[order][:-1], [True])))
-        found: set[tuple[int, int]] = set()
-        for s, e in zip(cut[:-1], cut[1:], strict=True):
-            own = order[s:e]
-            x, y = tree_join(n[own], vec[own], root[own], percent)
-            p, q = node[own[x]], node[own[y]]
-            found.update(zip(np.minimum(p, q).tolist(), np.maximum(p, q).tolist(), strict=True))
-        pairs = list(found)
-        return pa.table({"a": pa.array([p for p, _ in pairs], pa.int64()), "b": pa.array([q for _, q in pairs], pa.int64())})
-
-    return mixed.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long").distinct()
+        vec = _vectors(t.column("vec").to_pylist())
+        x, y = block_pairs(token, n, vec, root, percent)
+        p, q = np.minimum(node[x], node[y]), np.maximum(node[x], node[y])
+        order = np.lexsort((q, p))
+        order = order[np.concatenate(([True], (p[order][1:] != p[order][:-1]) | (q[order][1:] != q[order][:-1])))] if len(order) else order
+        x, y, p, q = x[order], y[order], p[order], q[order]
+        score = np.concatenate([np.minimum(vec[x[k : k + 50_000]], vec[y[k : k + 50_000]]).sum(1) for k in range(0, len(x), 50_000)] or [np.zeros(0, np.int64)]) / np.maximum(need(n[x], n[y], percent), 1)
+        if thin and len(p):
+            ends = np.concatenate([p, q])
+            by = np.lexsort((np.concatenate([score, score]), ends))
+            top = by[np.concatenate((ends[by][1:] != ends[by][:-1], [True]))] % len(p)
+            keep = np.unique(top)
+            p, q, score = p[keep], q[keep], score[keep]
+        return pa.table({"a": pa.array(p, pa.int64()), "b": pa.array(q, pa.int64()), "score": pa.array(score, pa.float64())})
+
+    pairs = mixed.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long, score double")
+    if not thin:
+        return pairs.select("a", "b").distinct()
+    pairs = pairs.groupBy("a", "b").agg(F.max("score").alias("score"))
+    return _likeliest(pairs)
+
+
+def _likeliest(pairs: DataFrame) -> DataFrame:
+    """Of pairs (a, b, score), each node's best one."""
+    one = pairs.groupBy("a").agg(F.max_by("b", F.struct("score", "b")).alias("b")).select("a", "b")
+    other = pairs.groupBy("b").agg(F.max_by("a", F.struct("score", "a")).alias("a")).select("a", "b")
+    return one.union(other).distinct()
 
 
 def verify(pairs: DataFrame, df: DataFrame, k: int, percent: int, text_col: str, most: int = 1 << 21) -> DataFrame:
@@ -268,7 +316,7 @@ def verify(pairs: DataFrame, df: DataFrame, k: int, percent: int, text_col: str,
     return stage(both.mapInArrow(hold, "a long, b long"), "links")
 
 
-def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text", thin_rounds: int = 2) -> DataFrame:
     """(id_col, n_shingles, component_id) of each row; component_id is the smallest identifier that links reach.
 
     Null and empty texts have no shingles and no links. Rows with one set of shingles are linked, whatever their
@@ -280,17 +328,18 @@ def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str =
     sig = stage(signatures(df, hot, k, percent, bits, id_col, text_col), "signatures")
     met = stage(blocks(sig, bits, percent), "blocks")
     # 1. each node's likeliest neighbour, by the number of blocks in which they are neighbours
-    near = met.filter("b is not null").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"))
-    best = near.groupBy("a").agg(F.max_by("b", F.struct("n", "b")).alias("b")).union(near.groupBy("b").agg(F.max_by("a", F.struct("n", "a"))).select(F.col("max_by(a, struct(n, a))"), "b")).distinct()
-    links = verify(stage(best, "pairs"), df, k, percent, text_col)
+    near = met.filter("b is not null").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("score"))
+    links = verify(stage(_likeliest(near), "pairs"), df, k, percent, text_col)
     roots = stage(components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")
-    # 2. across the components that a block still holds
-    held = met.filter("b is null").select("token", F.col("a").alias("node")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    mixed = held.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("token")
+    # 2. across the components that a block still holds: likeliest pairs first, then every one that is left
     info = sig.filter("n > 0").select("node", "n", "vec").dropDuplicates(["node"])
-    mixed = stage(held.join(mixed, "token", "left_semi").join(info, "node").select("token", "node", "root", "n", "vec"), "mixed")
-    more = verify(stage(cross_pairs(mixed, percent), "pairs"), df, k, percent, text_col)
-    roots = stage(components(links.union(more).select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")
+    for thin in (*[True] * thin_rounds, False):
+        held = met.filter("b is null").select("token", F.col("a").alias("node")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        mixed = stage(held.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).filter("lo <> hi").select("token", "m"), "mixed")
+        tasks = max(16, (mixed.agg(F.sum("m")).first()[0] or 0) // 50_000)
+        held = held.join(mixed.select("token"), "token", "left_semi").join(info, "node").select("token", "node", "root", "n", "vec")
+        links = links.union(verify(stage(cross_pairs(held, tasks, percent, thin), "pairs"), df, k, percent, text_col))
+        roots = stage(components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")
     rows = sig.select("id", "n", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = rows.filter("n > 0").groupBy("root").agg(F.min("id").alias("least"), F.count(F.lit(1)).alias("m")).filter("m > 1")
     out = rows.join(least, "root", "left")
