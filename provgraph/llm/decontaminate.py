@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -31,45 +32,105 @@ class ItemIndex:
         self.items = [(i, s) for i, s in zip(ids, sets, strict=True) if len(s)]
         self.k, self.percent = k, percent
         sizes = np.array([len(s) for _, s in self.items], np.int64)
-        self.block = 1 if not len(sizes) else int(max(1, min(8, sizes.min() // 4)))
-        self.parts: list[tuple[int, np.ndarray]] = []  # blocks in a stretch, items
-        worst, part = 1.0, np.floor(np.log(np.maximum(sizes, 1)) / math.log(RATIO)).astype(int)
+        base = 1 if not len(sizes) else int(max(1, min(8, sizes.min() // 4)))
+        self.parts: list[tuple[int, int, np.ndarray]] = []  # level, blocks in a stretch, items; blocks of a level: base << level shingles
+        self.base, self.levels, worst = base, 0, 1.0
+        part = np.floor(np.log(np.maximum(sizes, 1)) / math.log(RATIO)).astype(int)
         for p in np.unique(part):
             members = np.flatnonzero(part == p)
-            span = math.ceil(sizes[members].max() / self.block) + 1
-            self.parts.append((span, members))
-            least, q = percent / 100, sizes[members].min()
-            worst = min(worst, least * q / (span * self.block + (1 - least) * q))
+            most, q, least = int(sizes[members].max()), int(sizes[members].min()), percent / 100
+            level = max(0, int(math.log2(max(1, most // 4 / base))))
+            span = math.ceil(most / (base << level)) + 1
+            self.parts.append((level, span, members))
+            self.levels = max(self.levels, level + 1)
+            worst = min(worst, least * q / (span * (base << level) + (1 - least) * q))
         self.functions = max(1, math.ceil(math.log(miss) / math.log(1 - worst))) if worst < 1 else 1
         rng = np.random.Generator(np.random.PCG64(seed))
         self.mult = rng.integers(1, 2**63, self.functions, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.minima = [[np.array([(self.items[i][1] * m).min() for i in members], np.uint64) for m in self.mult] for _, members in self.parts]
+        self.minima: list[list[tuple[np.ndarray, np.ndarray, np.ndarray]]] = []  # by function and part: bitmap of low bits, values, their items
+        for m in self.mult:
+            own = []
+            for _, _, members in self.parts:
+                v = np.array([(self.items[i][1] * m).min() for i in members], np.uint64)
+                order = np.argsort(v)
+                bitmap = np.zeros(1 << 16, bool)
+                bitmap[(v & np.uint64(0xFFFF)).astype(np.int64)] = True
+                own.append((bitmap, v[order], members[order]))
+            self.minima.append(own)
 
     def candidates(self, h: np.ndarray, begin: np.ndarray) -> set[tuple[int, int]]:
         """(text, item) pairs of which a stretch and the item agree in a minimum."""
-        size = np.diff(begin)
-        blocks = -(-size // self.block)
-        first = np.concatenate([[0], np.cumsum(blocks)])
-        if not first[-1]:
-            return set()
-        starts = np.repeat(begin[:-1], blocks) + (np.arange(first[-1]) - np.repeat(first[:-1], blocks)) * self.block
-        owner, found = np.repeat(np.arange(len(size)), blocks), set()
-        for j, m in enumerate(self.mult):
-            fine = np.minimum.reduceat(h * m, starts)
-            for (span, members), minima in zip(self.parts, self.minima, strict=True):
-                low, have = fine, 1
+        size, found, starts, owner = np.diff(begin), set(), [], []
+        if not size.sum() or not self.parts:
+            return found
+        for level in range(self.levels):  # where a level's blocks begin, in the level below
+            step = self.base if not level else 2
+            blocks = -(-size // step)
+            first = np.concatenate([[0], np.cumsum(blocks)])
+            below = begin if not level else np.concatenate([[0], np.cumsum(size)])
+            starts.append(np.repeat(below[:-1], blocks) + (np.arange(first[-1]) - np.repeat(first[:-1], blocks)) * step)
+            owner.append(np.repeat(np.arange(len(size)), blocks))
+            size = blocks
+        top = np.iinfo(np.uint64).max
+        for m, own in zip(self.mult, self.minima, strict=True):
+            fine, lows = h * m, []
+            for at in starts:
+                fine = np.minimum.reduceat(fine, at)
+                lows.append(fine)
+            for (level, span, _), (bitmap, values, members) in zip(self.parts, own, strict=True):
+                low, have = lows[level], 1
                 while have < span:  # minima over ``span`` blocks from each on; past a text's end they only add candidates
                     step = min(have, span - have)
-                    low = np.minimum(low, np.concatenate([low[step:], np.full(min(step, len(low)), np.iinfo(np.uint64).max)]))
+                    low = np.minimum(low, np.concatenate([low[step:], np.full(min(step, len(low)), top)]))
                     have += step
-                order = np.argsort(minima[j])
-                keys = minima[j][order]
-                lo, hi = np.searchsorted(keys, low, "left"), np.searchsorted(keys, low, "right")
-                for b in np.flatnonzero(hi > lo):
-                    found.update((int(owner[b]), int(members[i])) for i in order[lo[b] : hi[b]])
+                hit = np.flatnonzero(bitmap[(low & np.uint64(0xFFFF)).astype(np.int64)])
+                if len(hit):
+                    lo, hi = np.searchsorted(values, low[hit], "left"), np.searchsorted(values, low[hit], "right")
+                    for k in np.flatnonzero(hi > lo):
+                        found.update((int(owner[level][hit[k]]), int(i)) for i in members[lo[k] : hi[k]])
         return found
 
 
+def _hits(index: ItemIndex, texts: list[bytes]) -> list[list[tuple[int | None, int]]]:
+    """For each text the items in it: (identifier, containment in percent, floored)."""
+    h, begin, _, _ = window_arrays(texts, index.k, True, True)
+    hits: list[list[tuple[int | None, int]]] = [[] for _ in texts]
+    sets: dict[int, np.ndarray] = {}
+    for doc, item in index.candidates(h, begin):
+        if begin[doc] == begin[doc + 1]:
+            continue
+        if doc not in sets:
+            sets[doc] = np.unique(h[begin[doc] : begin[doc + 1]])
+        own, (name, want) = sets[doc], index.items[item]
+        n = int((own[np.minimum(np.searchsorted(own, want), len(own) - 1)] == want).sum())
+        if 100 * n >= index.percent * len(want):
+            hits[doc].append((name, 100 * n // len(want)))
+    return hits
+
+
+def _indexes(df: DataFrame, items: DataFrame, k: int, percent: int, miss: float, item_id: str, item_text: str, block: int) -> Iterator:
+    """Broadcast indexes of the items, ``block`` at a time; one at least."""
+    held: list = []
+    rows, none = items.select(F.col(item_id).cast("long").alias("i"), F.col(item_text).alias("t")), True
+    for r in chain(rows.toLocalIterator(), [None]):
+        held += [r] if r is not None else []
+        if len(held) == block or r is None and (held or none):
+            yield df.sparkSession.sparkContext.broadcast(ItemIndex([x["i"] for x in held], [x["t"] for x in held], k, percent, miss))
+            held, none = [], False
+
+
+def drop_contaminated(df: DataFrame, items: DataFrame, k: int = 5, percent: int = 75, miss: float = 1e-6, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", block: int = 20_000) -> DataFrame:
+    """The rows of ``df`` that hold no item, as find_items() says."""
+    for shared in _indexes(df, items, k, percent, miss, item_id, item_text, block):
+
+        def run(it: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            for b, texts in batches(it, text_col):
+                yield b.filter(pa.array([not x for x in _hits(shared.value, texts)]))
+
+        df = df.mapInArrow(run, df.schema)
+    return df
+
+
 def find_items(df: DataFrame, items: DataFrame, k: int = 5, percent: int = 75, miss: float = 1e-6, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", block: int = 20_000) -> DataFrame:
     """(id_col, contaminated, n_items, item_ids, best_percent) of each row of ``df``.
 
@@ -79,39 +140,19 @@ def find_items(df: DataFrame, items: DataFrame, k: int = 5, percent: int = 75, m
     Items are taken in blocks of ``block`` against all rows; with no item nothing is contaminated. Equal item
     rows count each. Clashing names in other columns do not matter: only the named ones are read.
     """
-    rows, held, out = items.select(F.col(item_id).cast("long").alias("i"), F.col(item_text).alias("t")), [], []
     kind = df.schema[id_col].dataType.simpleString()
-    docs = df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"))
+    docs, out = df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")), []
+    for shared in _indexes(df, items, k, percent, miss, item_id, item_text, block):
 
-    def scan(chunk: list) -> DataFrame:
-        shared = df.sparkSession.sparkContext.broadcast(ItemIndex([r["i"] for r in chunk], [r["t"] for r in chunk], k, percent, miss))
-
-        def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            index = shared.value
+        def run(it: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             for b, texts in batches(it, "t"):
-                h, begin, _, _ = window_arrays(texts, k, True, True)
-                hits: list[list[tuple[int | None, int]]] = [[] for _ in texts]
-                sets: dict[int, np.ndarray] = {}
-                for doc, item in index.candidates(h, begin):
-                    own = sets.setdefault(doc, np.unique(h[begin[doc] : begin[doc + 1]]))
-                    name, want = index.items[item]
-                    at = np.searchsorted(own, want)
-                    n = int((own[np.minimum(at, len(own) - 1)] == want).sum())
-                    if 100 * n >= percent * len(want):
-                        hits[doc].append((name, 100 * n // len(want)))
+                hits = _hits(shared.value, texts)
                 yield pa.RecordBatch.from_arrays(
                     [b.column("i"), pa.array([len(x) for x in hits], pa.int64()), pa.array([sorted(i for i, _ in x if i is not None) for x in hits], pa.list_(pa.int64())), pa.array([max((p for _, p in x), default=0) for x in hits], pa.int64())],
                     ["id", "n", "ids", "best"],
                 )
 
-        return docs.mapInArrow(run, f"id {kind}, n long, ids array<long>, best long")
-
-    for r in rows.toLocalIterator():
-        held.append(r)
-        if len(held) == block:
-            out.append(scan(held))
-            held = []
-    out += [scan(held)] if held or not out else []
+        out.append(docs.mapInArrow(run, f"id {kind}, n long, ids array<long>, best long"))
     if len(out) > 1:  # each row's findings from all blocks of items
         uid = [x.withColumn("u", F.monotonically_increasing_id()) for x in out]
         all_ = uid[0]

@@ -169,16 +169,31 @@ def classify(df: DataFrame, model: KernelModel, text_col: str = "text", id_col:
     return df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(run, f"`{id_col}` {kind}, lang_pred string, score double")
 
 
+def keep_identified(df: DataFrame, model: KernelModel, text_col: str = "text") -> DataFrame:
+    """The rows of ``df`` whose language can be told; null and letterless texts, and all if no language is known, are rejected."""
+    shared = df.sparkSession.sparkContext.broadcast(model)
+
+    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b, texts in batches(it, text_col):
+            yield b.filter(pa.array([x != "und" for x, _ in predict([t.decode("utf-8", "replace") for t in texts], shared.value)]))
+
+    return df.mapInArrow(run, df.schema)
+
+
+def fitted(df: DataFrame, per_label: int = 300, most: int = 3000, orders: int = 3, landmarks: int = 400, ridge: float = 1e-2) -> KernelModel:
+    """A model of at most ``per_label`` rows of each language and ``most`` in all, none of them held out."""
+    return fit(sample(df.filter(~held_out()), "lang", "text", "doc_id", per_label, most), orders, landmarks, ridge)
+
+
 def held_out(id_col: str = "doc_id"):
     return F.pmod(F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")), F.lit(3)) == 1
 
 
-def language_id(df: DataFrame, per_label: int = 300, most: int = 3000, orders: int = 3, landmarks: int = 400, ridge: float = 1e-2) -> DataFrame:
+def language_id(df: DataFrame, **bounds: float) -> DataFrame:
     """(doc_id, held_out, lang_pred, score) of each row.
 
-    Fitted on at most ``per_label`` rows of each language and ``most`` in all, never on the third of the identifiers
-    set aside. Null identifiers count as the empty string in that choice. Repeated rows are predicted each on
-    its own and alike. With no labelled row every text is 'und'.
+    Fitted by ``fitted``, whose parameters ``bounds`` may set, never on the third of the identifiers set aside. Null
+    identifiers count as the empty string in that choice. Repeated rows are predicted each on its own and alike. With no
+    labelled row every text is 'und'.
     """
-    model = fit(sample(df.filter(~held_out()), "lang", "text", "doc_id", per_label, most), orders, landmarks, ridge)
-    return classify(df, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
+    return classify(df, fitted(df, **bounds)).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
