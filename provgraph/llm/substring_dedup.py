@@ -2,17 +2,18 @@
 
 1. Anchors: of the 5-word hashes in each 13-word window the least is its anchor, so equal windows have equal anchors and a
    document has about a fifth as many anchors as words. Anchors are brought together by hash; those of two documents mark candidates.
-2. Candidate windows alone are brought together; each gives the first document that holds it, so every later
-   document learns which earlier ones to ask.
-3. The candidate passages of those earlier documents are sent to the shard that holds the asking documents, compiled
-   there into an Aho-Corasick automaton over word numbers, and the documents are streamed through it. The
-   automaton compares words themselves, so hashes only ever propose.
+2. Candidate windows alone are brought together. Windows that agree in two hashes are confirmed as one phrase, whose owner is
+   the first document that holds it; every later document learns its phrases and their owners.
+3. Documents form shards. A shard's phrases, in words, are compiled into an Aho-Corasick automaton over word numbers, and its
+   documents are streamed through it; each occurrence of a phrase with an earlier owner goes. An automaton's size follows
+   its shard's text, whatever the corpus holds.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import compress
 
 import ahocorasick
 import numpy as np
@@ -22,7 +23,7 @@ from pyspark.sql import functions as F
 
 from provgraph.llm.common import stage
 from provgraph.llm.ngram_join import Outbox, _column, part_bits
-from provgraph.llm.wordkernel import _combine, batches, joined, words
+from provgraph.llm.wordkernel import _combine, batches, joined, mix, words
 
 ANCHOR = 5
 _U64 = np.uint64
@@ -129,71 +130,97 @@ def candidates(docs: DataFrame, anchors: DataFrame, window: int, bits: int) -> D
     return both.mapInArrow(run, "i long, n_words long, sha string, t binary, passages binary")
 
 
-def requests(held: DataFrame, window: int, bits: int) -> DataFrame:
-    """(id, owner): ``owner`` is the first to hold some candidate window of ``id``."""
+def _check(w: np.ndarray, window: int) -> np.ndarray:
+    """A second hash of every window of ``window`` words, by sums of differently mixed words at their places."""
+    n = len(w) - window + 1
+    if n <= 0:
+        return np.zeros(0, np.uint32)
+    total = np.zeros(n, _U64)
+    for j in range(window):
+        total += mix(w[j : j + n] ^ _U64(0x5851F42D4C957F2D * (j + 1) & 0xFFFFFFFFFFFFFFFF))
+    return (total >> _U64(32)).astype(np.uint32)
+
+
+def recurring(held: DataFrame, window: int, bits: int) -> DataFrame:
+    """(id, keys binary, owners binary): candidate windows of ``id`` whose first holder is an earlier ``owner``, confirmed by a
+    second hash; several rows per id."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        box = Outbox(bits, (np.uint16, np.int64))
+        box = Outbox(bits, (np.uint16, np.int64, np.uint32))
         for b, passages in batches(it, "passages"):
-            for i, own in zip(b.column("i").to_pylist(), passages, strict=True):
-                data, at = joined(own.split(b"\n"))
-                w, starts, _ = words(data)
-                cut = np.searchsorted(starts, at)
-                h = _combine(w, window)
-                h = np.unique(np.concatenate([h[a : b - window + 1] for a, b in zip(cut[:-1], cut[1:], strict=True)]))
-                if box.add(h, _split(h, bits), np.full(len(h), i)):
-                    yield box.take()
+            lines = [own.split(b"\n") for own in passages]
+            data, at = joined([x for own in lines for x in own])
+            w, starts, _ = words(data)
+            cut = np.searchsorted(starts, at)
+            size = np.maximum(np.diff(cut) - window + 1, 0)
+            own = np.arange(size.sum()) + np.repeat(cut[:-1] - (np.cumsum(size) - size), size)
+            doc = np.repeat(np.repeat(b.column("i").to_numpy(), [len(x) for x in lines]), size)
+            h = _combine(w, window)[own]
+            if box.add(h, _split(h, bits), doc, _check(w, window)[own]):
+                yield box.take()
         yield box.take()
 
     def meet(t: pa.Table) -> pa.Table:
-        key, doc = _keys(t), _column(t, "c1", np.int64)
-        order = np.lexsort((doc, key))
-        key, doc = key[order], doc[order]
-        first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))) if len(key) else np.zeros(0, int)
+        key, doc, check, part = _keys(t), _column(t, "c1", np.int64), _column(t, "c2", np.uint32), t.column("part")[0].as_py()
+        order = np.lexsort((doc, check, key))
+        key, doc, check = key[order], doc[order], check[order]
+        first = np.flatnonzero(np.concatenate(([True], (key[1:] != key[:-1]) | (check[1:] != check[:-1])))) if len(key) else np.zeros(0, int)
         owner = np.repeat(doc[first], np.diff(np.append(first, len(key))))
-        pairs = np.unique(np.stack([doc, owner], 1)[doc > owner], axis=0)
-        return pa.table({"id": pa.array(pairs[:, 0], pa.int64()), "owner": pa.array(pairs[:, 1], pa.int64())})
-
-    return _gather(held, emit, meet, "id long, owner long").distinct()
-
-
-def _automaton(passages: list[tuple[int, bytes]], window: int) -> tuple[ahocorasick.Automaton | None, dict[bytes, int]]:
-    """Automaton over word numbers whose values are the smallest owner of each window; the numbering."""
-    number: dict[bytes, int] = {}
-    first: dict[tuple[int, ...], int] = {}
-    for owner, own in passages:
-        for p in own.split(b"\n"):
-            ids = [number.setdefault(x, len(number) + 1) for x in p.split(b" ")]
-            for i in range(len(ids) - window + 1):
-                key = tuple(ids[i : i + window])
-                if first.setdefault(key, owner) > owner:
-                    first[key] = owner
-    if not first:
-        return None, number
+        later = doc > owner
+        key, doc, owner = key[later] | part << 48, doc[later], owner[later]
+        order = np.argsort(doc, kind="stable")
+        key, doc, owner = key[order], doc[order], owner[order]
+        at = np.flatnonzero(np.concatenate(([True], doc[1:] != doc[:-1]))) if len(doc) else np.zeros(0, int)
+        ends = np.append(at[1:], len(doc))[: len(at)]
+        return pa.table({"id": pa.array(doc[at], pa.int64()), **{n: pa.array([c[a:b].tobytes() for a, b in zip(at, ends, strict=True)], pa.binary()) for n, c in (("keys", key), ("owners", owner))}})
+
+    return held.mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary").groupBy("part").applyInArrow(meet, "id long, keys binary, owners binary")
+
+
+def _automaton(phrases: dict[tuple[int, ...], int]) -> ahocorasick.Automaton:
     auto = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
-    for key, owner in first.items():
+    for key, owner in phrases.items():
         auto.add_word(key, owner)
     auto.make_automaton()
-    return auto, number
+    return auto
+
 
+def _locate(window: int, bits: int):
+    """Removes from each text what an automaton of the confirmed windows of its shard finds with an earlier owner."""
 
-def _locate(window: int):
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b, texts in batches(it, "t", 1 << 19):
-            docs, needs = b.column("i").to_pylist(), b.column("needs").to_pylist()
-            known = {x["owner"]: x["passages"] for n in needs for x in n or []}
-            auto, number = _automaton(sorted(known.items()), window)
+        for b, texts in batches(it, "t"):
+            docs, keys, owners = (b.column(c).to_pylist() for c in ("i", "keys", "owners"))
+            data, at = joined([t if k else b"" for t, k in zip(texts, keys, strict=True)])
+            w, starts, _ = words(data)
+            cut = np.searchsorted(starts, at)
+            h = _combine(w, window)
+            number: dict[bytes, int] = {}
+            parts = [t.split() for t in texts]
+            # a text without a confirmed window of its own has no occurrence to remove
+            ids = [[number.setdefault(x, len(number) + 1) for x in p] if k else [] for p, k in zip(parts, keys, strict=True)]
+            phrases: dict[tuple[int, ...], int] = {}
+            for k, (own, a, z) in enumerate(zip(ids, cut[:-1].tolist(), cut[1:].tolist(), strict=True)):
+                if not keys[k] or z - a < window:
+                    continue
+                known, who = (np.frombuffer(b"".join(x[k]), np.int64) for x in (keys, owners))
+                order = np.argsort(known)
+                known, who = known[order], who[order]
+                mine = _full(h[a : z - window + 1], bits)
+                place = np.minimum(np.searchsorted(known, mine), len(known) - 1)
+                for j in np.flatnonzero(known[place] == mine).tolist():
+                    phrases.setdefault(tuple(own[j : j + window]), int(who[place[j]]))
+            auto = _automaton(phrases) if phrases else None
             rows = []
-            for i, text in zip(docs, texts, strict=True):
-                parts = text.split()
-                gone = np.zeros(len(parts) + 1, np.int32)
-                if auto is not None and len(parts) >= window:
-                    for end, owner in auto.iter(tuple(number.get(x, 0) for x in parts)):
+            for i, p, own in zip(docs, parts, ids, strict=True):
+                gone = np.zeros(len(p) + 1, np.int32)
+                if auto is not None and own:
+                    for end, owner in auto.iter(tuple(own)):
                         if owner < i:
                             gone[end - window + 1] += 1
                             gone[end + 1] -= 1
                 out = np.cumsum(gone[:-1]) > 0
-                rows.append((len(parts), int(out.sum()), _sha([x for x, o in zip(parts, out.tolist(), strict=True) if not o])))
+                rows.append((len(p), int(out.sum()), _sha(list(compress(p, (~out).tolist())) if out.any() else p)))
             yield pa.RecordBatch.from_arrays([b.column("i"), *(pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.string()), strict=True))], ["i", "n_words", "n_removed", "sha"])
 
     return run
@@ -208,12 +235,11 @@ def remove_repeats(df: DataFrame, window: int = 13, id_col: str = "doc_id", text
     """
     kind = df.schema[id_col].dataType.simpleString()
     docs = df.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    bits = min(16, part_bits(df.count(), 16_000))
+    bits = min(15, part_bits(df.count(), 16_000))
     base = stage(candidates(docs, shared_anchors(docs, window, bits), window, bits), "candidates")
     held = base.filter("passages is not null").select("i", "passages")
-    ask = requests(held, window, bits)
-    needs = ask.join(held.withColumnRenamed("i", "owner"), "owner").groupBy("id").agg(F.collect_list(F.struct("owner", "passages")).alias("needs"))
-    found = base.filter("passages is not null").select("i", "t").join(needs.withColumnRenamed("id", "i"), "i", "left")
-    located = found.mapInArrow(_locate(window), "i long, n_words long, n_removed long, sha string")
+    needs = recurring(held, window, bits).groupBy(F.col("id").alias("i")).agg(F.collect_list("keys").alias("keys"), F.collect_list("owners").alias("owners"))
+    found = base.filter("passages is not null").select("i", "t").join(needs, "i", "left")
+    located = found.mapInArrow(_locate(window, bits), "i long, n_words long, n_removed long, sha string")
     rest = base.filter("passages is null").select("i", "n_words", F.lit(0).cast("long").alias("n_removed"), "sha")
     return located.union(rest).select(F.col("i").cast(kind).alias(id_col), "n_words", "n_removed", F.col("sha").alias("kept_sha256"))
