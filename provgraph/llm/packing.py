@@ -15,6 +15,8 @@ import zlib
 from bisect import insort
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cache
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -31,44 +33,92 @@ class ChunkTokenizer:
     """Token ids of whole texts, put together from those of white-space-free chunks, which are remembered.
 
     The tokenizer collapses white space to a blank that no token holds, and neither its case mapping nor its
-    composition of accents reaches across one, so chunks between ASCII white space are independent.
+    composition of accents reaches across one, so chunks between ASCII white space are independent. It maps letters to lower
+    case anyway, so A-Z are mapped at once; and a full stop or comma after an ASCII letter ends a chunk as a token of its own.
     """
 
-    def __init__(self, path: str, most: int = 300_000):
+    def __init__(self, path: str, most: int = 2_000_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.most, self.place = most, {}
-        self.ids, self.start = np.zeros(0, np.uint32), np.zeros(1, np.int64)
+        self.most = most
+        self.forget()
+
+    def forget(self) -> None:
+        self.place: dict[bytes, int] = {}
+        self.ids, self.start, self.size = np.zeros(1 << 20, np.uint32), np.zeros(1 << 18, np.int64), np.zeros(1 << 18, np.int64)
+        self.used = 0
+
+    def _learn(self, new: set[bytes]) -> None:
+        stopped = [c for c in new if c[-1] in b".," and len(c) > 1 and 97 <= c[-2] <= 122]
+        cores = {c[:-1] for c in stopped}
+        cores.update(c[-1:] for c in stopped)
+        new = list(new.difference(stopped).union(c for c in cores if c not in self.place))
+        self._encode(new)
+        if stopped:
+            n, core, end = len(self.place), *(np.fromiter(map(self.place.__getitem__, x), np.int64, len(stopped)) for x in ([c[:-1] for c in stopped], [c[-1:] for c in stopped]))
+            size = self.size[core] + self.size[end]
+            total = int(size.sum())
+            self._make_room(total, len(stopped))
+            at = self.used + np.cumsum(size) - size
+            self.start[n : n + len(stopped)], self.size[n : n + len(stopped)] = at, size
+            for part, to in ((core, at), (end, at + self.size[core])):
+                many = self.size[part]
+                step = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+                self.ids[np.repeat(to, many) + step] = self.ids[np.repeat(self.start[part], many) + step]
+            self.place.update(zip(stopped, range(n, n + len(stopped)), strict=True))
+            self.used += total
+
+    def _make_room(self, ids: int, entries: int) -> None:
+        while len(self.ids) < self.used + ids:
+            self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+        while len(self.start) < len(self.place) + entries:
+            self.start, self.size = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.size))
+
+    def _encode(self, new: list[bytes]) -> None:
+        got = [e.ids for e in self.tokenizer.encode_batch_fast([c.decode("utf-8", "replace") for c in new], add_special_tokens=False)]
+        size = np.fromiter(map(len, got), np.int64, len(got))
+        flat = np.fromiter(chain.from_iterable(got), np.uint32, int(size.sum()))
+        n = len(self.place)
+        self._make_room(len(flat), len(new))
+        self.ids[self.used : self.used + len(flat)] = flat
+        self.start[n : n + len(new)] = self.used + np.cumsum(size) - size
+        self.size[n : n + len(new)] = size
+        self.place.update(zip(new, range(n, n + len(new)), strict=True))
+        self.used += len(flat)
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and where each text's begin (one more entry for the end)."""
-        chunks = [t.split() for t in texts]
+        chunks = [t.lower().split() for t in texts]
+        flat = list(chain.from_iterable(chunks))
         if len(self.place) > self.most:
-            self.place, self.ids, self.start = {}, np.zeros(0, np.uint32), np.zeros(1, np.int64)
-        new = list(dict.fromkeys(c for cs in chunks for c in cs if c not in self.place))
-        if new:
-            got = [e.ids for e in self.tokenizer.encode_batch_fast([c.decode("utf-8", "replace") for c in new], add_special_tokens=False)]
-            self.place.update(zip(new, range(len(self.start) - 1, len(self.start) - 1 + len(new)), strict=True))
-            self.ids = np.concatenate([self.ids, np.fromiter((i for g in got for i in g), np.uint32)])
-            self.start = np.concatenate([self.start, self.start[-1] + np.cumsum([len(g) for g in got])])
-        at = np.fromiter((self.place[c] for cs in chunks for c in cs), np.int64)
-        size = self.start[at + 1] - self.start[at]
+            self.forget()
+        at = np.fromiter(map(self.place.get, flat, repeat(-1)), np.int64, len(flat))
+        if len(missing := np.flatnonzero(at < 0)):
+            absent = [flat[i] for i in missing.tolist()]
+            self._learn(set(absent))
+            at[missing] = np.fromiter(map(self.place.__getitem__, absent), np.int64, len(absent))
+        size = self.size[at]
         end = np.concatenate([[0], np.cumsum(size)])
         index = np.arange(end[-1]) + np.repeat(self.start[at] - end[:-1], size)
-        bounds = np.concatenate([[0], np.cumsum([len(cs) for cs in chunks])])
-        return self.ids[index], end[bounds]
+        return self.ids[index], end[np.concatenate([[0], np.cumsum([len(c) for c in chunks])])]
+
+
+@cache
+def _tokenizer(path: str) -> ChunkTokenizer:
+    """One for each worker process, which serves many tasks."""
+    import os
+
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    return ChunkTokenizer(path)
 
 
 def pieces(df: DataFrame, tokenizer_path: str, capacity: int = 4096, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
     """Each text's ids and the end id, cut into pieces of ``capacity`` only where longer."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import os
-
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        tok = ChunkTokenizer(tokenizer_path)
+        tok = _tokenizer(tokenizer_path)
         for b, texts in batches(it, "t"):
             ids, cut = tok.encode(texts)
             rows: list[tuple] = []
