@@ -24,7 +24,7 @@ _NONE = np.iinfo(np.int64).min  # stands for a null identifier; it loses to ever
 
 def _fold(digests: np.ndarray, checks: np.ndarray, ids: np.ndarray, uids: np.ndarray, sizes: np.ndarray, largest: bool) -> list[np.ndarray]:
     """Sorted runs laid end to end -> one sorted run; equal digests fold only if their second digests agree as well."""
-    order = np.lexsort((uids, -ids if largest else np.where(ids == _NONE, np.iinfo(np.int64).max, ids), checks))
+    order = np.lexsort((uids, ~ids if largest else np.where(ids == _NONE, np.iinfo(np.int64).max, ids), checks))
     order = order[np.argsort(digests[order], kind="stable")]
     d, c = digests[order], checks[order]
     new = np.concatenate(([True], (d[1:] != d[:-1]) | (c[1:] != c[:-1])))
