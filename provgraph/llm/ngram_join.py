@@ -2,7 +2,9 @@
 
 A document is the set of its distinct n-gram hashes; documents with one set are one node. Two sets of similarity t share
 one of their first ``n - ceil(t n) + 1`` elements under any common order, here: n-grams that very many documents hold come last,
-the rest by hash. Documents meet in the blocks of such shared elements.
+the rest by hash. Documents meet in the blocks of such shared elements. The prefixes
+are longer than that by a twentieth of n, so that similar sets share about as many elements, and a node with
+fewer in blocks is let go.
 
 1. Neighbours by size within a block make a thin set of pairs; each node's likeliest pair is verified, and the
    components of what holds are found. Most copies are settled here, with one verification each.
@@ -25,7 +27,7 @@ from pyspark.sql import functions as F
 from provgraph.llm.common import components, stage
 from provgraph.llm.wordkernel import batches, window_arrays
 
-GROUPS = 128
+GROUPS = 256
 REGION = np.uint64(3 << 61)  # n-grams below this hash are counted over all documents when the order is made
 _U64 = np.uint64
 
@@ -35,8 +37,14 @@ def need(nx: np.ndarray, ny: np.ndarray, percent: int) -> np.ndarray:
     return -(-(percent * (nx.astype(np.int64) + ny)) // (100 + percent))
 
 
+def shared_least(n: int) -> int:
+    """Elements of the prefixes that a set of n must share with each similar one; grows with n."""
+    return 1 + n // 20
+
+
 def prefix_size(n: int, percent: int) -> int:
-    return n - -(-percent * n // 100) + 1
+    """Sets of the similarity share at least the smaller ``shared_least`` of the two within their prefixes."""
+    return n - -(-percent * n // 100) + shared_least(n)
 
 
 def node_id(sorted_hashes: np.ndarray) -> int:
@@ -84,7 +92,7 @@ def _column(t: pa.Table, name: str, kind: type) -> np.ndarray:
     return np.frombuffer(b"".join(t.column(name).to_pylist()), kind)
 
 
-def frequent(df: DataFrame, k: int, bits: int, id_col: str, text_col: str, least: int = 64, most: int = 1 << 20) -> np.ndarray:
+def frequent(docs: DataFrame, k: int, bits: int, least: int = 16, most: int = 1 << 20) -> np.ndarray:
     """Leading 32 + bits bits of the n-grams (below REGION) that ``least`` or more documents hold; the ``most`` commonest if more."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -101,13 +109,13 @@ def frequent(df: DataFrame, k: int, bits: int, id_col: str, text_col: str, least
         part = t.column("part")[0].as_py()
         return pa.table({"key": pa.array((v[hot].astype(np.int64)) | part << 32, pa.int64()), "n": pa.array(n[hot], pa.int64())})
 
-    rows = df.select(F.col(text_col).alias("t")).mapInArrow(emit, "part int, low binary").groupBy("part").applyInArrow(count, "key long, n long")
+    rows = docs.select("t").mapInArrow(emit, "part int, low binary").groupBy("part").applyInArrow(count, "key long, n long")
     return np.array(sorted(r["key"] for r in rows.orderBy(F.desc("n"), "key").limit(most).collect()), np.int64)
 
 
-def signatures(df: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, n, node, prefix, vec) of each row."""
-    shared = df.sparkSession.sparkContext.broadcast(hot)  # at most ``most`` of frequent()
+def signatures(docs: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int) -> DataFrame:
+    """(id, key, n, node, prefix, vec) of each row."""
+    shared = docs.sparkSession.sparkContext.broadcast(hot)  # at most ``most`` of frequent()
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hot = shared.value
@@ -133,17 +141,42 @@ def signatures(df: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int,
                 prefix.append(order[:p].tobytes())
                 v = np.bincount((s & _U64(GROUPS - 1)).astype(np.int64), minlength=GROUPS)
                 vec.append(v.astype(np.uint8 if v.max() < 256 else np.uint32).tobytes())
-            yield pa.RecordBatch.from_arrays([b.column("i"), pa.array(n, pa.int32()), pa.array(node, pa.int64()), pa.array(prefix, pa.binary()), pa.array(vec, pa.binary())], ["id", "n", "node", "prefix", "vec"])
+            yield pa.RecordBatch.from_arrays([b.column("i"), b.column("key"), pa.array(n, pa.int32()), pa.array(node, pa.int64()), pa.array(prefix, pa.binary()), pa.array(vec, pa.binary())], ["id", "key", "n", "node", "prefix", "vec"])
 
-    kind = df.schema[id_col].dataType.simpleString()
-    return df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(run, f"id {kind}, n int, node long, prefix binary, vec binary")
+    kind = docs.schema["i"].dataType.simpleString()
+    return docs.mapInArrow(run, f"id {kind}, key long, n int, node long, prefix binary, vec binary")
+
+
+def _feasible(low: np.ndarray, n: np.ndarray, at: np.ndarray | None, percent: int, most: int = 64, flags: np.ndarray | None = None) -> np.ndarray:
+    """Which postings (sorted by token) have a partner in their block by size and, if given, position.
+
+    What follows the first common element is all that two sets can share besides it, so a pair may be left to the block of
+    that element: there ``n - position`` of both must reach what they need. Blocks of over ``most`` are kept whole.
+    """
+    cut = np.flatnonzero(np.concatenate(([True], low[1:] != low[:-1], [True]))) if len(low) else np.zeros(1, int)
+    size = np.diff(cut)
+    keep = np.repeat(size > most, size)
+    small = np.flatnonzero((size > 1) & (size <= most))
+    weight = np.cumsum(size[small].astype(np.int64) ** 2) // 1_000_000
+    for group in np.unique(weight):
+        part = small[weight == group]
+        own = np.arange(size[part].sum()) + np.repeat(cut[part] - np.concatenate([[0], np.cumsum(size[part])[:-1]]), size[part])
+        i, j = _small_blocks(size[part])
+        x, y = own[i], own[j]
+        ok = np.ones(len(x), bool) if at is None else np.minimum(n[x] - at[x], n[y] - at[y]) >= need(n[x], n[y], percent)
+        ok &= 100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y])
+        if flags is not None:  # bitmaps that differ in d bits belong to sets that differ in d elements at least
+            ok &= n[x] + n[y] - np.bitwise_count((flags[x] ^ flags[y]).view(np.uint64)).astype(np.int64) >= 2 * need(n[x], n[y], percent)
+        keep[x[ok]] = True
+        keep[y[ok]] = True
+    return keep
 
 
 def blocks(sig: DataFrame, bits: int, percent: int) -> DataFrame:
-    """Rows (token, a, null) for the nodes of each block of two or more, and (null, a, b) for neighbours by size in one."""
+    """Rows (token, a, n, at, null) for block members that have one of their size, and (null, a, n, null, b) for neighbours by size."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        box, seen = Outbox(bits, (np.int64, np.int32)), set()
+        box, seen = Outbox(bits, (np.int64, np.int32, np.uint16)), set()
         for b in it:
             for n, node, prefix in zip(b.column("n").to_pylist(), b.column("node").to_pylist(), b.column("prefix").to_pylist(), strict=True):
                 if not n or node in seen:
@@ -151,16 +184,18 @@ def blocks(sig: DataFrame, bits: int, percent: int) -> DataFrame:
                 if len(seen) < 1_000_000:
                     seen.add(node)
                 p = np.frombuffer(prefix, _U64)
-                if box.add(p, np.full(len(p), node), np.full(len(p), n)):
+                if box.add(p, np.full(len(p), node), np.full(len(p), n), np.minimum(np.arange(len(p)), 65535)):
                     yield box.take()
         yield box.take()
 
     def meet(t: pa.Table) -> pa.Table:
-        low, node, n = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32)
+        low, node, n, at = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32), _column(t, "c2", np.uint16)
         order = np.lexsort((node, n, low))
-        low, node, n = low[order], node[order], n[order]
+        low, node, n, at = low[order], node[order], n[order], at[order]
         keep = np.concatenate(([True], (low[1:] != low[:-1]) | (node[1:] != node[:-1]))) if len(low) else np.zeros(0, bool)
-        low, node, n = low[keep], node[keep], n[keep]
+        low, node, n, at = low[keep], node[keep], n[keep], at[keep]
+        keep = _feasible(low, n.astype(np.int64), None, percent)
+        low, node, n, at = low[keep], node[keep], n[keep], at[keep]
         same = low[1:] == low[:-1]
         many = np.concatenate(([False], same)) | np.concatenate((same, [False])) if len(low) else keep[keep]
         near = np.flatnonzero(same & (100 * n[:-1].astype(np.int64) >= percent * n[1:].astype(np.int64)))
@@ -169,16 +204,19 @@ def blocks(sig: DataFrame, bits: int, percent: int) -> DataFrame:
         return pa.table({
             "token": pa.array(np.concatenate([token, np.zeros(m, np.int64)]), mask=np.arange(k + m) >= k),
             "a": pa.array(np.concatenate([node[many], node[near]]), pa.int64()),
+            "n": pa.array(np.concatenate([n[many], n[near]]), pa.int32()),
+            "at": pa.array(np.concatenate([at[many], np.zeros(m, np.uint16)]).astype(np.int32), mask=np.arange(k + m) >= k),
             "b": pa.array(np.concatenate([np.zeros(k, np.int64), node[near + 1]]), mask=np.arange(k + m) < k),
         })
 
-    return sig.select("n", "node", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary").groupBy("part").applyInArrow(meet, "token long, a long, b long")
+    return sig.select("n", "node", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary").groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, b long")
 
 
-def tree_join(n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
+def tree_join(n: np.ndarray, at: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
     """Index pairs of different roots whose overlap bound reaches what their sizes need, by an R-tree packed by size."""
     order = np.lexsort((vec[:, 0], n))
-    n, vec, root = n[order].astype(np.int64), vec[order].astype(np.int64), root[order]
+    n, vec, root = n[order].astype(np.int64), vec[order], root[order]
+    left_over = n - at[order]
     starts = np.arange(0, len(n), leaf)
     box = np.maximum.reduceat(vec, starts)  # a bound needs a box's upper corner alone
     least, largest = np.minimum.reduceat(n, starts), np.maximum.reduceat(n, starts)
@@ -187,7 +225,7 @@ def tree_join(n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, le
     for i in range(len(starts)):
         j = np.arange(i, len(starts))
         j = j[(100 * largest[i] >= percent * least[j]) & ~((r0[i] == r1[i]) & (r0[j] == r1[j]) & (r0[j] == r0[i]))]
-        j = j[np.minimum(box[i], box[j]).sum(1) >= need(least[i], least[j], percent)]
+        j = j[np.minimum(box[i], box[j]).sum(1, dtype=np.int64) >= need(least[i], least[j], percent)]
         if not len(j):
             continue
         a = np.arange(starts[i], min(starts[i] + leaf, len(n)))
@@ -195,7 +233,8 @@ def tree_join(n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, le
         for x in a:
             y = b[(b > x) & (root[b] != root[x])]
             y = y[100 * n[x] >= percent * n[y]]
-            y = y[np.minimum(vec[x], vec[y]).sum(1) >= need(n[x], n[y], percent)]
+            y = y[np.minimum(left_over[x], left_over[y]) >= need(n[x], n[y], percent)]
+            y = y[np.minimum(vec[x], vec[y]).sum(1, dtype=np.int64) >= need(n[x], n[y], percent)]
             left.append(np.full(len(y), x))
             right.append(y)
     none = np.zeros(0, np.int64)
@@ -203,6 +242,8 @@ def tree_join(n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, le
 
 
 def _vectors(raw: list[bytes]) -> np.ndarray:
+    if all(len(x) == GROUPS for x in raw):
+        return np.frombuffer(b"".join(raw), np.uint8).reshape(-1, GROUPS)
     return np.array([np.frombuffer(x, np.uint8 if len(x) == GROUPS else np.uint32) for x in raw], np.int32).reshape(-1, GROUPS)
 
 
@@ -214,7 +255,7 @@ def _small_blocks(sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return left, left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(later) - later, later)
 
 
-def block_pairs(token: np.ndarray, n: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
+def block_pairs(token: np.ndarray, n: np.ndarray, at: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
     """Index pairs that share a token, differ in root, and may have the overlap they need. Blocks that would be one leaf skip the tree."""
     order = np.argsort(token, kind="stable")
     cut = np.flatnonzero(np.concatenate(([True], token[order][1:] != token[order][:-1], [True])))
@@ -222,18 +263,20 @@ def block_pairs(token: np.ndarray, n: np.ndarray, vec: np.ndarray, root: np.ndar
     left, right = [], []
     for s, e in zip(cut[:-1][size > leaf], cut[1:][size > leaf], strict=True):
         own = order[s:e]
-        x, y = tree_join(n[own], vec[own], root[own], percent, leaf)
+        x, y = tree_join(n[own], at[own], vec[own], root[own], percent, leaf)
         left.append(own[x])
         right.append(own[y])
     small = np.flatnonzero(size <= leaf)
-    for at in range(0, len(small), 4096):
-        part = small[at : at + 4096]
+    for start in range(0, len(small), 4096):
+        part = small[start : start + 4096]
         own = order[np.concatenate([np.arange(cut[i], cut[i + 1]) for i in part])]
         i, j = _small_blocks(size[part])
         x, y = own[i], own[j]
         ok = (root[x] != root[y]) & (100 * np.minimum(n[x], n[y]).astype(np.int64) >= percent * np.maximum(n[x], n[y]))
         x, y = x[ok], y[ok]
-        ok = np.concatenate([np.minimum(vec[x[k : k + 50_000]], vec[y[k : k + 50_000]]).sum(1) for k in range(0, len(x), 50_000)] or [np.zeros(0)]) >= need(n[x], n[y], percent)
+        ok = np.minimum(n[x] - at[x], n[y] - at[y]) >= need(n[x], n[y], percent)
+        x, y = x[ok], y[ok]
+        ok = np.concatenate([np.minimum(vec[x[k : k + 10_000]], vec[y[k : k + 10_000]]).sum(1, dtype=np.int64) for k in range(0, len(x), 10_000)] or [np.zeros(0)]) >= need(n[x], n[y], percent)
         left.append(x[ok])
         right.append(y[ok])
     none = np.zeros(0, np.int64)
@@ -241,17 +284,17 @@ def block_pairs(token: np.ndarray, n: np.ndarray, vec: np.ndarray, root: np.ndar
 
 
 def cross_pairs(mixed: DataFrame, tasks: int, percent: int, thin: bool) -> DataFrame:
-    """Candidate pairs (a, b) of different roots, from rows (token, node, root, n, vec); ``thin``: each node's likeliest alone."""
+    """Candidate pairs (a, b) of different roots, from rows (token, node, root, n, at, vec); ``thin``: each node's likeliest alone."""
 
     def join(t: pa.Table) -> pa.Table:
-        token, node, n, root = (t.column(c).to_numpy() for c in ("token", "node", "n", "root"))
+        token, node, n, at, root = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "root"))
         vec = _vectors(t.column("vec").to_pylist())
-        x, y = block_pairs(token, n, vec, root, percent)
+        x, y = block_pairs(token, n.astype(np.int64), at, vec, root, percent)
         p, q = np.minimum(node[x], node[y]), np.maximum(node[x], node[y])
         order = np.lexsort((q, p))
         order = order[np.concatenate(([True], (p[order][1:] != p[order][:-1]) | (q[order][1:] != q[order][:-1])))] if len(order) else order
         x, y, p, q = x[order], y[order], p[order], q[order]
-        score = np.concatenate([np.minimum(vec[x[k : k + 50_000]], vec[y[k : k + 50_000]]).sum(1) for k in range(0, len(x), 50_000)] or [np.zeros(0, np.int64)]) / np.maximum(need(n[x], n[y], percent), 1)
+        score = np.concatenate([np.minimum(vec[x[k : k + 10_000]], vec[y[k : k + 10_000]]).sum(1, dtype=np.int64) for k in range(0, len(x), 10_000)] or [np.zeros(0, np.int64)]) / np.maximum(need(n[x], n[y], percent), 1)
         if thin and len(p):
             ends = np.concatenate([p, q])
             by = np.lexsort((np.concatenate([score, score]), ends))
@@ -274,38 +317,57 @@ def _likeliest(pairs: DataFrame) -> DataFrame:
     return one.union(other).distinct()
 
 
-def verify(pairs: DataFrame, df: DataFrame, k: int, percent: int, text_col: str, most: int = 1 << 21) -> DataFrame:
+def _fine(s: np.ndarray) -> bytes:
+    """Counts by as many hash groups as the set has elements, up to a power of two; one byte each where they fit."""
+    v = np.bincount((s & _U64((1 << max(1, int(len(s) - 1).bit_length())) - 1)).astype(np.int64), minlength=1 << max(1, int(len(s) - 1).bit_length()))
+    return (b"\1" + v.astype(np.uint8).tobytes()) if v.max() < 256 else b"\4" + v.astype(np.uint32).tobytes()
+
+
+def _fine_bound(x: bytes, y: bytes) -> int:
+    p, q = (np.frombuffer(z, np.uint8 if z[0] == 1 else np.uint32, offset=1) for z in (x, y))
+    p, q = (p, q) if len(p) <= len(q) else (q, p)
+    return int(np.minimum(p, q.reshape(-1, len(p)).sum(0)).sum())
+
+
+def verify(pairs: DataFrame, docs: DataFrame, sig: DataFrame, k: int, percent: int, most: int = 1 << 20) -> DataFrame:
     """The pairs (a, b) whose sets have the similarity.
 
-    The sets of the nodes concerned are made again from the texts. If there are at most ``most`` of them, other
-    texts are passed over at once; if more, all sets go into the join.
+    The sets of the nodes concerned are made again from one text each, found by its hash: by a broadcast of at most
+    ``most`` hashes, or by a join if there are more. A bound from finer counts comes before the sets themselves.
     """
-    nodes = stage(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "nodes")
-    wanted = np.array(sorted(r["node"] for r in nodes.collect()), np.int64) if nodes.count() <= most else None
-    shared = df.sparkSession.sparkContext.broadcast(wanted)
+    nodes = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
+    keys = stage(sig.filter("n > 0").join(nodes, "node", "left_semi").groupBy("node", "n").agg(F.min("key").alias("key")), "nodes")
+    some = keys.select("key").distinct()
+    texts = docs.join(F.broadcast(some) if keys.count() <= most else some, "key", "left_semi").select("t")
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        wanted, seen = shared.value, set()
+        seen: set[int] = set()
         for _, texts in batches(it, "t"):
             out = {}
             for s in _sets(texts, k):
-                node = node_id(s)
-                if not len(s) or node in seen:
-                    continue
-                if wanted is None or (len(wanted) and wanted[min(int(np.searchsorted(wanted, node)), len(wanted) - 1)] == node):
-                    out[node] = s.tobytes()
+                if len(s) and (node := node_id(s)) not in seen:
+                    out[node] = (s.tobytes(), _fine(s))
                     if len(seen) < 1_000_000:
                         seen.add(node)
-            yield pa.RecordBatch.from_arrays([pa.array(list(out), pa.int64()), pa.array(list(out.values()), pa.binary())], ["node", "elements"])
+            yield pa.RecordBatch.from_arrays([pa.array(list(out), pa.int64()), *(pa.array([v[c] for v in out.values()], pa.binary()) for c in (0, 1))], ["node", "elements", "fine"])
+
+    sets = stage(texts.mapInArrow(run, "node long, elements binary, fine binary").join(keys, "node").dropDuplicates(["node"]).select("node", "n", "elements", "fine"), "sets")
 
-    sets = df.select(F.col(text_col).alias("t")).mapInArrow(run, "node long, elements binary")
-    sets = stage(sets.join(nodes, "node", "left_semi").dropDuplicates(["node"]), "sets")
-    both = pairs.join(sets.select(F.col("node").alias("a"), F.col("elements").alias("x")), "a").join(sets.select(F.col("node").alias("b"), F.col("elements").alias("y")), "b").select("a", "b", "x", "y")
+    def with_(rows: DataFrame, *cols: str) -> DataFrame:
+        for side in ("a", "b"):
+            rows = rows.join(sets.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in cols)), side)
+        return rows
+
+    def bound(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            x, y, n, m = (b.column(c).to_pylist() for c in ("fine_a", "fine_b", "n_a", "n_b"))
+            keep = pa.array([(100 + percent) * _fine_bound(p, q) >= percent * (i + j) for p, q, i, j in zip(x, y, n, m, strict=True)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], ["a", "b"])
 
     def hold(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in it:
             good = []
-            for x, y in zip(b.column("x"), b.column("y"), strict=True):
+            for x, y in zip(b.column("elements_a"), b.column("elements_b"), strict=True):
                 p, q = np.frombuffer(x.as_buffer(), _U64), np.frombuffer(y.as_buffer(), _U64)
                 p, q = (p, q) if len(p) <= len(q) else (q, p)
                 common = int((q[np.minimum(np.searchsorted(q, p), len(q) - 1)] == p).sum())
@@ -313,34 +375,61 @@ def verify(pairs: DataFrame, df: DataFrame, k: int, percent: int, text_col: str,
             keep = pa.array(good, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], ["a", "b"])
 
-    return stage(both.mapInArrow(hold, "a long, b long"), "links")
+    likely = with_(pairs, "n", "fine").mapInArrow(bound, "a long, b long")
+    return stage(with_(likely, "elements").mapInArrow(hold, "a long, b long"), "links")
 
 
-def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text", thin_rounds: int = 2) -> DataFrame:
-    """(id_col, n_shingles, component_id) of each row; component_id is the smallest identifier that links reach.
+def _supported(met: DataFrame, percent: int) -> DataFrame:
+    """Members (node, n, token, ...) of nodes with as many shared elements as the least that their smallest similar set asks for."""
+    least = F.lit(1) + F.expr(f"(({percent} * n + 99) div 100) div 20")  # shared_least() of the smallest size
+    enough = met.groupBy("node", "n").agg(F.count(F.lit(1)).alias("m")).filter(F.col("m") >= least).select("node")
+    return met.join(enough, "node", "left_semi")
+
+
+def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text", thin_rounds: int = 1) -> DataFrame:
+    """(id_col, n_shingles, component_id, text_key) of each row; component_id is the smallest identifier that links reach.
 
     Null and empty texts have no shingles and no links. Rows with one set of shingles are linked, whatever their
     identifiers; null identifiers are passed over unless a component has no other. Repeated rows are rows of one component. Sets
-    are held as 64-bit hashes.
+    are held as 64-bit hashes. ``text_key`` is the hash of the text, null as empty.
     """
     bits = part_bits(df.count())
-    hot = frequent(df, k, bits, id_col, text_col)
-    sig = stage(signatures(df, hot, k, percent, bits, id_col, text_col), "signatures")
+    docs = df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).withColumn("key", F.xxhash64(F.coalesce("t", F.lit(""))))
+    hot = frequent(docs, k, bits)
+    sig = stage(signatures(docs, hot, k, percent, bits), "signatures")
     met = stage(blocks(sig, bits, percent), "blocks")
+    met, near = stage(_supported(met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at"), percent), "members"), met.filter("b is not null")
     # 1. each node's likeliest neighbour, by the number of blocks in which they are neighbours
-    near = met.filter("b is not null").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("score"))
-    links = verify(stage(_likeliest(near), "pairs"), df, k, percent, text_col)
+    near = near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("score"))
+    alive = met.select("node").distinct()
+    near = _likeliest(near).join(alive.withColumnRenamed("node", "a"), "a", "left_semi").join(alive.withColumnRenamed("node", "b"), "b", "left_semi")
+    links = verify(stage(near.select("a", "b"), "pairs"), docs, sig, k, percent)
     roots = stage(components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")
     # 2. across the components that a block still holds: likeliest pairs first, then every one that is left
-    info = sig.filter("n > 0").select("node", "n", "vec").dropDuplicates(["node"])
+    info = sig.filter("n > 0").select("node", "vec").join(alive, "node", "left_semi").dropDuplicates(["node"])
     for thin in (*[True] * thin_rounds, False):
-        held = met.filter("b is null").select("token", F.col("a").alias("node")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        mixed = stage(held.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).filter("lo <> hi").select("token", "m"), "mixed")
-        tasks = max(16, (mixed.agg(F.sum("m")).first()[0] or 0) // 50_000)
-        held = held.join(mixed.select("token"), "token", "left_semi").join(info, "node").select("token", "node", "root", "n", "vec")
-        links = links.union(verify(stage(cross_pairs(held, tasks, percent, thin), "pairs"), df, k, percent, text_col))
+        held = met.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        mixed = held.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("token")
+        held = stage(_supported(held.join(mixed, "token", "left_semi"), percent), "mixed")
+        tasks = max(16, held.count() // 100_000)
+        links = links.union(verify(stage(cross_pairs(held.join(info, "node"), tasks, percent, thin), "pairs"), docs, sig, k, percent))
         roots = stage(components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")
-    rows = sig.select("id", "n", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    rows = sig.select("id", "key", "n", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = rows.filter("n > 0").groupBy("root").agg(F.min("id").alias("least"), F.count(F.lit(1)).alias("m")).filter("m > 1")
     out = rows.join(least, "root", "left")
-    return out.select(F.col("id").alias(id_col), F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("least", "id")).otherwise(F.col("id")).alias("component_id"))
+    return out.select(F.col("id").alias(id_col), F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("least", "id")).otherwise(F.col("id")).alias("component_id"), F.col("key").alias("text_key"))
+
+
+def one_of_each(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``df`` with one row of each component: that of the smallest identifier, or one of its repetitions.
+
+    Rows without shingles, and components whose rows have no identifier, stay whole.
+    """
+    found = ngram_components(df, k, percent, id_col, text_col)
+    free = (F.col("n_shingles") == 0) | F.col("component_id").isNull()
+    least = found.filter(~free).groupBy("component_id").agg(F.min(F.struct(F.col(id_col).isNull().alias("none"), F.col(id_col).alias("i"), F.col("text_key").alias("key"))).alias("s"))
+    stay = found.filter(free).select(F.col(id_col).alias("_i"), F.col("text_key").alias("_k"), F.lit(True).alias("_all")).distinct()
+    stay = stay.union(least.select("s.i", "s.key", F.lit(False)))
+    both = df.withColumn("_key", F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))).join(stay, F.col(id_col).eqNullSafe(F.col("_i")) & (F.col("_key") == F.col("_k")))
+    turn = F.row_number().over(Window.partitionBy("_i", "_k").orderBy("_all"))
+    return both.withColumn("_turn", turn).filter(F.col("_all") | (F.col("_turn") == 1)).select(*df.columns)
