@@ -49,12 +49,15 @@ def _clean() -> None:
 atexit.register(_clean)
 
 
-def components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
+def components(edges: DataFrame, max_rounds: int = 40, small: int = 500_000) -> DataFrame:
     """(node, root) for the nodes of ``edges(u, v)`` longs; root is the smallest node of the component.
 
     Alternates the large-star and small-star contractions; each is a grouped minimum and a
-    join, so a hub needs no list of its neighbours. State is written to the shared folder each round.
+    join, so a hub needs no list of its neighbours. State is written to the shared folder each round. With at
+    most ``small`` edges, counted, the minima are broadcast instead of shuffled.
     """
+    edges = stage(edges.select("u", "v").filter("u <> v").distinct(), "cc")
+    few = edges.count() <= small
 
     def both(e: DataFrame) -> DataFrame:
         return e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -62,15 +65,15 @@ def components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     def star(nb: DataFrame, large: bool) -> DataFrame:
         side = nb if large else nb.filter("v < u")
         low = side.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        j = side.join(low, "u")
+        j = side.join(F.broadcast(low) if few else low, "u")
         out = j.filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")) if large else j.select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
-        return out.filter("u <> v").distinct()
+        return out.filter("u <> v")
 
-    edges = stage(edges.select("u", "v").filter("u <> v").distinct(), "cc")
     nodes = both(edges).select(F.col("u").alias("node")).distinct()
     e, seen = edges, None
     for _ in range(max_rounds):
-        e = stage(star(both(star(both(e), True)), False), "cc")
+        new = star(both(star(both(e), True)), False).distinct()
+        e = stage(new.coalesce(4) if few else new, "cc")
         key = e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
         if key == seen:
             break

@@ -5,7 +5,7 @@ does, by document identifier and line number. Words are ordered by rarity: by a
 fixed size, then by hash, so any error of the sketch costs time only. Classes whose first ``n - ceil(t n) + 1`` words
 share one meet in that word's block; sizes and the word's positions rule out most pairs. Each class's likeliest
 neighbour is verified first. Classes that this settles are no longer looked up; for the others every earlier
-class of their blocks is verified. A line goes if an earlier line has its set, or one similar to it.
+class of their blocks is verified. Bitmaps of 64 bits, whose differences bound those of the sets, rule out most pairs of strangers. A line goes if an earlier line has its set, or one similar to it.
 """
 
 from __future__ import annotations
@@ -50,12 +50,12 @@ class Lines:
 
 
 def rarity(docs: DataFrame, shards: int = 16) -> np.ndarray:
-    """In how many lines the words of each hash cell are, over all lines; CELLS numbers."""
+    """How often the words of each hash cell occur, over all lines; CELLS numbers."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(CELLS, np.int64)
         for _, texts in batches(it, "t"):
-            total += np.bincount((Lines(texts, None).words & _U64(CELLS - 1)).astype(np.int64), minlength=CELLS)
+            total += np.bincount((words(joined(texts)[0], True)[0] & _U64(CELLS - 1)).astype(np.int64), minlength=CELLS)
         yield pa.RecordBatch.from_arrays([pa.array(range(shards), pa.int32()), pa.array([x.astype(np.uint32).tobytes() for x in total.reshape(shards, -1)], pa.binary())], ["shard", "counts"])
 
     def add(t: pa.Table) -> pa.Table:
@@ -67,7 +67,8 @@ def rarity(docs: DataFrame, shards: int = 16) -> np.ndarray:
 
 
 def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
-    """(i, line, node, n, prefix) of each line with words; the prefix only where a task sees the class first, else empty."""
+    """(i, line, node, n, bits, w0 to w3, prefix) of each line with words; the prefix, as 32-bit hashes, only where a task sees
+    the class first, else empty. ``bits`` has one of 64 bits set for each word, the four others one of 256."""
     shared = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -84,35 +85,39 @@ def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
                 seen = np.union1d(seen, x.node[new])
             p = np.where(new, x.size + (-percent * x.size // 100) + 1, 0)
             at = np.arange(p.sum()) + np.repeat(x.begin - (np.cumsum(p) - p), p)
-            offsets = np.concatenate([[0], np.cumsum(p * 8)]).astype(np.int32)
-            prefix = pa.Array.from_buffers(pa.binary(), len(p), [None, pa.py_buffer(offsets), pa.py_buffer(x.words[at].tobytes())])
-            yield pa.RecordBatch.from_arrays([b.column("i").take(pa.array(x.text)), pa.array(x.number, pa.int32()), pa.array(x.node, pa.int64()), pa.array(x.size, pa.int32()), prefix], ["i", "line", "node", "n", "prefix"])
+            offsets = np.concatenate([[0], np.cumsum(p * 4)]).astype(np.int32)
+            flags = np.bitwise_or.reduceat(_U64(1) << (x.words & _U64(63)), x.begin)
+            at4 = x.words >> _U64(6) & _U64(255)
+            wide = [np.bitwise_or.reduceat(np.where(at4 >> _U64(6) == _U64(k), _U64(1) << (at4 & _U64(63)), _U64(0)), x.begin).view(np.int64) for k in range(4)]
+            prefix = pa.Array.from_buffers(pa.binary(), len(p), [None, pa.py_buffer(offsets), pa.py_buffer((x.words[at] >> _U64(32)).astype(np.uint32).tobytes())])
+            yield pa.RecordBatch.from_arrays([b.column("i").take(pa.array(x.text)), pa.array(x.number, pa.int32()), pa.array(x.node, pa.int64()), pa.array(x.size, pa.int32()), pa.array(flags.view(np.int64), pa.int64()), *(pa.array(w, pa.int64()) for w in wide), prefix], ["i", "line", "node", "n", "bits", "w0", "w1", "w2", "w3", "prefix"])
 
     kind = docs.schema["i"].dataType.simpleString()
-    return docs.select("i", "t").mapInArrow(run, f"i {kind}, line int, node long, n int, prefix binary")
+    return docs.select("i", "t").mapInArrow(run, f"i {kind}, line int, node long, n int, bits long, w0 long, w1 long, w2 long, w3 long, prefix binary")
 
 
 def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
-    """Rows (token, a, n, at, null) for block members that have a possible partner, and (null, a, null, null, b) for neighbours by size."""
+    """Rows (token, a, n, at, bits, null) for block members that have a possible partner, and (null, a, null, null, null, b) for
+    neighbours by size."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        box = Outbox(bits, (np.int64, np.int32, np.uint16))
+        box = Outbox(bits, (np.int64, np.int32, np.uint16, np.int64))
         for b in it:
             raw = b.column("prefix").to_pylist()
-            p = np.frombuffer(b"".join(raw), _U64)
-            size = np.fromiter((len(x) // 8 for x in raw), np.int64, len(raw))
-            place = np.arange(len(p)) - np.repeat(np.cumsum(size) - size, size)
-            if box.add(mix(p), np.repeat(b.column("node").to_numpy(), size), np.repeat(b.column("n").to_numpy(), size), np.minimum(place, 65535)):
+            size = np.fromiter((len(x) // 4 for x in raw), np.int64, len(raw))
+            place = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+            p = np.frombuffer(b"".join(raw), np.uint32).astype(_U64)
+            if box.add(mix(p), np.repeat(b.column("node").to_numpy(), size), np.repeat(b.column("n").to_numpy(), size), np.minimum(place, 65535), np.repeat(b.column("bits").to_numpy(), size)):
                 yield box.take()
         yield box.take()
 
     def meet(t: pa.Table) -> pa.Table:
-        low, node, n, at = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32), _column(t, "c2", np.uint16)
+        low, node, n, at, flags = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32), _column(t, "c2", np.uint16), _column(t, "c3", np.int64)
         order = np.lexsort((node, n, low))
         keep = order[np.concatenate(([True], (low[order][1:] != low[order][:-1]) | (node[order][1:] != node[order][:-1])))] if len(low) else order
-        low, node, n, at = low[keep], node[keep], n[keep].astype(np.int64), at[keep]
-        keep = _feasible(low, n, at, percent)
-        low, node, n, at = low[keep], node[keep], n[keep], at[keep]
+        low, node, n, at, flags = low[keep], node[keep], n[keep].astype(np.int64), at[keep], flags[keep]
+        keep = _feasible(low, n, at, percent, 256, flags)
+        low, node, n, at, flags = low[keep], node[keep], n[keep], at[keep], flags[keep]
         same = (low[1:] == low[:-1]) & (100 * n[:-1] >= percent * n[1:])
         near = np.flatnonzero(same)
         token = low.astype(np.int64) | t.column("part")[0].as_py() << 32
@@ -123,21 +128,22 @@ def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
             "a": pa.array(np.concatenate([node, node[near]]), pa.int64()),
             "n": pa.array(np.concatenate([n, np.zeros(m, np.int64)]).astype(np.int32), mask=pair),
             "at": pa.array(np.concatenate([at, np.zeros(m, np.uint16)]).astype(np.int32), mask=pair),
+            "bits": pa.array(np.concatenate([flags, np.zeros(m, np.int64)]), mask=pair),
             "b": pa.array(np.concatenate([np.zeros(k, np.int64), node[near + 1]]), mask=~pair),
         })
 
-    rows = lines.filter("octet_length(prefix) > 0").select("node", "n", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary")
-    return rows.groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, b long")
+    rows = lines.filter("octet_length(prefix) > 0").select("node", "n", "bits", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary, c3 binary")
+    return rows.groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, bits long, b long")
 
 
 def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
-    """(a, b): b open and later than a, in one block, not ruled out; from rows (token, node, n, at, rank, open).
+    """(a, b): b open and later than a, in one block, not ruled out; from rows (token, node, n, at, bits, i, line, open).
 
-    ``rank``: the struct (identifier, line) of the class, compared as such.
+    (i, line): where the class comes first, null first.
     """
 
     def join(t: pa.Table) -> pa.Table:
-        token, node, n, at, line, open_ = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "line", "open"))
+        token, node, n, at, flags, line, open_ = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "bits", "line", "open"))
         i = t.column("i").to_pandas()
         doc = i.rank(method="dense", na_option="top").to_numpy()
         order = np.argsort(token, kind="stable")
@@ -151,6 +157,7 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
             p, q = p[ok], q[ok]
             least = need(n[p], n[q], percent)
             ok = (np.minimum(n[p] - at[p], n[q] - at[q]) >= least) & ((n[p] != n[q]) | (least < n[p]))
+            ok &= n[p].astype(np.int64) + n[q] - np.bitwise_count((flags[p] ^ flags[q]).view(np.uint64)).astype(np.int64) >= 2 * least
             left.append(node[p[ok]])
             right.append(node[q[ok]])
 
@@ -176,11 +183,27 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
     return held.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long").distinct()
 
 
+def _hold(percent: int, kind: type):
+    def hold(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            good = []
+            for x, y in zip(b.column("ea").to_pylist(), b.column("eb").to_pylist(), strict=True):
+                p, q = np.sort(np.frombuffer(x, kind)), np.sort(np.frombuffer(y, kind))
+                # words that collide count as one word more in common, never as one less
+                common = int(np.minimum(np.searchsorted(q, p, "right") - np.searchsorted(q, p, "left"), 1).sum())
+                good.append((100 + percent) * common >= percent * (len(p) + len(q)))
+            keep = pa.array(good, pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], ["a", "b"])
+
+    return hold
+
+
 def verify(pairs: DataFrame, docs: DataFrame, first: DataFrame, percent: int, most: int = 1 << 20) -> DataFrame:
     """The pairs (a, b) of classes that are similar; words are taken from the documents where the classes come first."""
     nodes = stage(first.join(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "node", "left_semi"), "nodes")
-    ids = nodes.select(F.col("f.i").alias("k")).distinct()
-    texts = docs.join(F.broadcast(ids) if ids.count() <= most else ids, F.col("i").eqNullSafe(F.col("k")), "left_semi").select("t")
+    few = nodes.count() <= most
+    ids, wanted = nodes.select(F.col("f.i").alias("k")).distinct(), nodes.select("node")
+    texts = docs.join(F.broadcast(ids) if few else ids, F.col("i").eqNullSafe(F.col("k")), "left_semi").select("t")
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, texts in batches(it, "t"):
@@ -188,22 +211,11 @@ def verify(pairs: DataFrame, docs: DataFrame, first: DataFrame, percent: int, mo
             at = np.unique(x.node, return_index=True)[1]
             yield pa.RecordBatch.from_arrays([pa.array(x.node[at], pa.int64()), pa.array([x.words[x.begin[k] : x.begin[k] + x.size[k]].tobytes() for k in at], pa.binary())], ["node", "elements"])
 
-    sets = stage(texts.mapInArrow(run, "node long, elements binary").join(nodes.select("node"), "node", "left_semi").dropDuplicates(["node"]), "sets")
+    sets = stage(texts.mapInArrow(run, "node long, elements binary").join(F.broadcast(wanted) if few else wanted, "node", "left_semi").dropDuplicates(["node"]), "sets")
     both = pairs
     for side in ("a", "b"):
         both = both.join(sets.select(F.col("node").alias(side), F.col("elements").alias(f"e{side}")), side)
-
-    def hold(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in it:
-            good = []
-            for x, y in zip(b.column("ea"), b.column("eb"), strict=True):
-                p, q = np.frombuffer(x.as_buffer(), _U64), np.frombuffer(y.as_buffer(), _U64)
-                common = int((q[np.minimum(np.searchsorted(q, p), len(q) - 1)] == p).sum())
-                good.append(100 * common >= percent * (len(p) + len(q) - common))
-            keep = pa.array(good, pa.bool_())
-            yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], ["a", "b"])
-
-    return both.select("a", "b", "ea", "eb").mapInArrow(hold, "a long, b long")
+    return both.select("a", "b", "ea", "eb").mapInArrow(_hold(percent, np.uint64), "a long, b long")
 
 
 def later_lines(docs: DataFrame, percent: int) -> DataFrame:
@@ -211,18 +223,31 @@ def later_lines(docs: DataFrame, percent: int) -> DataFrame:
     rows = docs.count()
     bits = part_bits(rows, 8_000)
     lines = stage(classes(docs, rarity(docs), percent), "lines")
-    first = lines.groupBy("node").agg(F.min(F.struct("i", "line")).alias("f"), F.count(F.lit(1)).alias("m"))
+    first = lines.groupBy("node").agg(F.min(F.struct("i", "line")).alias("f"), F.count(F.lit(1)).alias("m"), *(F.min(c).alias(c) for c in ("n", "w0", "w1", "w2", "w3")))
     first = stage(first, "classes")
     met = stage(blocks(lines, bits, percent), "blocks")
     near = met.filter("b is not null").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("score"))
-    links = verify(stage(_likeliest(near), "pairs"), docs, first, percent)
+    links = _likeliest(near)
     rank = first.select("node", "f")
-    both = links.join(rank.select(F.col("node").alias("a"), F.col("f").alias("fa")), "a").join(rank.select(F.col("node").alias("b"), F.col("f").alias("fb")), "b")
-    settled = stage(both.filter("fa <> fb").select(F.when(F.col("fa") < F.col("fb"), F.col("b")).otherwise(F.col("a")).alias("node")).distinct(), "settled")
-    held = met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at")
-    held = held.join(rank, "node").join(settled.withColumn("s", F.lit(True)), "node", "left").select("token", "node", "n", "at", F.col("f.i").alias("i"), F.col("f.line").alias("line"), F.col("s").isNull().alias("open"))
+
+    def later(pairs: DataFrame) -> DataFrame:
+        """(a, b), b the later one, without those whose wider bitmaps differ in more bits than similar sets do in words."""
+        cols = ("f", "n", "w0", "w1", "w2", "w3")
+        both = pairs.select("a", "b")
+        for side in ("a", "b"):
+            both = both.join(first.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in cols)), side)
+        differ = sum((F.bit_count(F.col(f"w{k}_a").bitwiseXOR(F.col(f"w{k}_b"))) for k in range(4)), F.lit(0))
+        total = F.col("n_a").cast("long") + F.col("n_b")
+        least = F.ceil(percent * total / F.lit(100 + percent))
+        turn = F.col("f_a") < F.col("f_b")
+        return both.filter((F.col("f_a") != F.col("f_b")) & (total - differ >= 2 * least)).select(F.when(turn, F.col("a")).otherwise(F.col("b")).alias("a"), F.when(turn, F.col("b")).otherwise(F.col("a")).alias("b"))
+
+    sure = stage(verify(stage(later(links), "links"), docs, first, percent), "sure")
+    settled = stage(sure.select(F.col("b").alias("node")).distinct(), "settled")
+    held = met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at", "bits")
+    held = held.join(rank, "node").join(settled.withColumn("s", F.lit(True)), "node", "left").select("token", "node", "n", "at", "bits", F.col("f.i").alias("i"), F.col("f.line").alias("line"), F.col("s").isNull().alias("open"))
     tasks = max(16, met.count() // 100_000)
-    more = verify(stage(earlier_pairs(held, tasks, percent), "pairs"), docs, first, percent)
+    more = verify(stage(later(earlier_pairs(held, tasks, percent)), "pairs"), docs, first, percent)
     flagged = settled.union(more.select(F.col("b").alias("node"))).distinct().withColumn("similar", F.lit(True))
     repeated = first.join(flagged, "node", "left").filter("m > 1 or similar").select("node", "f", "similar")
     gone = lines.select("i", "line", "node").join(repeated, "node").filter(F.col("similar").isNotNull() | ~F.struct("i", "line").eqNullSafe(F.col("f")))
@@ -250,6 +275,9 @@ def remove_lines(df: DataFrame, percent: int = 75, id_col: str = "doc_id", text_
             listed = [k for k, g in enumerate(gone) if g]
             x = Lines([texts[k] for k in listed], None)
             node = {(listed[t], n): c for t, n, c in zip(x.text.tolist(), x.number.tolist(), x.node.tolist(), strict=True)}
+            if not listed:
+                yield pa.RecordBatch.from_arrays([*(b.column(n) for n in range(len(names))), pa.array([t.count(b"\n") + 1 for t in texts], pa.int64()), pa.array([0] * len(texts), pa.int64())], [*names, "n_lines", "n_removed"])
+                continue
             for k, text in enumerate(texts):
                 counts.append(text.count(b"\n") + 1)
                 if not gone[k]:
