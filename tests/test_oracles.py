@@ -5,6 +5,7 @@ import math
 import duckdb
 import pytest
 
+import provgraph.coverage  # noqa: F401  its queries register themselves
 from provgraph import queries
 
 SF = "/root/testdata/sf0.001"
