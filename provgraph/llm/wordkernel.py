@@ -7,6 +7,8 @@ combines its words' mixed hashes in order. Work is done in slices of about a meg
 
 from __future__ import annotations
 
+import ctypes
+import ctypes.util
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,6 +24,7 @@ _SPACE[[0x20, 9, 10, 11, 12, 13]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _LOWERED = _TABLE[_LOWER]
+_LIBC = ctypes.CDLL(name) if (name := ctypes.util.find_library("c")) and hasattr(ctypes.CDLL(name), "malloc_trim") else None
 _pows = (np.ones(1, np.uint64), np.ones(1, np.uint64))
 
 
@@ -86,6 +89,13 @@ def joined(texts: list[bytes]) -> tuple[bytes, np.ndarray]:
     return b"\n".join(texts) + b"\n", at
 
 
+def give_back() -> None:
+    """Returns freed memory to the system: Python workers outlive their tasks, and what they hold adds up on an executor."""
+    pa.default_memory_pool().release_unused()
+    if _LIBC is not None:
+        _LIBC.malloc_trim(0)
+
+
 def batches(it: Iterator[pa.RecordBatch], col: str = "text", limit: int = SLICE) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
     """Pieces of the batches with about ``limit`` bytes of text (a row at least); null text is empty."""
     for batch in it:
@@ -99,6 +109,8 @@ def batches(it: Iterator[pa.RecordBatch], col: str = "text", limit: int = SLICE)
             to = max(at + 1, int(np.searchsorted(ends, base + limit, "right")))
             yield batch.slice(at, to - at), texts[at:to]
             at = to
+        del batch, texts
+        give_back()
 
 
 def _combine(w: np.ndarray, k: int) -> np.ndarray:
