@@ -5,7 +5,7 @@ does, by document identifier and line number. Words are ordered by rarity: by a
 fixed size, then by hash, so any error of the sketch costs time only. Classes whose first ``n - ceil(t n) + 1`` words
 share one meet in that word's block; sizes and the word's positions rule out most pairs. Each class's likeliest
 neighbour is verified first. Classes that this settles are no longer looked up; for the others every earlier
-class of their blocks is verified. Bitmaps of 64 bits, whose differences bound those of the sets, rule out most pairs of strangers. A line goes if an earlier line has its set, or one similar to it.
+class of their blocks is verified. Bitmaps, whose differences bound those of the sets, rule out most pairs of strangers. A line goes if an earlier line has its set, or one similar to it.
 """
 
 from __future__ import annotations
@@ -18,8 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from provgraph.llm.common import stage
-from provgraph.llm.ngram_join import Outbox, _column, _feasible, _likeliest, _small_blocks, need, part_bits
-from provgraph.llm.wordkernel import batches, joined, mix, words
+from provgraph.llm.ngram_join import Outbox, _column, _feasible, _likeliest, _small_blocks, differing, need, part_bits
+from provgraph.llm.wordkernel import batches, give_back, joined, mix, words
 
 CELLS = 1 << 20
 _U64 = np.uint64
@@ -36,7 +36,13 @@ class Lines:
         first = np.searchsorted(ends, at[:-1])  # each text's first line
         self.n_lines = np.diff(np.append(first, len(ends)))
         cell = (w & _U64(CELLS - 1)).astype(np.int64)
-        order = np.lexsort((w, line) if rarity is None else (w, rarity[cell], line))
+        # by line, then rarity, then hash; in one number where the slice's lines fit 14 bits (28 bits of the hash then settle ties:
+        # words that agree in those are one word as far as the order goes)
+        rare = np.zeros(len(w), np.int64) if rarity is None else np.minimum(rarity[cell], (1 << 22) - 1).astype(np.int64)
+        if len(ends) < 1 << 14:
+            order = np.argsort((line.astype(_U64) << _U64(50)) | (rare.astype(_U64) << _U64(28)) | (w >> _U64(36)))
+        else:
+            order = np.lexsort((w >> _U64(36), rare, line))
         w, line = w[order], line[order]
         keep = np.concatenate(([True], (w[1:] != w[:-1]) | (line[1:] != line[:-1]))) if len(w) else np.zeros(0, bool)
         self.words, line = w[keep], line[keep]
@@ -67,8 +73,8 @@ def rarity(docs: DataFrame, shards: int = 16) -> np.ndarray:
 
 
 def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
-    """(i, line, node, n, bits, w0 to w3, prefix) of each line with words; the prefix, as 32-bit hashes, only where a task sees
-    the class first, else empty. ``bits`` has one of 64 bits set for each word, the four others one of 256."""
+    """(i, line, node, n, w0 to w3, prefix) of each line with words; the prefix, as 32-bit hashes, only where a task sees
+    the class first, else empty. w0 to w3 have one of 256 bits set for each word."""
     shared = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -81,38 +87,38 @@ def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
             new[np.unique(x.node, return_index=True)[1]] = True
             if len(seen):
                 new &= seen[np.minimum(np.searchsorted(seen, x.node), len(seen) - 1)] != x.node
-            if len(seen) < 4_000_000:
+            if len(seen) < 1_000_000:
                 seen = np.union1d(seen, x.node[new])
             p = np.where(new, x.size + (-percent * x.size // 100) + 1, 0)
             at = np.arange(p.sum()) + np.repeat(x.begin - (np.cumsum(p) - p), p)
             offsets = np.concatenate([[0], np.cumsum(p * 4)]).astype(np.int32)
-            flags = np.bitwise_or.reduceat(_U64(1) << (x.words & _U64(63)), x.begin)
-            at4 = x.words >> _U64(6) & _U64(255)
-            wide = [np.bitwise_or.reduceat(np.where(at4 >> _U64(6) == _U64(k), _U64(1) << (at4 & _U64(63)), _U64(0)), x.begin).view(np.int64) for k in range(4)]
+            place = x.words & _U64(255)
+            wide = [np.bitwise_or.reduceat(np.where(place >> _U64(6) == _U64(k), _U64(1) << (place & _U64(63)), _U64(0)), x.begin).view(np.int64) for k in range(4)]
             prefix = pa.Array.from_buffers(pa.binary(), len(p), [None, pa.py_buffer(offsets), pa.py_buffer((x.words[at] >> _U64(32)).astype(np.uint32).tobytes())])
-            yield pa.RecordBatch.from_arrays([b.column("i").take(pa.array(x.text)), pa.array(x.number, pa.int32()), pa.array(x.node, pa.int64()), pa.array(x.size, pa.int32()), pa.array(flags.view(np.int64), pa.int64()), *(pa.array(w, pa.int64()) for w in wide), prefix], ["i", "line", "node", "n", "bits", "w0", "w1", "w2", "w3", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column("i").take(pa.array(x.text)), pa.array(x.number, pa.int32()), pa.array(x.node, pa.int64()), pa.array(x.size, pa.int32()), *(pa.array(w, pa.int64()) for w in wide), prefix], ["i", "line", "node", "n", "w0", "w1", "w2", "w3", "prefix"])
 
     kind = docs.schema["i"].dataType.simpleString()
-    return docs.select("i", "t").mapInArrow(run, f"i {kind}, line int, node long, n int, bits long, w0 long, w1 long, w2 long, w3 long, prefix binary")
+    return docs.select("i", "t").mapInArrow(run, f"i {kind}, line int, node long, n int, w0 long, w1 long, w2 long, w3 long, prefix binary")
 
 
 def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
-    """Rows (token, a, n, at, bits, null) for block members that have a possible partner, and (null, a, null, null, null, b) for
-    neighbours by size."""
+    """Rows (token, a, n, at, b0, b1, null) for block members that have a possible partner, and (null, a, ..., b) for neighbours
+    by size. b0 and b1: the bitmap, folded to 128 bits."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        box = Outbox(bits, (np.int64, np.int32, np.uint16, np.int64))
+        box = Outbox(bits, (np.int64, np.int32, np.uint16, np.int64, np.int64))
         for b in it:
             raw = b.column("prefix").to_pylist()
             size = np.fromiter((len(x) // 4 for x in raw), np.int64, len(raw))
             place = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
             p = np.frombuffer(b"".join(raw), np.uint32).astype(_U64)
-            if box.add(mix(p), np.repeat(b.column("node").to_numpy(), size), np.repeat(b.column("n").to_numpy(), size), np.minimum(place, 65535), np.repeat(b.column("bits").to_numpy(), size)):
+            if box.add(mix(p), np.repeat(b.column("node").to_numpy(), size), np.repeat(b.column("n").to_numpy(), size), np.minimum(place, 65535), *(np.repeat(b.column(f"w{k}").to_numpy() | b.column(f"w{k + 2}").to_numpy(), size) for k in (0, 1))):
                 yield box.take()
         yield box.take()
 
     def meet(t: pa.Table) -> pa.Table:
-        low, node, n, at, flags = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32), _column(t, "c2", np.uint16), _column(t, "c3", np.int64)
+        low, node, n, at = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32), _column(t, "c2", np.uint16)
+        flags = np.stack([_column(t, "c3", np.int64), _column(t, "c4", np.int64)], 1)
         order = np.lexsort((node, n, low))
         keep = order[np.concatenate(([True], (low[order][1:] != low[order][:-1]) | (node[order][1:] != node[order][:-1])))] if len(low) else order
         low, node, n, at, flags = low[keep], node[keep], n[keep].astype(np.int64), at[keep], flags[keep]
@@ -123,27 +129,29 @@ def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
         token = low.astype(np.int64) | t.column("part")[0].as_py() << 32
         k, m = len(token), len(near)
         pair = np.arange(k + m) >= k
+        give_back()
         return pa.table({
             "token": pa.array(np.concatenate([token, np.zeros(m, np.int64)]), mask=pair),
             "a": pa.array(np.concatenate([node, node[near]]), pa.int64()),
             "n": pa.array(np.concatenate([n, np.zeros(m, np.int64)]).astype(np.int32), mask=pair),
             "at": pa.array(np.concatenate([at, np.zeros(m, np.uint16)]).astype(np.int32), mask=pair),
-            "bits": pa.array(np.concatenate([flags, np.zeros(m, np.int64)]), mask=pair),
+            **{f"b{c}": pa.array(np.concatenate([flags[:, c], np.zeros(m, np.int64)]), mask=pair) for c in (0, 1)},
             "b": pa.array(np.concatenate([np.zeros(k, np.int64), node[near + 1]]), mask=~pair),
         })
 
-    rows = lines.filter("octet_length(prefix) > 0").select("node", "n", "bits", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary, c3 binary")
-    return rows.groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, bits long, b long")
+    rows = lines.filter("octet_length(prefix) > 0").select("node", "n", "w0", "w1", "w2", "w3", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary, c3 binary, c4 binary")
+    return rows.groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, b0 long, b1 long, b long")
 
 
 def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
-    """(a, b): b open and later than a, in one block, not ruled out; from rows (token, node, n, at, bits, i, line, open).
+    """(a, b): b open and later than a, in one block, not ruled out; from rows (token, node, n, at, b0, b1, i, line, open).
 
     (i, line): where the class comes first, null first.
     """
 
     def join(t: pa.Table) -> pa.Table:
-        token, node, n, at, flags, line, open_ = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "bits", "line", "open"))
+        token, node, n, at, line, open_ = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "line", "open"))
+        flags = np.stack([t.column("b0").to_numpy(), t.column("b1").to_numpy()], 1)
         i = t.column("i").to_pandas()
         doc = i.rank(method="dense", na_option="top").to_numpy()
         order = np.argsort(token, kind="stable")
@@ -157,12 +165,12 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
             p, q = p[ok], q[ok]
             least = need(n[p], n[q], percent)
             ok = (np.minimum(n[p] - at[p], n[q] - at[q]) >= least) & ((n[p] != n[q]) | (least < n[p]))
-            ok &= n[p].astype(np.int64) + n[q] - np.bitwise_count((flags[p] ^ flags[q]).view(np.uint64)).astype(np.int64) >= 2 * least
+            ok &= n[p].astype(np.int64) + n[q] - differing(flags[p], flags[q]) >= 2 * least
             left.append(node[p[ok]])
             right.append(node[q[ok]])
 
         small = np.flatnonzero(size <= 512)
-        budget = np.cumsum(size[small].astype(np.int64) ** 2) // 2_000_000
+        budget = np.cumsum(size[small].astype(np.int64) ** 2) // 300_000
         for g in np.unique(budget):
             part = small[budget == g]
             own = order[np.concatenate([np.arange(cut[k], cut[k + 1]) for k in part])]
@@ -172,12 +180,13 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
             own = order[cut[k] : cut[k + 1]]
             own = own[np.argsort(n[own], kind="stable")]
             to = np.searchsorted(n[own], 100 * n[own].astype(np.int64) // percent, "right")
-            for a in range(0, len(own), 256):
-                width = to[a : a + 256] - np.arange(a, min(a + 256, len(own))) - 1
-                x = np.repeat(np.arange(a, min(a + 256, len(own))), width)
+            for a in range(0, len(own), 16):
+                width = to[a : a + 16] - np.arange(a, min(a + 16, len(own))) - 1
+                x = np.repeat(np.arange(a, min(a + 16, len(own))), width)
                 y = x + 1 + np.arange(len(x)) - np.repeat(np.cumsum(width) - width, width)
                 take(own[x], own[y])
         pairs = np.unique(np.stack([np.concatenate(left), np.concatenate(right)], 1), axis=0) if left else np.zeros((0, 2), np.int64)
+        give_back()
         return pa.table({"a": pa.array(pairs[:, 0], pa.int64()), "b": pa.array(pairs[:, 1], pa.int64())})
 
     return held.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long").distinct()
@@ -244,8 +253,8 @@ def later_lines(docs: DataFrame, percent: int) -> DataFrame:
 
     sure = stage(verify(stage(later(links), "links"), docs, first, percent), "sure")
     settled = stage(sure.select(F.col("b").alias("node")).distinct(), "settled")
-    held = met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at", "bits")
-    held = held.join(rank, "node").join(settled.withColumn("s", F.lit(True)), "node", "left").select("token", "node", "n", "at", "bits", F.col("f.i").alias("i"), F.col("f.line").alias("line"), F.col("s").isNull().alias("open"))
+    held = met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at", "b0", "b1")
+    held = held.join(rank, "node").join(settled.withColumn("s", F.lit(True)), "node", "left").select("token", "node", "n", "at", "b0", "b1", F.col("f.i").alias("i"), F.col("f.line").alias("line"), F.col("s").isNull().alias("open"))
     tasks = max(16, met.count() // 100_000)
     more = verify(stage(later(earlier_pairs(held, tasks, percent)), "pairs"), docs, first, percent)
     flagged = settled.union(more.select(F.col("b").alias("node"))).distinct().withColumn("similar", F.lit(True))

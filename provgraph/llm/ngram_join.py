@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from provgraph.llm.common import components, stage
-from provgraph.llm.wordkernel import batches, window_arrays
+from provgraph.llm.wordkernel import batches, give_back, window_arrays
 
 GROUPS = 256
 REGION = np.uint64(3 << 61)  # n-grams below this hash are counted over all documents when the order is made
@@ -147,28 +147,46 @@ def signatures(docs: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int
     return docs.mapInArrow(run, f"id {kind}, key long, n int, node long, prefix binary, vec binary")
 
 
+def differing(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """In how many bits rows of 64-bit numbers differ."""
+    return np.bitwise_count((x ^ y).view(np.uint64)).sum(1, dtype=np.int64)
+
+
 def _feasible(low: np.ndarray, n: np.ndarray, at: np.ndarray | None, percent: int, most: int = 64, flags: np.ndarray | None = None) -> np.ndarray:
     """Which postings (sorted by token) have a partner in their block by size and, if given, position.
 
     What follows the first common element is all that two sets can share besides it, so a pair may be left to the block of
-    that element: there ``n - position`` of both must reach what they need. Blocks of over ``most`` are kept whole.
+    that element: there ``n - position`` of both must reach what they need. Without bitmaps, blocks of over ``most`` are kept whole.
     """
     cut = np.flatnonzero(np.concatenate(([True], low[1:] != low[:-1], [True]))) if len(low) else np.zeros(1, int)
     size = np.diff(cut)
-    keep = np.repeat(size > most, size)
+    keep = np.zeros(len(low), bool) if flags is not None else np.repeat(size > most, size)
+
+    def mark(x: np.ndarray, y: np.ndarray) -> None:
+        ok = 100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y])
+        x, y = x[ok], y[ok]
+        least = need(n[x], n[y], percent)
+        ok = np.ones(len(x), bool) if at is None else np.minimum(n[x] - at[x], n[y] - at[y]) >= least
+        if flags is not None:  # bitmaps that differ in d bits belong to sets that differ in d elements at least
+            ok &= n[x] + n[y] - differing(flags[x], flags[y]) >= 2 * least
+        keep[x[ok]] = True
+        keep[y[ok]] = True
+
     small = np.flatnonzero((size > 1) & (size <= most))
-    weight = np.cumsum(size[small].astype(np.int64) ** 2) // 1_000_000
+    weight = np.cumsum(size[small].astype(np.int64) ** 2) // 200_000
     for group in np.unique(weight):
         part = small[weight == group]
         own = np.arange(size[part].sum()) + np.repeat(cut[part] - np.concatenate([[0], np.cumsum(size[part])[:-1]]), size[part])
         i, j = _small_blocks(size[part])
-        x, y = own[i], own[j]
-        ok = np.ones(len(x), bool) if at is None else np.minimum(n[x] - at[x], n[y] - at[y]) >= need(n[x], n[y], percent)
-        ok &= 100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y])
-        if flags is not None:  # bitmaps that differ in d bits belong to sets that differ in d elements at least
-            ok &= n[x] + n[y] - np.bitwise_count((flags[x] ^ flags[y]).view(np.uint64)).astype(np.int64) >= 2 * need(n[x], n[y], percent)
-        keep[x[ok]] = True
-        keep[y[ok]] = True
+        mark(own[i], own[j])
+    if flags is not None:
+        for k in np.flatnonzero(size > most):  # members by size, each against those up to its limit
+            first, last = int(cut[k]), int(cut[k + 1])
+            to = first + np.searchsorted(n[first:last], 100 * n[first:last] // percent, "right")
+            for a in range(first, last, 32):
+                width = to[a - first : a - first + 32] - np.arange(a, min(a + 32, last)) - 1
+                x = np.repeat(np.arange(a, min(a + 32, last)), width)
+                mark(x, x + 1 + np.arange(len(x)) - np.repeat(np.cumsum(width) - width, width))
     return keep
 
 
@@ -301,6 +319,7 @@ def cross_pairs(mixed: DataFrame, tasks: int, percent: int, thin: bool) -> DataF
             top = by[np.concatenate((ends[by][1:] != ends[by][:-1], [True]))] % len(p)
             keep = np.unique(top)
             p, q, score = p[keep], q[keep], score[keep]
+        give_back()
         return pa.table({"a": pa.array(p, pa.int64()), "b": pa.array(q, pa.int64()), "score": pa.array(score, pa.float64())})
 
     pairs = mixed.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long, score double")
