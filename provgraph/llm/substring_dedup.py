@@ -196,11 +196,10 @@ def _locate(window: int, bits: int):
             cut = np.searchsorted(starts, at)
             h = _combine(w, window)
             number: dict[bytes, int] = {}
-            parts = [t.split() for t in texts]
-            # a text without a confirmed window of its own has no occurrence to remove
-            ids = [[number.setdefault(x, len(number) + 1) for x in p] if k else [] for p, k in zip(parts, keys, strict=True)]
             phrases: dict[tuple[int, ...], int] = {}
-            for k, (own, a, z) in enumerate(zip(ids, cut[:-1].tolist(), cut[1:].tolist(), strict=True)):
+            parts = [t.split() for t in texts]
+            streams: list[tuple[list[int], np.ndarray] | None] = [None] * len(parts)
+            for k, (p, a, z) in enumerate(zip(parts, cut[:-1].tolist(), cut[1:].tolist(), strict=True)):
                 if not keys[k] or z - a < window:
                     continue
                 known, who = (np.frombuffer(b"".join(x[k]), np.int64) for x in (keys, owners))
@@ -208,19 +207,32 @@ def _locate(window: int, bits: int):
                 known, who = known[order], who[order]
                 mine = _full(h[a : z - window + 1], bits)
                 place = np.minimum(np.searchsorted(known, mine), len(known) - 1)
-                for j in np.flatnonzero(known[place] == mine).tolist():
-                    phrases.setdefault(tuple(own[j : j + window]), int(who[place[j]]))
+                hit = np.flatnonzero(known[place] == mine)
+                if not len(hit):  # the keys are those of another row with this identifier
+                    continue
+                # an occurrence with an earlier owner is a confirmed window of this text, so the stream is what these cover
+                edge = np.zeros(len(p) + 1, np.int32)
+                edge[hit] += 1
+                edge[hit + window] -= 1
+                at = np.flatnonzero(np.cumsum(edge[:-1]) > 0)
+                ids = [number.setdefault(p[i], len(number) + 1) for i in at.tolist()]
+                for j, s in zip(hit.tolist(), np.searchsorted(at, hit).tolist(), strict=True):
+                    phrases.setdefault(tuple(ids[s : s + window]), int(who[place[j]]))
+                gaps = np.flatnonzero(np.diff(at) > 1) + 1
+                streams[k] = np.insert(np.array(ids, np.int64), gaps, 0).tolist(), np.insert(at, gaps, -1)
             auto = _automaton(phrases) if phrases else None
             rows = []
-            for i, p, own in zip(docs, parts, ids, strict=True):
+            for i, p, stream in zip(docs, parts, streams, strict=True):
+                if stream is None:
+                    rows.append((len(p), 0, _sha(p)))
+                    continue
                 gone = np.zeros(len(p) + 1, np.int32)
-                if auto is not None and own:
-                    for end, owner in auto.iter(tuple(own)):
-                        if owner < i:
-                            gone[end - window + 1] += 1
-                            gone[end + 1] -= 1
+                ends = np.array([end for end, owner in auto.iter(tuple(stream[0])) if owner < i], np.int64)
+                ends = stream[1][ends]
+                np.add.at(gone, ends - window + 1, 1)
+                np.add.at(gone, ends + 1, -1)
                 out = np.cumsum(gone[:-1]) > 0
-                rows.append((len(p), int(out.sum()), _sha(list(compress(p, (~out).tolist())) if out.any() else p)))
+                rows.append((len(p), int(out.sum()), _sha(list(compress(p, (~out).tolist())))))
             yield pa.RecordBatch.from_arrays([b.column("i"), *(pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.string()), strict=True))], ["i", "n_words", "n_removed", "sha"])
 
     return run
