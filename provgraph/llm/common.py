@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _MADE: list[tuple[SparkSession, str]] = []
+_OWN: dict[str, str] = {}  # by application, where spark.checkpoint.dir is unset
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,8 +21,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors share: spark.checkpoint.dir, or a local one of our own where it is unset."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        base = "file://" + tempfile.mkdtemp(prefix="shared-")
-        spark.conf.set("spark.checkpoint.dir", base)
+        base = _OWN.get(spark.sparkContext.applicationId) or "file://" + tempfile.mkdtemp(prefix="shared-")
+        _OWN[spark.sparkContext.applicationId] = base
     return base.rstrip("/")
 
 
