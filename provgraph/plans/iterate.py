@@ -12,14 +12,15 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 
 _MADE: list[tuple[SparkSession, str]] = []
+_OWN: dict[str, str] = {}  # by application, where spark.checkpoint.dir is unset
 
 
 def shared_dir(spark: SparkSession) -> str:
     """spark.checkpoint.dir; where that is unset, a local folder of our own."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        base = "file://" + tempfile.mkdtemp(prefix="rounds-")
-        spark.conf.set("spark.checkpoint.dir", base)
+        base = _OWN.get(spark.sparkContext.applicationId) or "file://" + tempfile.mkdtemp(prefix="rounds-")
+        _OWN[spark.sparkContext.applicationId] = base
     return base.rstrip("/")
 
 
