@@ -60,7 +60,7 @@ def _sets(texts: list[bytes], k: int) -> Iterator[np.ndarray]:
 class Outbox:
     """Gathers (hash, payload columns) and lays them out by the hash's leading bits as one binary row per part."""
 
-    def __init__(self, bits: int, kinds: tuple[type, ...], flush: int = 1_500_000):
+    def __init__(self, bits: int, kinds: tuple[type, ...], flush: int = 500_000):
         self.bits, self.kinds, self.flush = bits, kinds, flush
         self.held: list[tuple[np.ndarray, ...]] = []
         self.n = 0
@@ -81,7 +81,9 @@ class Outbox:
         at = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1]))) if len(part) else np.zeros(0, np.int64)
         ends = np.append(at[1:], len(part))[: len(at)]
         rows = [[x[a:b].tobytes() for a, b in zip(at, ends, strict=True)] for x in (low, *cols)]
-        return pa.RecordBatch.from_arrays([pa.array(part[at], pa.int32()), *(pa.array(r, pa.binary()) for r in rows)], ["part", "low", *(f"c{i}" for i in range(len(cols)))])
+        del h, order, cols, low
+        give_back()
+        return pa.RecordBatch.from_arrays([pa.array(part[at], pa.int32()), *(pa.array(r, pa.binary()) for r in rows)], ["part", "low", *(f"c{i}" for i in range(len(rows) - 1))])
 
 
 def part_bits(rows: int, each: int = 8_000) -> int:
@@ -199,7 +201,7 @@ def blocks(sig: DataFrame, bits: int, percent: int) -> DataFrame:
             for n, node, prefix in zip(b.column("n").to_pylist(), b.column("node").to_pylist(), b.column("prefix").to_pylist(), strict=True):
                 if not n or node in seen:
                     continue
-                if len(seen) < 1_000_000:
+                if len(seen) < 200_000:
                     seen.add(node)
                 p = np.frombuffer(prefix, _U64)
                 if box.add(p, np.full(len(p), node), np.full(len(p), n), np.minimum(np.arange(len(p)), 65535)):
@@ -366,7 +368,7 @@ def verify(pairs: DataFrame, docs: DataFrame, sig: DataFrame, k: int, percent: i
             for s in _sets(texts, k):
                 if len(s) and (node := node_id(s)) not in seen:
                     out[node] = (s.tobytes(), _fine(s))
-                    if len(seen) < 1_000_000:
+                    if len(seen) < 200_000:
                         seen.add(node)
             yield pa.RecordBatch.from_arrays([pa.array(list(out), pa.int64()), *(pa.array([v[c] for v in out.values()], pa.binary()) for c in (0, 1))], ["node", "elements", "fine"])
 
