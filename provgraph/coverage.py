@@ -68,6 +68,25 @@ def op_join_anti(spark, d):
     return c.table(spark, d, "part").join(c.table(spark, d, "lineitem").filter("l_orderkey < 500"), F.col("p_partkey") == F.col("l_partkey"), "left_anti").select("p_partkey")
 
 
+def _by_flag(spark, d, how):
+    """(p_partkey, l_returnflag): every part under every return flag, joined in the given way with all lines."""
+    li = c.table(spark, d, "lineitem").select("l_partkey", "l_returnflag")
+    pairs = c.table(spark, d, "part").select("p_partkey").crossJoin(li.select("l_returnflag").distinct())
+    return pairs.join(li.withColumnRenamed("l_partkey", "p_partkey"), ["p_partkey", "l_returnflag"], how)
+
+
+@query("SELECT p_partkey, l_returnflag FROM part, (SELECT DISTINCT l_returnflag FROM lineitem) f WHERE EXISTS (SELECT 1 FROM lineitem l WHERE l.l_partkey = p_partkey AND l.l_returnflag = f.l_returnflag)")
+def op_join_semi_all(spark, d):
+    """The parts that lines of each return flag use, over the whole table."""
+    return _by_flag(spark, d, "left_semi")
+
+
+@query("SELECT p_partkey, l_returnflag FROM part, (SELECT DISTINCT l_returnflag FROM lineitem) f WHERE NOT EXISTS (SELECT 1 FROM lineitem l WHERE l.l_partkey = p_partkey AND l.l_returnflag = f.l_returnflag)")
+def op_join_anti_all(spark, d):
+    """The parts that no line of a return flag uses, over the whole table."""
+    return _by_flag(spark, d, "left_anti")
+
+
 @query("WITH a AS (SELECT lang, count(*) AS x FROM documents WHERE source = 'src0' GROUP BY 1), b AS (SELECT lang, count(*) AS y FROM documents WHERE source = 'src1' GROUP BY 1) SELECT coalesce(a.lang, b.lang) AS lang, coalesce(x, 0) AS x, coalesce(y, 0) AS y FROM a FULL JOIN b ON a.lang = b.lang")
 def op_join_full(spark, d):
     f = c.table(spark, d, "documents")
@@ -102,6 +121,23 @@ def op_join_nested(spark, d):
     return a.join(b, F.col("ka") == F.col("kb")).select("a", "b")
 
 
+@query(
+    """WITH s AS (SELECT l_orderkey, l_suppkey, count(DISTINCT l_partkey) AS degree FROM lineitem GROUP BY 1, 2), r AS (SELECT l_orderkey, degree, count(*) AS n FROM s GROUP BY 1, 2),
+    h AS (SELECT degree, n, count(*) AS runs FROM r GROUP BY 1, 2)
+    SELECT a.degree, a.n AS n_a, b.n AS n_b, (CASE WHEN a.n = b.n THEN a.runs::HUGEINT * (a.runs - 1) // 2 ELSE a.runs::HUGEINT * b.runs END)::DECIMAL(38, 0) AS run_pairs FROM h a JOIN h b ON a.degree = b.degree AND a.n <= b.n"""
+)
+def op_join_nested_all(spark, d):
+    """Pairs of orders, over all of them, that hold ``n_a`` and ``n_b`` suppliers of one degree: each such pair has ``n_a * n_b`` candidates.
+
+    Orders with as many suppliers of a degree are one class before the join, so its size does not grow with the number of orders.
+    """
+    s = c.table(spark, d, "lineitem").groupBy("l_orderkey", "l_suppkey").agg(F.count_distinct("l_partkey").alias("degree"))
+    h = s.groupBy("l_orderkey", "degree").agg(F.count(F.lit(1)).alias("n")).groupBy("degree", "n").agg(F.count(F.lit(1)).cast("decimal(19,0)").alias("runs"))
+    a, b = (h.select("degree", F.col("n").alias(f"n_{x}"), F.col("runs").alias(x)) for x in "ab")
+    pairs = F.when(F.col("n_a") == F.col("n_b"), F.col("a") * (F.col("a") - 1) / 2).otherwise(F.col("a") * F.col("b"))
+    return a.join(b, "degree").filter("n_a <= n_b").select("degree", "n_a", "n_b", pairs.cast("decimal(38,0)").alias("run_pairs"))
+
+
 @query(o.ORDERS + ", x AS (SELECT src AS node_id, label, 1 AS o, 0 AS i FROM ord_e UNION ALL SELECT dst, label, 0, 1 FROM ord_e) SELECT node_id, label, sum(o)::BIGINT AS n_out, sum(i)::BIGINT AS n_in FROM x GROUP BY ALL")
 def op_agg_degrees(spark, d):
     return graph.degrees(c.order_runs(spark, d)).drop("run_id")
@@ -154,6 +190,17 @@ def op_set_ops(spark, d):
     return a.intersect(b).select(F.lit("both").alias("part"), "l_partkey").unionByName(a.subtract(b).select(F.lit("first").alias("part"), "l_partkey"))
 
 
+@query("WITH f AS (SELECT l_partkey FROM lineitem WHERE l_linestatus = 'F'), g AS (SELECT l_partkey FROM lineitem WHERE l_linestatus IS DISTINCT FROM 'F') SELECT 'both' AS part, l_partkey FROM (FROM f INTERSECT FROM g) UNION ALL SELECT 'first', l_partkey FROM (FROM f EXCEPT FROM g) UNION ALL SELECT 'second', l_partkey FROM (FROM g EXCEPT FROM f)")
+def op_set_ops_all(spark, d):
+    """Parts on finished and on other lines, over the whole table."""
+    li = c.table(spark, d, "lineitem")
+    done = F.col("l_linestatus").eqNullSafe("F")
+    a, b = li.filter(done).select("l_partkey"), li.filter(~done).select("l_partkey")
+    parts = (a.intersect(b), "both"), (a.subtract(b), "first"), (b.subtract(a), "second")
+    x, y, z = (df.select(F.lit(name).alias("part"), "l_partkey") for df, name in parts)
+    return x.unionByName(y).unionByName(z)
+
+
 @query(rf"SELECT page_id, regexp_extract(url, '{_URL}', 2) AS host, array_to_string(string_split(url, '/')[-2:], '/') AS short FROM pages")
 def op_string_path(spark, d):
     return c.table(spark, d, "pages").select("page_id", F.regexp_extract("url", _URL, 2).alias("host"), short_path(F.col("url")).alias("short"))
