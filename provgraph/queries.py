@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -562,4 +563,6 @@ def stream_intervals(spark, d):
 @query()
 def stream_hazards(spark, d):
     s, name = _stream(spark, d)
-    return live.drain(live.live_hazards(s), f"{name}_h").agg(F.count(F.lit(1)).alias("hazards"))
+    path = f"{shared_dir(spark)}/{name}_h-{uuid.uuid4().hex}"
+    live.sink_runs(live.live_hazards(s, None).select("reader", "file", "writer"), f"{path}/rows", f"{path}/ck").awaitTermination()
+    return spark.read.parquet(f"{path}/rows").select("reader", "file", "writer").distinct().agg(F.count(F.lit(1)).alias("hazards"))

@@ -40,12 +40,16 @@ def access_counts(events: DataFrame, size: str = "1 day", slide: str | None = No
     return events.withWatermark("at", delay).groupBy(w, "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("begun"), "event_type", "n")
 
 
-def live_hazards(events: DataFrame, horizon: str = "1 day", delay: str = "10 minutes") -> DataFrame:
-    """(reader, file, writer, read_at, written_at): reads and later writes by others within ``horizon``; both sides are held that long."""
-    a = _accesses(events).withWatermark("at", delay)
+def live_hazards(events: DataFrame, horizon: str | None = "1 day", delay: str = "10 minutes") -> DataFrame:
+    """(reader, file, writer, read_at, written_at): reads and later writes by others within ``horizon``; both sides are held that long.
+
+    Without a horizon every access is held and none is dropped as late, so that no pair is missed.
+    """
+    a = _accesses(events)
+    a = a.withWatermark("at", delay) if horizon else a
     r = a.filter("op = 'read'").select(F.col("actor").alias("reader"), F.col("object").alias("file"), F.col("at").alias("read_at"))
     w = a.filter("op = 'written'").select(F.col("actor").alias("writer"), F.col("object").alias("written_file"), F.col("at").alias("written_at"))
-    cond = F.expr(f"file = written_file and written_at > read_at and written_at <= read_at + interval {horizon}")
+    cond = F.expr("file = written_file and written_at > read_at" + (f" and written_at <= read_at + interval {horizon}" if horizon else ""))
     return r.join(w, cond).filter("reader <> writer").select("reader", "file", "writer", "read_at", "written_at")
 
 

@@ -2,9 +2,13 @@
 
 import pytest
 from test_oracles import SF, duck  # noqa: F401
+from test_sources_streams import _parts
 
 import provgraph.coverage  # noqa: F401  its queries register themselves
 from provgraph import queries
+from provgraph.operators import trace, versioning
+from provgraph.sources import carriers
+from provgraph.streaming import live
 
 
 @pytest.mark.parametrize("name", ["op_join_semi_all", "op_join_anti_all", "op_set_ops_all"])
@@ -36,3 +40,11 @@ def test_all_orders_pair(spark, duck):  # noqa: F811
     for r in queries.QUERIES["op_join_nested_all"](spark, SF).collect():
         got[r["degree"]] += r["n_a"] * r["n_b"] * int(r["run_pairs"])
     assert got == want
+
+
+def test_live_hazards_equal_batch(spark, tmp_path):
+    a = carriers.audit_accesses(spark, SF)
+    want = {tuple(r) for r in versioning.hazards(trace.from_accesses(a, "access")).select("reader", "file", "writer").collect()}
+    got = live.drain(live.live_hazards(_parts(spark, tmp_path / "events"), None), "all_hazards")
+    assert {tuple(r) for r in got.select("reader", "file", "writer").collect()} == want
+    assert queries.QUERIES["stream_hazards"](spark, SF).first()["hazards"] == len(want)
