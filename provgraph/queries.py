@@ -541,6 +541,13 @@ def _stream(spark, d):
     return s.withColumn("at", F.col("ts").cast("timestamp")), f"s{os.getpid()}_{abs(hash(d)) % 10**6}"
 
 
+def _written(stream, name, mode="append"):
+    """The rows of a stream over all that is there, by way of the shared folder, as they may be many."""
+    path = f"{shared_dir(stream.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    live.sink_runs(stream, f"{path}/rows", f"{path}/ck", mode).awaitTermination()
+    return stream.sparkSession.read.parquet(f"{path}/rows").select(*stream.columns)
+
+
 @query("SELECT strftime(time_bucket(INTERVAL 1 DAY, ts), '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
 def stream_window_counts(spark, d):
     s, name = _stream(spark, d)
@@ -557,12 +564,10 @@ def stream_dedup(spark, d):
 @query()
 def stream_intervals(spark, d):
     s, name = _stream(spark, d)
-    return live.drain(live.open_close_intervals(s), f"{name}_i").groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
+    return _written(live.open_close_intervals(s, delay=None), f"{name}_i", "complete").groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
 
 
 @query()
 def stream_hazards(spark, d):
     s, name = _stream(spark, d)
-    path = f"{shared_dir(spark)}/{name}_h-{uuid.uuid4().hex}"
-    live.sink_runs(live.live_hazards(s, None).select("reader", "file", "writer"), f"{path}/rows", f"{path}/ck").awaitTermination()
-    return spark.read.parquet(f"{path}/rows").select("reader", "file", "writer").distinct().agg(F.count(F.lit(1)).alias("hazards"))
+    return _written(live.live_hazards(s, None).select("reader", "file", "writer"), f"{name}_h").distinct().agg(F.count(F.lit(1)).alias("hazards"))

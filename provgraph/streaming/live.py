@@ -28,9 +28,13 @@ def _accesses(events: DataFrame) -> DataFrame:
     return accesses_of(events).withColumn("at", F.col("ts").cast("timestamp"))
 
 
-def open_close_intervals(events: DataFrame, gap: str = "1 hour", delay: str = "10 minutes") -> DataFrame:
-    """(actor, op, object, t_begin, t_end, n): accesses less than ``gap`` apart are one session; rows past the watermark are dropped."""
-    a = _accesses(events).withWatermark("at", delay)
+def open_close_intervals(events: DataFrame, gap: str = "1 hour", delay: str | None = "10 minutes") -> DataFrame:
+    """(actor, op, object, t_begin, t_last, n): accesses no more than ``gap`` apart are one session; rows past the watermark are dropped.
+
+    Without a ``delay`` no row is dropped; drained in complete mode, sessions that are still open are there too.
+    """
+    a = _accesses(events)
+    a = a.withWatermark("at", delay) if delay else a
     s = a.groupBy(F.session_window("at", gap), "actor", "op", "object").agg(F.min("at").alias("t_begin"), F.max("at").alias("t_last"), F.count(F.lit(1)).alias("n"))
     return s.select("actor", "op", "object", "t_begin", "t_last", "n")
 
@@ -79,13 +83,13 @@ def live_versions(events: DataFrame) -> DataFrame:
     return a.groupBy("object").transformWithStateInPandas(VersionCounter(), "object string, actor string, op string, seq long, version long", "append", "none")
 
 
-def sink_runs(stream: DataFrame, path: str, checkpoint: str):
-    """Writes each batch under its own number, so that a batch that runs again replaces itself."""
+def sink_runs(stream: DataFrame, path: str, checkpoint: str, mode: str = "append"):
+    """Writes each batch under its own number, so that a batch that runs again replaces itself; in complete mode the last one stays."""
 
     def put(df: DataFrame, batch: int) -> None:
-        df.write.mode("overwrite").parquet(f"{path}/batch={batch}")
+        df.write.mode("overwrite").parquet(f"{path}/batch={0 if mode == 'complete' else batch}")
 
-    return stream.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    return stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
 def drain(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None, then: Callable | None = None) -> DataFrame:

@@ -1,6 +1,7 @@
 """Queries read all rows of their tables."""
 
 import pytest
+from pyspark.sql import functions as F
 from test_oracles import SF, duck  # noqa: F401
 from test_sources_streams import _parts
 
@@ -48,3 +49,14 @@ def test_live_hazards_equal_batch(spark, tmp_path):
     got = live.drain(live.live_hazards(_parts(spark, tmp_path / "events"), None), "all_hazards")
     assert {tuple(r) for r in got.select("reader", "file", "writer").collect()} == want
     assert queries.QUERIES["stream_hazards"](spark, SF).first()["hazards"] == len(want)
+
+
+def test_live_sessions_equal_batch(spark, tmp_path):
+    a = carriers.audit_accesses(spark, SF)
+    at = F.col("t_begin").cast("timestamp").alias("t_begin")
+    want = trace.coarsen(a, "session").select("actor", "op", "object", at, "n")
+    got = live.drain(live.open_close_intervals(_parts(spark, tmp_path / "events"), delay=None), "all_sessions", "complete").select(*want.columns)
+    assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+    total = want.groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
+    assert {tuple(r) for r in queries.QUERIES["stream_intervals"](spark, SF).collect()} == {tuple(r) for r in total.collect()}
+    assert sum(r["accesses"] for r in total.collect()) == a.count()
