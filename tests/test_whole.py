@@ -2,12 +2,13 @@
 
 import pytest
 from pyspark.sql import functions as F
+from micro import F8, RING, SQUARES, build
 from test_oracles import SF, duck  # noqa: F401
 from test_sources_streams import _parts
 
 import provgraph.coverage  # noqa: F401  its queries register themselves
 from provgraph import queries
-from provgraph.operators import trace, versioning
+from provgraph.operators import baselines, trace, versioning
 from provgraph.sources import carriers
 from provgraph.streaming import live
 
@@ -60,3 +61,18 @@ def test_live_sessions_equal_batch(spark, tmp_path):
     total = want.groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
     assert {tuple(r) for r in queries.QUERIES["stream_intervals"](spark, SF).collect()} == {tuple(r) for r in total.collect()}
     assert sum(r["accesses"] for r in total.collect()) == a.count()
+
+
+@pytest.mark.parametrize("edges", [F8, RING, SQUARES, ["P1 I P0", "P2 I P0", "P3 I P0", "P1 U A", "P2 U A", "P3 U B", "D G P3"]])
+def test_automorphisms_of_larger_runs(spark, edges):
+    """Counting by refined colours, for runs beyond the bound, agrees with trying every bijection."""
+    g = build(spark, edges)
+    n = baselines.all_automorphisms(g).first()["automorphisms"]
+    assert baselines.all_automorphisms(g, 1).first()["automorphisms"] == n > 0
+
+
+def test_automorphisms_are_never_missing(spark):
+    wide = build(spark, [f"P{i} U F{i}" for i in range(7)])  # 14 nodes
+    assert baselines.all_automorphisms(wide).first()["automorphisms"] == 5040
+    assert baselines.all_automorphisms(build(spark, [f"P U F{i}" for i in range(25)])).first()["automorphisms"] == 15511210043330985984000000
+    assert queries.QUERIES["automorphism_baseline"](spark, SF).filter("automorphisms is null").isEmpty()
