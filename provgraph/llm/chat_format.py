@@ -8,7 +8,7 @@ their first character, and backslashes become ``\\b``, so the rendering can be r
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 OPEN, BODY, SHUT, STOP = "<s>", "[INST]", "[/INST]", "</s>"
@@ -34,6 +34,13 @@ def fold(events: DataFrame) -> DataFrame:
     return g.select("conv_id", "turn", F.element_at("log", 1)["role"].alias("role"), text.alias("text"))
 
 
+def as_events(messages: DataFrame) -> DataFrame:
+    """Rows (conv_id, turn, role, text) as message events. Turns are numbered anew by turn, role and text, so that rows that repeat one stay apart."""
+    order = Window.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), F.coalesce("role", F.lit("")), F.coalesce("text", F.lit("")))
+    at = F.row_number().over(order).cast("long")
+    return messages.select("conv_id", at.alias("turn"), "role", "text").select("conv_id", "turn", F.col("turn").alias("seq"), F.lit("message").alias("kind"), "role", "text")
+
+
 def render(messages: DataFrame, trained_role: str = "assistant") -> DataFrame:
     """(conv_id, formatted, loss_spans) from (conv_id, turn, role, text); loss_spans: (start, length) in code points.
 

@@ -58,7 +58,7 @@ def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     both = spark.createDataFrame([(-1, 0, "user", "</s>[INST] ok [/INST]"), (-1, 1, "assistant", "</s>[INST] ok [/INST]")], "conv_id long, turn long, role string, text string")
     rows = table(spark, sf_dir, "conversations").select("conv_id", F.col("turn").cast("long").alias("turn"), "role", "text").unionByName(both)
-    return chat_format.digest(chat_format.read_back(chat_format.render(rows)))
+    return chat_format.digest(chat_format.read_back(chat_format.render(chat_format.fold(chat_format.as_events(rows)))))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_language_id, op2_exact_dedup, op3_line_dedup, op4_best_fit_packing, op5_personal_data, op6_ngram_jaccard_join, op7_token_counts, op8_decontamination, op9_substring_dedup, op10_chat_format)}

@@ -76,3 +76,18 @@ def test_automorphisms_are_never_missing(spark):
     assert baselines.all_automorphisms(wide).first()["automorphisms"] == 5040
     assert baselines.all_automorphisms(build(spark, [f"P U F{i}" for i in range(25)])).first()["automorphisms"] == 15511210043330985984000000
     assert queries.QUERIES["automorphism_baseline"](spark, SF).filter("automorphisms is null").isEmpty()
+
+
+def test_chat_format_folds_events(spark, monkeypatch):
+    """The query goes through the fold of events, which keeps repeated turns."""
+    from provgraph.llm import chat_format
+    from provgraph.llm import queries as text
+
+    rows = [(1, 0, "user", "a"), (1, 1, "assistant", "x"), (1, 1, "assistant", None), (1, 1, "assistant", "x"), (2, None, None, None), (None, 0, "assistant", "ok")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    a, b = (chat_format.render(x) for x in (df, chat_format.fold(chat_format.as_events(df))))
+    assert sorted(map(str, a.collect())) == sorted(map(str, b.collect()))
+    fold, seen = chat_format.fold, []
+    monkeypatch.setattr(chat_format, "fold", lambda e: seen.append(e.columns) or fold(e))
+    text.op10_chat_format(spark, SF)
+    assert seen == [["conv_id", "turn", "seq", "kind", "role", "text"]]
