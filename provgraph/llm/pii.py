@@ -242,6 +242,9 @@ def find_pii(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
 
     The counts and the digest are of the plain identifiers; ``spans`` has those and the disguised ones. Null text is
     empty; repeated rows are searched each on its own; other columns are not read.
+
+    A spoken "at" is taken for a sign only if the dot is spoken too and the last part is one of ``_LAST``: "jane at example dot gr"
+    and "jane at example.com" are not found.
     """
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -91,3 +91,12 @@ def test_chat_format_folds_events(spark, monkeypatch):
     monkeypatch.setattr(chat_format, "fold", lambda e: seen.append(e.columns) or fold(e))
     text.op10_chat_format(spark, SF)
     assert seen == [["conv_id", "turn", "seq", "kind", "role", "text"]]
+
+
+def test_limit_of_spoken_addresses():
+    """The stated limit of op5: a spoken "at" needs a spoken dot and a known last part."""
+    from provgraph.llm import pii
+
+    found = [pii.added(t, pii.detect(t))["email"] for t in ("jane at example dot com", "jane at example dot gr", "jane at example.com")]
+    assert found == [[(0, 23)], [], []]
+    assert "not found" in pii.find_pii.__doc__
