@@ -3,11 +3,13 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType
 
 _MADE: list[tuple[SparkSession, str]] = []
 _OWN: dict[str, str] = {}  # by application, where spark.checkpoint.dir is unset
@@ -18,9 +20,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or a local one of our own where it is unset."""
+    """The folder that all executors share: spark.checkpoint.dir. Where it is unset, a local one in local mode, else an error."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = _OWN.get(spark.sparkContext.applicationId) or "file://" + tempfile.mkdtemp(prefix="shared-")
         _OWN[spark.sparkContext.applicationId] = base
     return base.rstrip("/")
@@ -35,14 +39,35 @@ def stage(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def made() -> int:
+    """How many tables have been staged so far."""
+    return len(_MADE)
+
+
+def discard(mark: int) -> None:
+    """Deletes the tables staged since ``made()`` said ``mark``, when what was computed from them has been written."""
+    while len(_MADE) > mark:
+        remove(*_MADE.pop())
+
+
+def whole_id(df: DataFrame, name: str) -> Column:
+    """The identifier column as long; others than whole numbers are refused, as ranges and packed arrays need longs."""
+    if not isinstance(df.schema[name].dataType, IntegralType):
+        raise TypeError(f"{name}: identifiers must be whole numbers, not {df.schema[name].dataType.simpleString()}")
+    return F.col(name).cast("long")
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Deletes a folder of the shared file system."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def _clean() -> None:
     for spark, path in _MADE:
         try:
-            if spark.sparkContext._jsc is None:
-                continue
-            jvm = spark.sparkContext._jvm
-            p = jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+            if spark.sparkContext._jsc is not None:
+                remove(spark, path)
         except Exception:  # the session has ended: nothing left to ask
             return
 
@@ -50,11 +75,11 @@ def _clean() -> None:
 atexit.register(_clean)
 
 
-def components(edges: DataFrame, max_rounds: int = 40, small: int = 500_000) -> DataFrame:
+def components(edges: DataFrame, small: int = 500_000) -> DataFrame:
     """(node, root) for the nodes of ``edges(u, v)`` longs; root is the smallest node of the component.
 
     Alternates the large-star and small-star contractions; each is a grouped minimum and a
-    join, so a hub needs no list of its neighbours. State is written to the shared folder each round. With at
+    join, so a hub needs no list of its neighbours. State is written to the shared folder each round until it stays the same. With at
     most ``small`` edges, counted, the minima are broadcast instead of shuffled.
     """
     edges = stage(edges.select("u", "v").filter("u <> v").distinct(), "cc")
@@ -72,7 +97,7 @@ def components(edges: DataFrame, max_rounds: int = 40, small: int = 500_000) ->
 
     nodes = both(edges).select(F.col("u").alias("node")).distinct()
     e, seen = edges, None
-    for _ in range(max_rounds):
+    while True:  # to the fixpoint: links only move to smaller nodes, so it is reached
         new = star(both(star(both(e), True)), False).distinct()
         e = stage(new.coalesce(4) if few else new, "cc")
         key = e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()

@@ -1,7 +1,7 @@
 """Exact duplicates by a tree merge of sorted digest runs.
 
 Each partition sorts its digests into runs, one per digest range. Runs of a range then meet in
-k-nomial rounds: source ``s`` goes to group ``s // fan_in`` until one run per range is left. A merge keeps,
+binomial rounds (``fan_in`` 2; more make it k-nomial): source ``s`` goes to group ``s // fan_in`` until one run per range is left. A merge keeps,
 for each verified digest, the identifier that stays, and how many rows share it. No task ever holds more than the
 runs of one digest range, whose size follows ``rows_per_range`` whatever the copies do.
 """
@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.llm.common import stage
+from provgraph.llm.common import stage, whole_id
 
 _RUN = "part int, src int, digests binary, checks binary, ids binary, uids binary, sizes binary"
 _NONE = np.iinfo(np.int64).min  # stands for a null identifier; it loses to every other
@@ -88,17 +88,17 @@ def _groups(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array([x.tobytes() for x in raw], pa.binary()), pa.array(c[many]), pa.array(ids[many], mask=ids[many] == _NONE), pa.array(uids[many]), pa.array(sizes[many])], ["digest", "check", "keep_id", "keep_uid", "group_size"])
 
 
-def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "largest", fan_in: int = 4, rows_per_range: int = 50_000) -> DataFrame:
+def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "largest", fan_in: int = 2, rows_per_range: int = 50_000) -> DataFrame:
     """One row per row of ``df``: (id_col, keep_id, group_size, kept, text_sha256).
 
-    Null text counts as empty; a null identifier ranks below every other. Of rows that repeat both
+    Identifiers are whole numbers of any width, else a TypeError. Null text counts as empty; a null identifier ranks below every other. Of rows that repeat both
     identifier and text exactly one is kept. Other columns, whatever their names, are not read. An empty table gives
     no rows. ``keep``: 'largest' or 'smallest' identifier. The second digest that confirms the
     first covers the text's length and another hash function.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = stage(
-        df.select(F.col(id_col).alias("id"), F.unhex(F.sha2(text, 256)).alias("digest"), F.xxhash64(F.octet_length(text), text).alias("check"))
+        df.select(whole_id(df, id_col).alias("id"), F.unhex(F.sha2(text, 256)).alias("digest"), F.xxhash64(F.octet_length(text), text).alias("check"))
         .withColumns({"uid": F.monotonically_increasing_id(), "src": F.spark_partition_id()}),
         "digests",
     )
@@ -113,10 +113,10 @@ def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", k
     runs = runs if last else runs.groupBy("part").applyInArrow(_merge(fan_in, largest), _RUN)
     groups = runs.mapInArrow(_groups, "digest binary, check long, keep_id long, keep_uid long, group_size long")
     j = rows.join(groups, ["digest", "check"], "left")
-    single = F.col("group_size").isNull()
+    single, kind = F.col("group_size").isNull(), df.schema[id_col].dataType
     return j.select(
-        F.col("id").alias(id_col),
-        F.when(single, F.col("id")).otherwise(F.col("keep_id")).alias("keep_id"),
+        F.col("id").cast(kind).alias(id_col),
+        F.when(single, F.col("id")).otherwise(F.col("keep_id")).cast(kind).alias("keep_id"),
         F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"),
         (single | (F.col("uid") == F.col("keep_uid"))).alias("kept"),
         F.lower(F.hex("digest")).alias("text_sha256"),
