@@ -18,6 +18,7 @@ from __future__ import annotations
 import hashlib
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +29,7 @@ from provgraph.llm.common import components, stage
 from provgraph.llm.wordkernel import batches, give_back, window_arrays
 
 GROUPS = 256
+HEAD = 6  # a posting shows its node's first tokens, by which a pair is left to its first common block
 REGION = np.uint64(3 << 61)  # n-grams below this hash are counted over all documents when the order is made
 _U64 = np.uint64
 
@@ -116,19 +118,20 @@ def frequent(docs: DataFrame, k: int, bits: int, least: int = 16, most: int = 1
 
 
 def signatures(docs: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int) -> DataFrame:
-    """(id, key, n, node, prefix, vec) of each row."""
+    """(id, key, n, node, prefix, vec, head) of each row; head: the prefix's first tokens, as blocks() names them."""
     shared = docs.sparkSession.sparkContext.broadcast(hot)  # at most ``most`` of frequent()
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hot = shared.value
         for b, texts in batches(it, "t"):
-            n, node, prefix, vec = [], [], [], []
+            n, node, prefix, vec, head = [], [], [], [], []
             for s in _sets(texts, k):
                 n.append(len(s))
                 node.append(node_id(s) if len(s) else 0)
                 if not len(s):
                     prefix.append(b"")
                     vec.append(b"")
+                    head.append(b"")
                     continue
                 p = prefix_size(len(s), percent)
                 if len(hot):
@@ -141,12 +144,13 @@ def signatures(docs: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int
                 else:
                     order = s
                 prefix.append(order[:p].tobytes())
+                head.append((order[: min(p, HEAD)] >> _U64(32 - bits)).astype(np.int64).tobytes())
                 v = np.bincount((s & _U64(GROUPS - 1)).astype(np.int64), minlength=GROUPS)
                 vec.append(v.astype(np.uint8 if v.max() < 256 else np.uint32).tobytes())
-            yield pa.RecordBatch.from_arrays([b.column("i"), b.column("key"), pa.array(n, pa.int32()), pa.array(node, pa.int64()), pa.array(prefix, pa.binary()), pa.array(vec, pa.binary())], ["id", "key", "n", "node", "prefix", "vec"])
+            yield pa.RecordBatch.from_arrays([b.column("i"), b.column("key"), pa.array(n, pa.int32()), pa.array(node, pa.int64()), pa.array(prefix, pa.binary()), pa.array(vec, pa.binary()), pa.array(head, pa.binary())], ["id", "key", "n", "node", "prefix", "vec", "head"])
 
     kind = docs.schema["i"].dataType.simpleString()
-    return docs.mapInArrow(run, f"id {kind}, key long, n int, node long, prefix binary, vec binary")
+    return docs.mapInArrow(run, f"id {kind}, key long, n int, node long, prefix binary, vec binary, head binary")
 
 
 def differing(x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -232,36 +236,105 @@ def blocks(sig: DataFrame, bits: int, percent: int) -> DataFrame:
     return sig.select("n", "node", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary").groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, b long")
 
 
-def tree_join(n: np.ndarray, at: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs of different roots whose overlap bound reaches what their sizes need, by an R-tree packed by size."""
-    order = np.lexsort((vec[:, 0], n))
-    n, vec, root = n[order].astype(np.int64), vec[order], root[order]
-    left_over = n - at[order]
-    starts = np.arange(0, len(n), leaf)
-    box = np.maximum.reduceat(vec, starts)  # a bound needs a box's upper corner alone
-    least, largest = np.minimum.reduceat(n, starts), np.maximum.reduceat(n, starts)
-    r0, r1 = np.minimum.reduceat(root, starts), np.maximum.reduceat(root, starts)
-    left, right = [], []
-    for i in range(len(starts)):
-        j = np.arange(i, len(starts))
-        j = j[(100 * largest[i] >= percent * least[j]) & ~((r0[i] == r1[i]) & (r0[j] == r1[j]) & (r0[j] == r0[i]))]
-        j = j[np.minimum(box[i], box[j]).sum(1, dtype=np.int64) >= need(least[i], least[j], percent)]
-        if not len(j):
+def first_common(x: np.ndarray, y: np.ndarray, head: np.ndarray, at: np.ndarray, token: np.ndarray) -> np.ndarray:
+    """Which pairs share none of their first HEAD tokens before this block's: a pair is left to the block of its first common token,
+    where both are and where it passes each filter that it passes here."""
+    keep = np.ones(len(x), bool)
+    for s in range(0, len(x), 50_000):
+        p, q = x[s : s + 50_000], y[s : s + 50_000]
+        a, b, t, place = head[p], head[q], token[p], at[p]
+        for i in range(head.shape[1]):
+            mine = a[:, i]
+            keep[s : s + 50_000] &= ~(((mine[:, None] == b).any(1)) & (mine >= 0) & (mine != t) & (place > i))
+    return keep
+
+
+@dataclass
+class Postings:
+    """Block members side by side: size, place in the prefix, count vector, component, first tokens, block's token, side of a split block."""
+
+    n: np.ndarray
+    at: np.ndarray
+    vec: np.ndarray
+    root: np.ndarray
+    head: np.ndarray
+    token: np.ndarray
+    side: np.ndarray
+
+    def take(self, i: np.ndarray) -> Postings:
+        return Postings(self.n[i], self.at[i], self.vec[i], self.root[i], self.head[i], self.token[i], self.side[i])
+
+    def passing(self, x: np.ndarray, y: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+        """The pairs of points that may have the overlap they need, the cheapest tests first."""
+        ok = (self.root[x] != self.root[y]) & ((self.side[x] < 0) | (self.side[x] != self.side[y]))
+        x, y = x[ok], y[ok]
+        ok = 100 * np.minimum(self.n[x], self.n[y]) >= percent * np.maximum(self.n[x], self.n[y])
+        x, y = x[ok], y[ok]
+        ok = np.minimum(self.n[x] - self.at[x], self.n[y] - self.at[y]) >= need(self.n[x], self.n[y], percent)
+        x, y = x[ok], y[ok]
+        ok = first_common(x, y, self.head, self.at, self.token)
+        x, y = x[ok], y[ok]
+        ok = summed_minima(self.vec, x, self.vec, y) >= need(self.n[x], self.n[y], percent)
+        return x[ok], y[ok]
+
+
+def summed_minima(u: np.ndarray, i: np.ndarray, v: np.ndarray, j: np.ndarray) -> np.ndarray:
+    parts = [np.minimum(u[i[k : k + 8_000]], v[j[k : k + 8_000]]).sum(1, dtype=np.int64) for k in range(0, len(i), 8_000)]
+    return np.concatenate(parts) if parts else np.zeros(0, np.int64)
+
+
+def tree_join(p: Postings, percent: int, leaf: int = 24, fan: int = 8) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs of one block that pass, by an R-tree joined with itself from its top boxes down.
+
+    Points are packed by size, those of a component that fills a leaf beside each other; a box holds ``fan`` boxes of the level below.
+    The overlap of two boxes' points is at most the sum of the minima of their upper corners.
+    """
+    _, which, count = np.unique(p.root, return_inverse=True, return_counts=True)
+    order = np.lexsort((p.vec[:, 0], p.n, np.where(count[which] >= leaf, which + 1, 0)))
+    s = p.take(order)
+    levels, starts = [], np.arange(0, len(s.n), leaf)
+    box = [f.reduceat(c, starts) for f, c in ((np.maximum, s.vec), (np.minimum, s.n), (np.maximum, s.n), (np.minimum, s.root), (np.maximum, s.root))]
+    levels.append(box)
+    while len(levels[-1][1]) > fan:
+        starts = np.arange(0, len(levels[-1][1]), fan)
+        levels.append([f.reduceat(c, starts) for f, c in zip((np.maximum, np.minimum, np.maximum, np.minimum, np.maximum), levels[-1], strict=True)])
+
+    def meet(level: int, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        corner, least, most, r0, r1 = levels[level]
+        ok = (100 * most[i] >= percent * least[j]) & (100 * most[j] >= percent * least[i]) & ~((r0[i] == r1[i]) & (r0[j] == r1[j]) & (r0[i] == r0[j]))
+        i, j = i[ok], j[ok]
+        ok = summed_minima(corner, i, corner, j) >= need(least[i], least[j], percent)
+        return i[ok], j[ok]
+
+    def children(i: np.ndarray, j: np.ndarray, width: int, total: int) -> tuple[np.ndarray, np.ndarray]:
+        """All pairs, each once, of what is below the pairs of boxes (i <= j)."""
+        a = (i[:, None, None] * width + np.arange(width)[None, :, None] + np.zeros((1, 1, width), np.int64)).ravel()
+        b = (j[:, None, None] * width + np.arange(width)[None, None, :] + np.zeros((1, width, 1), np.int64)).ravel()
+        ok = (a < total) & (b < total) & (a <= b)
+        return a[ok], b[ok]
+
+    top = len(levels) - 1
+    i, j = np.triu_indices(len(levels[top][1]))
+    stack, left, right = [(top, *meet(top, i, j))], [], []
+    while stack:
+        level, i, j = stack.pop()
+        step = 64 if not level else 512
+        if len(i) > step:
+            stack.append((level, i[step:], j[step:]))
+            i, j = i[:step], j[:step]
+        if level:
+            stack.append((level - 1, *meet(level - 1, *children(i, j, fan, len(levels[level - 1][1])))))
             continue
-        a = np.arange(starts[i], min(starts[i] + leaf, len(n)))
-        b = np.concatenate([np.arange(starts[x], min(starts[x] + leaf, len(n))) for x in j])
-        for x in a:
-            y = b[(b > x) & (root[b] != root[x])]
-            y = y[100 * n[x] >= percent * n[y]]
-            y = y[np.minimum(left_over[x], left_over[y]) >= need(n[x], n[y], percent)]
-            y = y[np.minimum(vec[x], vec[y]).sum(1, dtype=np.int64) >= need(n[x], n[y], percent)]
-            left.append(np.full(len(y), x))
-            right.append(y)
+        x, y = children(i, j, leaf, len(s.n))
+        x, y = s.passing(x[x < y], y[x < y], percent)
+        left.append(order[x])
+        right.append(order[y])
     none = np.zeros(0, np.int64)
-    return (order[np.concatenate(left)], order[np.concatenate(right)]) if left else (none, none)
+    return (np.concatenate(left), np.concatenate(right)) if left else (none, none)
 
 
-def _vectors(raw: list[bytes]) -> np.ndarray:
+def _vectors(col: pa.ChunkedArray) -> np.ndarray:
+    raw = col.to_pylist()
     if all(len(x) == GROUPS for x in raw):
         return np.frombuffer(b"".join(raw), np.uint8).reshape(-1, GROUPS)
     return np.array([np.frombuffer(x, np.uint8 if len(x) == GROUPS else np.uint32) for x in raw], np.int32).reshape(-1, GROUPS)
@@ -275,60 +348,66 @@ def _small_blocks(sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return left, left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(later) - later, later)
 
 
-def block_pairs(token: np.ndarray, n: np.ndarray, at: np.ndarray, vec: np.ndarray, root: np.ndarray, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs that share a token, differ in root, and may have the overlap they need. Blocks that would be one leaf skip the tree."""
-    order = np.argsort(token, kind="stable")
-    cut = np.flatnonzero(np.concatenate(([True], token[order][1:] != token[order][:-1], [True])))
+def block_pairs(block: np.ndarray, p: Postings, percent: int, leaf: int = 24) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs that share a block and pass. A block that one leaf holds has no boxes above that: many are tested at once."""
+    order = np.argsort(block, kind="stable")
+    cut = np.flatnonzero(np.concatenate(([True], block[order][1:] != block[order][:-1], [True])))
     size = np.diff(cut)
     left, right = [], []
     for s, e in zip(cut[:-1][size > leaf], cut[1:][size > leaf], strict=True):
         own = order[s:e]
-        x, y = tree_join(n[own], at[own], vec[own], root[own], percent, leaf)
+        x, y = tree_join(p.take(own), percent, leaf)
         left.append(own[x])
         right.append(own[y])
-    small = np.flatnonzero(size <= leaf)
+    small = np.flatnonzero((size <= leaf) & (size > 1))
     for start in range(0, len(small), 4096):
         part = small[start : start + 4096]
         own = order[np.concatenate([np.arange(cut[i], cut[i + 1]) for i in part])]
         i, j = _small_blocks(size[part])
-        x, y = own[i], own[j]
-        ok = (root[x] != root[y]) & (100 * np.minimum(n[x], n[y]).astype(np.int64) >= percent * np.maximum(n[x], n[y]))
-        x, y = x[ok], y[ok]
-        ok = np.minimum(n[x] - at[x], n[y] - at[y]) >= need(n[x], n[y], percent)
-        x, y = x[ok], y[ok]
-        ok = np.concatenate([np.minimum(vec[x[k : k + 10_000]], vec[y[k : k + 10_000]]).sum(1, dtype=np.int64) for k in range(0, len(x), 10_000)] or [np.zeros(0)]) >= need(n[x], n[y], percent)
-        left.append(x[ok])
-        right.append(y[ok])
+        x, y = p.passing(own[i], own[j], percent)
+        left.append(x)
+        right.append(y)
     none = np.zeros(0, np.int64)
     return (np.concatenate(left), np.concatenate(right)) if left else (none, none)
 
 
 def cross_pairs(mixed: DataFrame, tasks: int, percent: int, thin: bool) -> DataFrame:
-    """Candidate pairs (a, b) of different roots, from rows (token, node, root, n, at, vec); ``thin``: each node's likeliest alone."""
+    """Candidate pairs (a, b) of different roots, from rows (token, parts, node, root, n, at, vec, head); ``thin``: each node's likeliest alone.
+
+    A token of several ``parts`` has a block for each pair of parts, and they go to tasks of their own.
+    """
 
     def join(t: pa.Table) -> pa.Table:
-        token, node, n, at, root = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "root"))
-        vec = _vectors(t.column("vec").to_pylist())
-        x, y = block_pairs(token, n.astype(np.int64), at, vec, root, percent)
-        p, q = np.minimum(node[x], node[y]), np.maximum(node[x], node[y])
-        order = np.lexsort((q, p))
-        order = order[np.concatenate(([True], (p[order][1:] != p[order][:-1]) | (q[order][1:] != q[order][:-1])))] if len(order) else order
-        x, y, p, q = x[order], y[order], p[order], q[order]
-        score = np.concatenate([np.minimum(vec[x[k : k + 10_000]], vec[y[k : k + 10_000]]).sum(1, dtype=np.int64) for k in range(0, len(x), 10_000)] or [np.zeros(0, np.int64)]) / np.maximum(need(n[x], n[y], percent), 1)
-        if thin and len(p):
-            ends = np.concatenate([p, q])
+        node, block = t.column("node").to_numpy(), t.column("block").to_numpy()
+        head = [h + b"\xff" * (8 * HEAD - len(h)) for h in t.column("head").to_pylist()]
+        p = Postings(
+            t.column("n").to_numpy().astype(np.int64), t.column("at").to_numpy().astype(np.int64), _vectors(t.column("vec")), t.column("root").to_numpy(),
+            np.frombuffer(b"".join(head), np.int64).reshape(-1, HEAD), t.column("token").to_numpy(), t.column("side").to_numpy(),
+        )
+        x, y = block_pairs(block, p, percent)
+        a, b = np.minimum(node[x], node[y]), np.maximum(node[x], node[y])
+        order = np.lexsort((b, a))
+        order = order[np.concatenate(([True], (a[order][1:] != a[order][:-1]) | (b[order][1:] != b[order][:-1])))] if len(order) else order
+        x, y, a, b = x[order], y[order], a[order], b[order]
+        score = summed_minima(p.vec, x, p.vec, y) / np.maximum(need(p.n[x], p.n[y], percent), 1)
+        if thin and len(a):
+            ends = np.concatenate([a, b])
             by = np.lexsort((np.concatenate([score, score]), ends))
-            top = by[np.concatenate((ends[by][1:] != ends[by][:-1], [True]))] % len(p)
+            top = by[np.concatenate((ends[by][1:] != ends[by][:-1], [True]))] % len(a)
             keep = np.unique(top)
-            p, q, score = p[keep], q[keep], score[keep]
+            a, b, score = a[keep], b[keep], score[keep]
+        del p, head
         give_back()
-        return pa.table({"a": pa.array(p, pa.int64()), "b": pa.array(q, pa.int64()), "score": pa.array(score, pa.float64())})
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "score": pa.array(score, pa.float64())})
 
-    pairs = mixed.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long, score double")
-    if not thin:
-        return pairs.select("a", "b").distinct()
-    pairs = pairs.groupBy("a", "b").agg(F.max("score").alias("score"))
-    return _likeliest(pairs)
+    own = F.pmod(F.xxhash64("node"), "parts").cast("int")
+    split = mixed.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    key = F.xxhash64("token", F.least("own", "other"), F.greatest("own", "other"))
+    both = F.col("own") == F.col("other")  # else the block holds pairs across two parts alone
+    split = split.withColumns({"block": F.when(F.col("parts") == 1, F.col("token")).otherwise(key), "side": F.when(both, F.lit(-1)).otherwise(F.col("own"))})
+    pairs = split.select("block", "token", "side", "node", "n", "at", "root", "vec", "head").groupBy(F.pmod(F.xxhash64("block"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long, score double")
+    pairs = stage(pairs, "candidates")
+    return _likeliest(pairs.groupBy("a", "b").agg(F.max("score").alias("score"))) if thin else pairs.select("a", "b").distinct()
 
 
 def _likeliest(pairs: DataFrame) -> DataFrame:
@@ -407,7 +486,7 @@ def _supported(met: DataFrame, percent: int) -> DataFrame:
     return met.join(enough, "node", "left_semi")
 
 
-def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text", thin_rounds: int = 1) -> DataFrame:
+def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str = "doc_id", text_col: str = "text", thin_rounds: int = 1, per_block: int = 20_000) -> DataFrame:
     """(id_col, n_shingles, component_id, text_key) of each row; component_id is the smallest identifier that links reach.
 
     Null and empty texts have no shingles and no links. Rows with one set of shingles are linked, whatever their
@@ -427,11 +506,12 @@ def ngram_components(df: DataFrame, k: int = 5, percent: int = 75, id_col: str =
     links = verify(stage(near.select("a", "b"), "pairs"), docs, sig, k, percent)
     roots = stage(components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")
     # 2. across the components that a block still holds: likeliest pairs first, then every one that is left
-    info = sig.filter("n > 0").select("node", "vec").join(alive, "node", "left_semi").dropDuplicates(["node"])
+    info = sig.filter("n > 0").select("node", "vec", "head").join(alive, "node", "left_semi").dropDuplicates(["node"])
     for thin in (*[True] * thin_rounds, False):
         held = met.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        mixed = held.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("token")
-        held = stage(_supported(held.join(mixed, "token", "left_semi"), percent), "mixed")
+        mixed = held.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).filter("lo <> hi")
+        mixed = mixed.select("token", F.ceil(F.col("m") / F.lit(per_block)).cast("int").alias("parts"))
+        held = stage(_supported(held.join(mixed, "token"), percent), "mixed")
         tasks = max(16, held.count() // 100_000)
         links = links.union(verify(stage(cross_pairs(held.join(info, "node"), tasks, percent, thin), "pairs"), docs, sig, k, percent))
         roots = stage(components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "roots")

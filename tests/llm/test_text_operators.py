@@ -147,16 +147,38 @@ def test_ngram_join(spark, corpus):
     ids = Counter(r["doc_id"] for r in kept if r["doc_id"] is not None and shingles(r["text"]))
     assert set(ids) == {c for _, n, c in want if n and c is not None} and set(ids.values()) == {1}
     assert ngram_join.ngram_components(empty(spark)).count() == 0
+    split = ngram_join.ngram_components(df, per_block=4, thin_rounds=0).collect()  # blocks of over four nodes go to several tasks
+    assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in split) == want
 
 
-def test_tree_join_loses_nothing():
+@pytest.mark.parametrize("leaf", [8, 24])
+def test_tree_join_loses_nothing(leaf):
     rng = np.random.Generator(np.random.PCG64(3))
-    vec = rng.integers(0, 4, (300, ngram_join.GROUPS)).astype(np.uint8)
-    vec[200:] = vec[:100] + (rng.random((100, ngram_join.GROUPS)) < 0.05)
-    n, root, at = vec.astype(int).sum(1), np.arange(300), np.zeros(300, int)
-    x, y = ngram_join.tree_join(n, at, vec, root, 75, leaf=8)
-    want = {(a, b) for a in range(300) for b in range(a) if np.minimum(vec[a], vec[b]).astype(int).sum() >= ngram_join.need(n[a], n[b], 75)}
-    assert {(max(p, q), min(p, q)) for p, q in zip(x.tolist(), y.tolist(), strict=True)} == want and len(want) >= 100
+    vec = rng.integers(0, 4, (900, ngram_join.GROUPS)).astype(np.uint8)
+    vec[600:] = vec[:300] + (rng.random((300, ngram_join.GROUPS)) < 0.05)
+    n, root = vec.astype(int).sum(1), np.arange(900)
+    root[:40] = 7  # a component that fills leaves
+    p = ngram_join.Postings(n, np.zeros(900, int), vec, root, np.full((900, ngram_join.HEAD), -1), np.zeros(900, int), np.full(900, -1))
+    x, y = ngram_join.tree_join(p, 75, leaf, 3)
+    want = {(a, b) for a in range(900) for b in range(a) if root[a] != root[b] and np.minimum(vec[a], vec[b]).astype(int).sum() >= ngram_join.need(n[a], n[b], 75)}
+    got = [(max(p, q), min(p, q)) for p, q in zip(x.tolist(), y.tolist(), strict=True)]
+    assert set(got) == want and len(got) == len(want) and len(want) >= 300
+
+
+def test_pairs_are_left_to_their_first_common_block():
+    rng = np.random.Generator(np.random.PCG64(5))
+    prefixes = [np.sort(rng.choice(40, 12, replace=False)) for _ in range(60)]
+    rows = [(k, t, i) for k, p in enumerate(prefixes) for i, t in enumerate(p.tolist())]
+    node, token, at = (np.array(c) for c in zip(*rows, strict=True))
+    head = np.array([prefixes[k][: ngram_join.HEAD] for k in node])
+    same = np.ones((len(node), ngram_join.GROUPS), np.uint8)
+    p = ngram_join.Postings(np.full(len(node), 50), at, same, node, head, token, np.full(len(node), -1))
+    x, y = ngram_join.block_pairs(token, p, 0, 8)
+    want = {(a, b) for a in range(60) for b in range(a) if set(prefixes[a]) & set(prefixes[b])}
+    got = [(max(node[i], node[j]), min(node[i], node[j])) for i, j in zip(x, y, strict=True)]
+    assert set(got) == want
+    early = [q for q in got if set(prefixes[q[0]][: ngram_join.HEAD]) & set(prefixes[q[1]][: ngram_join.HEAD])]
+    assert len(early) == len(set(early)) > 500
 
 
 def test_packing(spark, corpus):
