@@ -10,6 +10,7 @@ from __future__ import annotations
 import hashlib
 import re
 import unicodedata
+from bisect import bisect_left
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -140,18 +141,20 @@ DIGITS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four":
 _AT = "at|arroba|chez"
 _DOT = "dot|punto|point|punkt"
 _NUM = "|".join(DIGITS)
-_SPELLED = re.compile(rf"(?<![^\W_])(?:(?:{_NUM}|[0-9]+)(?:\s*[-,.]?\s*|\s+(?:{_DOT})\s+)){{3,}}(?:{_NUM}|[0-9]+)(?![^\W_])", re.I)
+_DOTS = frozenset(_DOT.split("|"))
 _NAME = re.compile(rf"(?<![^\W_])(?:{_NUM})(?![^\W_])", re.I)
-_PART = re.compile(rf"({_NUM})|([0-9]+)|(\s+(?:{_DOT})\s+)|([^A-Za-z0-9]+)", re.I)
+_WORD = re.compile(r"[^\W_]+")
+_UNITS = re.compile(rf"(?:{_NUM}|[0-9])+", re.I)
+_UNIT = re.compile(rf"({_NUM})|[0-9]+", re.I)
 _PLUS = re.compile(r"(?<![^\W_])plus\s+(?=[0-9])", re.I)
-_BRACKETED = re.compile(rf"\s*[\[({{<]\s*(?:(?P<at>{_AT}|@)|(?P<dot>{_DOT}|\.))\s*[\])}}>]\s*", re.I)
+_BRACKETED = re.compile(rf"[\[({{<]\s*(?:(?P<at>{_AT}|@)|(?P<dot>{_DOT}|\.))\s*[\])}}>]", re.I)
 _ENTITY = re.compile(r"&(?:#0*64|#x0*40|commat);|&(?:#0*46|#x0*2e|period);", re.I)
-_SPOKEN = re.compile(rf"[A-Za-z0-9._%+-]+(?P<local>(?:\s+(?:{_DOT})\s+[A-Za-z0-9_%+-]+)*)(?P<at>\s+(?:{_AT})\s+|\s*@\s*)[A-Za-z0-9-]+(?P<rest>(?:(?:\s+(?:{_DOT})\s+|\s*\.\s?|\s\.\s)[A-Za-z0-9-]+)+)", re.I)
-_DOTTED = re.compile(rf"\s+(?:{_DOT})\s+|\s+\.\s*|\.\s+", re.I)
-_SOME_AT = re.compile(rf"\s(?:{_AT})\s|\s@|@\s|@[^\s]*\s+(?:{_DOT})\s|@[^\s]*\s\.", re.I)
+_SIGN = re.compile(rf"@|(?<=\s)(?:{_AT})(?=\s)", re.I)
+_LABEL = re.compile(r"[A-Za-z0-9-]+")
+_SPACE = re.compile(r"\s*")
+_SOME_AT = re.compile(rf"\s(?:{_AT})\s|\s@|@\s|@[^\s@]*\s+(?:{_DOT})\s|@[^\s@]*\s\.", re.I)
 # Last parts of a domain that is spoken in full, "name at host dot com".
 _LAST = "com net org edu gov mil int info biz io ai app dev co me uk de fr es it nl be ch at eu us ca au jp cn in br mx ru pl se no dk fi pt ie".split()
-_SOME_DOT = re.compile(rf"\s(?:{_DOT})\s", re.I)
 
 
 def _letters(x: Traced) -> Traced:
@@ -160,48 +163,136 @@ def _letters(x: Traced) -> Traced:
     return x.rewrite([(i, i + 1, _TABLE[ch]) for i, ch in enumerate(x.text) if ch in _STRANGE])
 
 
+def _digit_runs(t: str) -> Iterator[list[tuple[int, int, bool]]]:
+    """Longest sequences of words made of digits and their names, as (start, end, whether a spoken dot comes before it); between two
+    words stand spaces with at most one hyphen, comma or full stop, or a spoken dot. One pass over the words."""
+    run: list[tuple[int, int, bool]] = []
+    dot, at = False, 0
+    for w in _WORD.finditer(t):
+        a, b = w.span()
+        gap, at = t[at:a], b
+        if _UNITS.fullmatch(t, a, b):
+            goes_on = run and (gap.isspace() if dot else gap.strip() in ("", "-", ",", "."))
+            if run and not goes_on:
+                yield run
+                run = []
+            run.append((a, b, bool(goes_on and dot)))
+            dot = False
+        elif run and not dot and b - a <= 6 and gap.isspace() and t[a:b].lower() in _DOTS:
+            dot = True
+        elif run:
+            yield run
+            run, dot = [], False
+    if run:
+        yield run
+
+
 def _numbers(x: Traced) -> Traced:
-    if len(_NAME.findall(x.text)) < 3:
+    """Names of digits as digits, in runs of four digits or more with a name that stands alone."""
+    t = x.text
+    if len(_NAME.findall(t)) < 3:
         return x
     edits: list[tuple[int, int, str]] = []
-    for run in _SPELLED.finditer(x.text):
-        if not _NAME.search(run.group()):
+    for run in _digit_runs(t):
+        units = [list(_UNIT.finditer(t, a, b)) for a, b, _ in run]
+        if sum(1 if u[1] else u.end() - u.start() for us in units for u in us) < 4 or not any(len(us) == 1 and us[0][1] for us in units):
             continue
-        parts = list(_PART.finditer(x.text, run.start(), run.end()))
-        for i, p in enumerate(parts):
-            if p.group(1):
-                edits.append((p.start(), p.end(), DIGITS[p.group(1).lower()]))
-            elif p.group(3):
-                edits.append((p.start(), p.end(), "."))
-            elif p.group(4) and "." not in p.group(4) and (parts[i - 1].group(1) or (i + 1 < len(parts) and parts[i + 1].group(1))):
-                edits.append((p.start(), p.end(), ""))
+        for k, ((a, _, dot), us) in enumerate(zip(run, units, strict=True)):
+            before = run[k - 1][1] if k else a
+            if dot:
+                edits.append((before, a, "."))
+            elif k and "." not in t[before:a] and (units[k - 1][-1][1] or us[0][1]):
+                edits.append((before, a, ""))
+            edits += [(*u.span(), DIGITS[u[1].lower()]) for u in us if u[1]]
     x = x.rewrite(edits)
     return x.rewrite([(m.start(), m.end(), "+") for m in _PLUS.finditer(x.text)])
 
 
+def _spaces_before(t: str, at: int, floor: int) -> int:
+    while at > floor and t[at - 1].isspace():
+        at -= 1
+    return at
+
+
+def _local_before(t: str, end: int, floor: int) -> tuple[int, list[tuple[int, int]]]:
+    """Where the local part that ends at ``end`` begins (``end``: there is none), and its spoken dots with the spaces around them."""
+    at = end
+    while at > floor and t[at - 1] in _LOCAL:
+        at -= 1
+    dots: list[tuple[int, int]] = []
+    while at < end and "." not in t[at : dots[-1][0] if dots else end]:  # only the first part may hold a full stop
+        gap = _spaces_before(t, at, floor)
+        word = gap
+        while word > floor and gap - word <= 6 and t[word - 1] in _LOCAL:
+            word -= 1
+        left = _spaces_before(t, word, floor)
+        first = left
+        while first > floor and t[first - 1] in _LOCAL:
+            first -= 1
+        if gap == at or left == word or first == left or t[word:gap].lower() not in _DOTS:
+            break
+        dots.append((left, at))
+        at = first
+    return at, dots
+
+
+def _domain_after(t: str, at: int) -> tuple[int, list[tuple[int, int, bool]]]:
+    """The end of a domain of two parts or more from ``at`` (-1: there is none), and what stands between its parts: (start, end, spoken)."""
+    m, gaps = _LABEL.match(t, at), []
+    if not m:
+        return -1, gaps
+    end = m.end()
+    while True:
+        a = _SPACE.match(t, end).end()
+        if t[a : a + 1] == ".":
+            spoken, b = False, a + 1 + (t[a + 1 : a + 2].isspace())
+        else:
+            w = _LABEL.match(t, a, a + 7)
+            b = _SPACE.match(t, w.end()).end() if w else a
+            if a == end or not w or b == w.end() or w[0].lower() not in _DOTS:
+                break
+            spoken = True
+        m = _LABEL.match(t, b)
+        if not m:
+            break
+        gaps.append((end, b, spoken))
+        end = m.end()
+    return (end if gaps else -1), gaps
+
+
 def _signs(x: Traced) -> Traced:
-    edits = [(m.start(), m.end(), "@" if m["at"] else ".") for m in _BRACKETED.finditer(x.text)] if re.search(r"[\[({<]", x.text) else []
+    edits, floor = [], 0
+    for m in _BRACKETED.finditer(x.text):
+        a, floor = _spaces_before(x.text, m.start(), floor), _SPACE.match(x.text, m.end()).end()
+        edits.append((a, floor, "@" if m["at"] else "."))
     x = x.rewrite(edits)
     if "&" in x.text:
         x = x.rewrite([(m.start(), m.end(), "@" if re.search("64|40|commat", m.group(), re.I) else ".") for m in _ENTITY.finditer(x.text)])
     if not _SOME_AT.search(x.text):
         return x
-    edits = []
-    for m in _SPOKEN.finditer(x.text):
-        spoken_at, spoken_dot = not m["at"].strip() == "@", bool(_SOME_DOT.search(m["rest"]))
-        if spoken_at and not (spoken_dot and re.search("[A-Za-z0-9-]+$", m["rest"]).group().lower() in _LAST):
-            continue  # "at" between ordinary words
-        if not spoken_at and not spoken_dot and m["at"] == "@":
+    t, edits, floor = x.text, [], 0
+    for m in _SIGN.finditer(t):
+        if m.start() < floor:
+            continue
+        left, right = _spaces_before(t, m.start(), floor), _SPACE.match(t, m.end()).end()
+        end, gaps = _domain_after(t, right)
+        if end < 0:
+            continue
+        first, dots = _local_before(t, left, floor)
+        spoken_at, spoken_dot = m[0] != "@", any(s for _, _, s in gaps)
+        if first == left or spoken_at and not (spoken_dot and t[gaps[-1][1] : end].lower() in _LAST):
+            continue  # nobody's name, or "at" between ordinary words
+        if not spoken_at and not spoken_dot and right - left == 1:
             continue
-        edits += [(m.start("local") + d.start(), m.start("local") + d.end(), ".") for d in _DOTTED.finditer(m["local"])]
-        edits.append((m.start("at"), m.end("at"), "@"))
-        if spoken_dot:
-            edits += [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in re.finditer(rf"\s+(?:{_DOT})\s+", m["rest"], re.I)]
-        elif re.match(r"\s\.\s", m["rest"]):
-            edits += [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in re.finditer(r"\s\.\s", m["rest"])]
+        edits += [(a, b, ".") for a, b in reversed(dots)]
+        edits.append((left, right, "@"))
+        wide = not spoken_dot and _WIDE.fullmatch(t, *gaps[0][:2])
+        edits += [(a, b, ".") for a, b, s in gaps if s or wide and _WIDE.fullmatch(t, a, b)]
+        floor = end
     return x.rewrite(edits)
 
 
+_WIDE = re.compile(r"\s\.\s")
 _TWO_NAMES = re.compile(rf"(?:{_NUM})(?:[^a-z]+|[^a-z]+(?:{_DOT})[^a-z]+)(?:{_NUM}|[0-9])")
 _BRACKET_SIGN = re.compile(rf"[\[({{<]\s*(?:{_AT}|@|{_DOT}|\.)\s*[\])}}>]|&(?:#|commat|period)")
 
@@ -226,9 +317,12 @@ def added(t: str, base: dict[str, list[Span]]) -> dict[str, list[Span]]:
     if x.text == t:
         return out
     for kind, spans in detect(x.text).items():
-        for s in map(x.back, spans):
-            if not any(s[0] < b and a < s[1] for a, b in base[kind]) and all(s[0] >= b or a >= s[1] for a, b in out[kind]):
-                out[kind].append(s)
+        starts, free = [a for a, _ in base[kind]], 0  # both lists ascend and hold disjoint spans
+        for a, b in map(x.back, spans):
+            k = bisect_left(starts, b)
+            if a >= free and not (k and base[kind][k - 1][1] > a):
+                out[kind].append((a, b))
+                free = b
     return out
 
 
