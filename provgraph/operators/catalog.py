@@ -6,11 +6,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provgraph.operators import replay
-from provgraph.schema import EDGES, NODES, ProvGraph
+from provgraph.schema import EDGES, ENTITY, NODES, ProvGraph
+
+
+BLOCK = 1000
 
 
 class Catalog:
-    """Runs under a folder, as Parquet partitioned by namespace and run."""
+    """Runs under a folder, as Parquet partitioned by namespace and block of ``BLOCK`` runs."""
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
@@ -18,7 +21,7 @@ class Catalog:
     def _read(self, what: str) -> DataFrame:
         jvm, p = self.spark.sparkContext._jvm, f"{self.path}/{what}"
         at = jvm.org.apache.hadoop.fs.Path(p)
-        ddl = (NODES if what == "nodes" else EDGES) + ", ns string"
+        ddl = (NODES if what == "nodes" else EDGES) + ", ns string, block long"
         if not at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).exists(at):
             return self.spark.createDataFrame([], ddl)
         return self.spark.read.schema(ddl).parquet(p)
@@ -31,11 +34,20 @@ class Catalog:
     def record(self, ns: str, g: ProvGraph) -> int:
         """Stores a graph as the namespace's next run and returns its number."""
         run = self.last(ns) + 1
-        for what in ("edges", "nodes"):  # the nodes, by which runs are listed, come last
-            df = getattr(g, what).withColumn("run_id", F.lit(run).cast("long")).withColumn("ns", F.lit(ns))
-            df.write.mode("append").partitionBy("ns", "run_id").parquet(f"{self.path}/{what}")
+        self._write(ns, ProvGraph(*(x.withColumn("run_id", F.lit(run).cast("long")) for x in (g.nodes, g.edges))))
         return run
 
+    def record_all(self, ns: str, g: ProvGraph) -> int:
+        """Stores every run of a graph, its number added to the first free one, by one job; returns the last run's number."""
+        base = self.last(ns) + 1
+        self._write(ns, ProvGraph(*(x.withColumn("run_id", F.col("run_id") + base) for x in (g.nodes, g.edges))))
+        return self.last(ns)
+
+    def _write(self, ns: str, g: ProvGraph) -> None:
+        for what in ("edges", "nodes"):  # the nodes, by which runs are listed, come last
+            df = getattr(g, what).withColumns({"ns": F.lit(ns), "block": F.expr(f"run_id div {BLOCK}")})
+            df.write.mode("append").partitionBy("ns", "block").parquet(f"{self.path}/{what}")
+
     def list(self) -> DataFrame:
         """(ns, run_id, nodes, begun)."""
         return self._read("nodes").groupBy("ns", "run_id").agg(F.count(F.lit(1)).alias("nodes"), F.min("t_begin").alias("begun"))
@@ -43,13 +55,27 @@ class Catalog:
     def show(self, ns: str, run: int | None = None) -> ProvGraph:
         """A stored run, the last by default."""
         run = self.last(ns) if run is None else run
-        return ProvGraph(*(self._read(x).filter((F.col("ns") == ns) & (F.col("run_id") == run)).drop("ns") for x in ("nodes", "edges")))
+        own = (F.col("ns") == ns) & (F.col("block") == run // BLOCK) & (F.col("run_id") == run)
+        return ProvGraph(*(self._read(x).filter(own).drop("ns", "block") for x in ("nodes", "edges")))
+
+    def repeat(self, ns: str, run: int | None = None, procs: list[str] | None = None, given: list[str] | dict[str, str] | None = None) -> DataFrame:
+        """What a repeat does: with ``given`` inputs, the actions of a modified repeat; with ``procs``, the sub-container's nodes; else every node.
 
-    def repeat(self, ns: str, run: int | None = None, procs: list[str] | None = None, given: list[str] | None = None) -> DataFrame:
-        """What a repeat does: with ``given`` inputs, the actions of a modified repeat; with ``procs``, the sub-container's nodes; else every node."""
+        ``given`` names changed inputs, or maps inputs to the files that take their place: these bear the action 'given', beside the
+        inputs that they replace. An input that the run does not have is refused.
+        """
         g = self.show(ns, run)
         if given:
-            return replay.modified(g, g.nodes.filter(F.col("node_id").isin(given)).select("run_id", "node_id"))
+            old = sorted(given)
+            found = {r[0] for r in g.nodes.filter(F.col("node_id").isin(old)).select("node_id").distinct().collect()}  # at most as many as are given
+            if missing := [x for x in old if x not in found]:
+                raise ValueError(f"no inputs of this run: {', '.join(missing)}")
+            seeds = g.nodes.filter(F.col("node_id").isin(old)).select("run_id", "node_id")
+            out = replay.modified(g, seeds)
+            if isinstance(given, dict):
+                put = F.create_map(*(F.lit(x) for pair in sorted(given.items()) for x in pair))
+                out = out.unionByName(seeds.select("run_id", F.element_at(put, F.col("node_id")).alias("node_id"), F.lit(ENTITY).alias("node_type"), F.lit("given").alias("action")))
+            return out
         sub = replay.sub_container(g, replay.select(g, ids=procs)) if procs else g
         return sub.nodes.select("run_id", "node_id", "node_type", F.lit("rerun").alias("action"))
 

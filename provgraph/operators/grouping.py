@@ -7,6 +7,7 @@ a first aggregation by (node, side, label, colour) takes the weight off hubs bef
 
 from __future__ import annotations
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -46,7 +47,8 @@ def refine(g: ProvGraph, init: DataFrame, sides: tuple[str, ...], counted: bool,
     the empty signature, which is that of the start. The old colour is part of the new one, so an unchanged number of
     colours means stability.
     """
-    seen = materialize(views(g, sides), "views")
+    # kept by far end, so that a round moves colours alone; what an executor loses of it is read again
+    seen = materialize(views(g, sides), "views").repartition("run_id", "far").persist(StorageLevel.MEMORY_AND_DISK)
 
     def step(state: DataFrame, _: int) -> DataFrame:
         far = state.select("run_id", F.col("node_id").alias("far"), F.col("c1").alias("f1"), F.col("c2").alias("f2"))
@@ -60,7 +62,10 @@ def refine(g: ProvGraph, init: DataFrame, sides: tuple[str, ...], counted: bool,
     def colours(state: DataFrame) -> int:
         return state.select("run_id", "c1", "c2").distinct().count()
 
-    return fixpoint(init, step, colours, lambda a, b: a == b, max_rounds, "colours", rounds)
+    try:
+        return fixpoint(init, step, colours, lambda a, b: a == b, max_rounds, "colours", rounds)
+    finally:
+        seen.unpersist()
 
 
 def canonical(state: DataFrame) -> DataFrame:

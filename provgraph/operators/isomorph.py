@@ -14,7 +14,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from provgraph.functions.hashing import colour, multiset
-from provgraph.operators import grouping
+from provgraph.operators import grouping, runwise
+from provgraph.plans.choose import choose
 from provgraph.plans.iterate import materialize
 from provgraph.schema import ProvGraph
 
@@ -22,7 +23,9 @@ MATCHED, UNMATCHED, UNDECIDED = "matched", "unmatched", "undecided"
 
 
 def node_hashes(g: ProvGraph, rounds: int | None = 1, directed: bool = False, label_cols: tuple[str, ...] = ()) -> DataFrame:
-    """(run_id, node_id, node_type, c1, c2). One round without direction: the multiset of (edge label, neighbour's type) of each node."""
+    """(run_id, node_id, node_type, c1, c2), to a fixpoint if ``rounds`` is None: by run in one task where all runs fit one, else by rounds
+    over the whole graph. One round without direction: the multiset of (edge label, neighbour's type)
+    of each node."""
     attrs = ("node_type", *label_cols)
     if rounds == 1 and not directed:
         seen = grouping.views(g, ("out", "in")).select("run_id", "node_id", "label", "far")
@@ -31,6 +34,8 @@ def node_hashes(g: ProvGraph, rounds: int | None = 1, directed: bool = False, la
         own = g.nodes.select("run_id", "node_id", "node_type", *(F.coalesce(F.col(a).cast("string"), F.lit("")).alias(f"own_{a}") for a in attrs))
         parts = [*(F.col(f"own_{a}") for a in attrs), F.coalesce("m_count", F.lit(0)), *(F.coalesce(c, F.lit(0)).cast("decimal(38,0)") for c in ("m_sum1", "m_sum2"))]
         return own.join(sig, ["run_id", "node_id"], "left").select("run_id", "node_id", "node_type", *colour(*parts))
+    if rounds is None and not label_cols and choose(g) == "run-parallel":
+        return runwise.colours(g)
     state = grouping.refine(g, grouping.start(g, attrs), ("out", "in"), True, rounds)
     return state.join(g.nodes.select("run_id", "node_id", "node_type"), ["run_id", "node_id"]).select("run_id", "node_id", "node_type", "c1", "c2")
 
@@ -43,11 +48,28 @@ def fingerprint(g: ProvGraph, hashes: DataFrame | None = None) -> DataFrame:
     return n.join(e, "run_id", "left").select("run_id", F.col("m_count").alias("nodes"), F.coalesce("edges", F.lit(0)).alias("edges"), *(c.alias(f) for c, f in zip(colour(F.col("m_sum1").cast("decimal(38,0)"), F.col("m_sum2").cast("decimal(38,0)")), ("f1", "f2"), strict=True)))
 
 
-def classes(g: ProvGraph) -> DataFrame:
-    """(run_id, class_id): runs with one fingerprint; class_id is the least of them."""
+def classes(g: ProvGraph, exact: bool = False, max_steps: int = 20_000) -> DataFrame:
+    """(run_id, class_id): runs with one fingerprint; class_id is the least of them.
+
+    The fingerprint is of refined colours, which tell all trees and chains apart, but not all regular graphs. With ``exact`` each
+    run of a class is verified against the class's least; those that differ form a class of their own and are verified again.
+    A search that passes ``max_steps`` leaves its run with those that differ.
+    """
     f = fingerprint(g)
     least = f.groupBy("nodes", "edges", "f1", "f2").agg(F.min("run_id").alias("class_id"))
-    return f.join(least, ["nodes", "edges", "f1", "f2"]).select("run_id", "class_id")
+    found = f.join(least, ["nodes", "edges", "f1", "f2"]).select("run_id", "class_id")
+    if not exact:
+        return found
+    left, out = materialize(found, "classes"), None
+    while not left.isEmpty():
+        pairs = left.filter("run_id <> class_id").select(F.col("class_id").alias("run_a"), F.col("run_id").alias("run_b"))
+        verdicts = verify_many(g, g, pairs, max_steps=max_steps).filter(F.col("verdict") == MATCHED).select(F.col("run_b").alias("run_id"))
+        same = materialize(left.join(verdicts, "run_id", "left_semi").union(left.filter("run_id = class_id")).select("run_id", "class_id"), "classes")
+        out = same if out is None else out.union(same)
+        rest = left.join(same.select("run_id"), "run_id", "left_anti")
+        heads = rest.groupBy("class_id").agg(F.min("run_id").alias("head"))
+        left = materialize(rest.join(heads, "class_id").select("run_id", F.col("head").alias("class_id")), "classes")
+    return found.limit(0) if out is None else out
 
 
 def _sizes(g: ProvGraph) -> DataFrame:
@@ -103,7 +125,8 @@ def _mappings(a: ProvGraph, b: ProvGraph, pairs: DataFrame, max_steps: int) -> D
     sides = {s: _paired(g, pairs, s) for s, g in (("a", a), ("b", b))}
     tag = lambda df, s, *cols: df.select(*(F.concat(F.lit(f"{s}:"), F.col(c)).alias(c) if c in cols else F.col(c) for c in df.columns))
     both = ProvGraph(*(tag(getattr(sides["a"], x), "a", *cols).unionByName(tag(getattr(sides["b"], x), "b", *cols)) for x, cols in (("nodes", ("node_id",)), ("edges", ("src", "dst")))))
-    colours = materialize(grouping.refine(both, grouping.start(both), ("out", "in"), True), "colours")
+    colours = runwise.colours(both) if choose(both) == "run-parallel" else grouping.refine(both, grouping.start(both), ("out", "in"), True)
+    colours = materialize(colours.select("run_id", "node_id", "c1", "c2"), "colours")
     side = colours.select("run_id", F.substring("node_id", 1, 1).alias("s"), F.expr("substring(node_id, 3)").alias("node"), "c1", "c2")
     n = side.groupBy("run_id", "c1", "c2").agg(F.count_if(F.col("s") == "a").alias("ka"), F.count_if(F.col("s") == "b").alias("kb"))
     bad = n.filter("ka <> kb").select("run_id").distinct()

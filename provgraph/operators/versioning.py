@@ -52,7 +52,7 @@ def version_files(g: ProvGraph, scope: str = "all", drop_readback: bool = False)
         b = b.filter(F.col("label") == GENERATED).unionByName(b.filter(F.col("label") == USED).join(own, ["run_id", "file", "process", "version"], "left_anti").select(*b.columns))
     name = F.concat("file", F.lit("#"), F.col("version").cast("string"))
     if scope == "hazard":
-        hot = hazards(g).select("run_id", "file").distinct().withColumn("hot", F.lit(True))
+        hot = hazard_counts(g).select("run_id", "file").withColumn("hot", F.lit(True))
         b = b.join(hot, ["run_id", "file"], "left")
         name = F.when(F.col("hot"), name).otherwise(F.col("file"))
     b = b.withColumn("v", name)

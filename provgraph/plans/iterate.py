@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import time
 import uuid
@@ -16,9 +17,11 @@ _OWN: dict[str, str] = {}  # by application, where spark.checkpoint.dir is unset
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; where that is unset, a local folder of our own."""
+    """spark.checkpoint.dir. Where it is unset, a local folder of our own in local mode, else an error: executors would not share it."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = _OWN.get(spark.sparkContext.applicationId) or "file://" + tempfile.mkdtemp(prefix="rounds-")
         _OWN[spark.sparkContext.applicationId] = base
     return base.rstrip("/")

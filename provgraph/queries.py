@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -10,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provgraph import oracles as o
-from provgraph.operators import baselines, collapse, content, graph, grouping, isomorph, measures, reach, replay, temporal, trace, versioning
+from provgraph.operators import baselines, collapse, content, graph, grouping, isomorph, measures, reach, replay, summaries, temporal, trace, versioning
 from provgraph.operators.catalog import Catalog
 from provgraph.plans.iterate import shared_dir
 from provgraph.schema import ACTIVITY, ENTITY, ProvGraph
@@ -132,7 +131,7 @@ def version_overhead(spark, d):
     return versioning.overhead(g, versioning.version_files(g)).select("versions", "nodes_added", "edges_added")
 
 
-@query("SELECT true AS acyclic, 0::BIGINT AS residual_nodes")
+@query(o.STAR + o.peel_sql("star_e", 8) + "SELECT count(*) = 0 AS acyclic, count(DISTINCT src) AS residual_nodes FROM rest")
 def acyclic_star(spark, d):
     return reach.acyclicity(c.star(spark, d)).drop("run_id")
 
@@ -178,7 +177,7 @@ def earliest_arrival(spark, d):
     return r.select("node_id", F.timestamp_diff("MICROSECOND", F.lit("1970-01-01").cast("timestamp_ntz"), "arrival").alias("arrival_us"))
 
 
-@query()
+@query(o.AUDIT + o.spread_sql("f:1", 16, "2024-01-15 00:00:00") + "SELECT node_id, strftime(make_timestamp(t), '%Y-%m-%d %H:%M:%S.%f') AS departure FROM best")
 def lineage_as_of(spark, d):
     g = trace.from_accesses(c.audit_accesses(spark, d))
     return temporal.lineage(g, _ids(spark, "f:1"), "2024-01-15 00:00:00").select("node_id", F.date_format("departure", "yyyy-MM-dd HH:mm:ss.SSSSSS").alias("departure"))
@@ -226,6 +225,73 @@ def repeat_verdicts_one_hop(spark, d):
     return isomorph.verify(g, c.rerun(g), "one_hop")
 
 
+@query(
+    o.CONV
+    + """, f AS (SELECT conv_id AS run_id, count(*) AS k FROM conversations WHERE role <> 'assistant' GROUP BY 1), v AS (SELECT DISTINCT n.run_id, n.run_id % 10 = 0 AND EXISTS (SELECT 1 FROM conv_e e WHERE e.run_id = n.run_id) AS cut,
+    n.run_id % 7 = 0 AND coalesce(k, 0) > 0 AS other FROM conv_n n LEFT JOIN f ON f.run_id = n.run_id)
+    SELECT run_id, CASE WHEN cut THEN 'unmatched' ELSE 'matched' END AS graph, NOT other AS outputs, NOT (cut OR other) AS repeated FROM v"""
+)
+def exact_repeat_report(spark, d):
+    """Graph and contents of re-runs of which some lost an edge and some made other outputs."""
+    g = c.conversation_runs(spark, d)
+    text = F.coalesce("text", F.lit(""))
+    f = c.table(spark, d, "conversations").filter("role <> 'assistant'").select(F.col("conv_id").alias("run_id"), F.col("turn").alias("path"), F.sha2(text, 256).alias("content_hash"))
+    again = f.withColumn("content_hash", F.when(F.col("run_id") % 7 == 0, F.sha2(F.concat("content_hash", F.lit("!")), 256)).otherwise(F.col("content_hash")))
+    return replay.exact_report(g, c.rerun(g, perturb="drop"), f, again)
+
+
+@query(
+    o.CONV
+    + """, r AS (SELECT *, row_number() OVER (PARTITION BY run_id ORDER BY src, dst) AS up, row_number() OVER (PARTITION BY run_id ORDER BY src DESC, dst DESC) AS down FROM conv_e WHERE label = 'used'),
+    moved AS (SELECT p.run_id FROM r p JOIN r q ON p.run_id = q.run_id WHERE p.up = 1 AND q.down = 1 AND p.src <> q.src AND p.dst <> q.dst AND p.run_id % 3 = 0)
+    SELECT DISTINCT run_id AS run_a, 'matched' AS one_hop, CASE WHEN run_id IN (SELECT run_id FROM moved) THEN 'unmatched' ELSE 'matched' END AS exact FROM conv_n"""
+)
+def repeat_verdicts_moved(spark, d):
+    """Two edges with their far ends exchanged: one-hop hashes stay, and the exact check tells."""
+    g = c.conversation_runs(spark, d)
+    other = c.rerun(g, perturb="move", every=3)
+    a, b = (isomorph.verify(g, other, m).select("run_a", F.col("verdict").alias(m)) for m in ("one_hop", "exact"))
+    return a.join(b, "run_a")
+
+
+@query("SELECT * FROM (VALUES (1, 1), (2, 2), (3, 1), (4, 2)) t(run_id, class_id)")
+def iso_classes_exact(spark, d):
+    """Runs 1 and 3 are rings of eight, 2 and 4 two rings of four: refined colours alone see one class."""
+    ring = [(r, f"P{i}", f"F{(i + k) % 4}") for r in (1, 3) for i in range(4) for k in (0, 1)]
+    squares = [(r, f"P{i}", f"F{j}") for r in (2, 4) for half in (0, 2) for i in (half, half + 1) for j in (half, half + 1)]
+    e = spark.createDataFrame(ring + squares, "run_id long, src string, dst string").withColumn("label", F.lit("used")).withColumn("n", F.lit(1))
+    n = e.select("run_id", F.explode(F.array(F.struct(F.col("src").alias("node_id"), F.lit(ACTIVITY).alias("node_type")), F.struct(F.col("dst").alias("node_id"), F.lit(ENTITY).alias("node_type")))).alias("x")).select("run_id", "x.*").distinct()
+    return isomorph.classes(ProvGraph(n, e), exact=True)
+
+
+@query("SELECT conv_id AS run_id, min(conv_id) OVER (PARTITION BY key) AS class_id FROM (SELECT conv_id, string_agg(CASE WHEN role = 'assistant' THEN 'A' ELSE 'E' END, '' ORDER BY turn) AS key FROM conversations GROUP BY 1)")
+def conv_iso_classes_exact(spark, d):
+    return isomorph.classes(c.conversation_runs(spark, d), exact=True)
+
+
+@query(
+    o.CONV
+    + """, z AS (SELECT run_id, count(*) AS k FROM conv_n GROUP BY 1), y AS (SELECT run_id, count(*) AS m FROM conv_e GROUP BY 1),
+    w AS (SELECT CASE WHEN k <= 4 THEN 4 WHEN k <= 8 THEN 8 WHEN k <= 16 THEN 16 WHEN k <= 64 THEN 64 WHEN k <= 150 THEN 150 END AS up_to_nodes, k, coalesce(m, 0) AS m FROM z LEFT JOIN y ON y.run_id = z.run_id)
+    SELECT up_to_nodes, count(*) AS runs, sum(k)::BIGINT AS nodes, sum(m)::BIGINT AS edges, count(*) AS matched, true AS timed FROM w GROUP BY 1"""
+)
+def check_time_by_size(spark, d):
+    """The repeat check by size of graph. Seconds differ from run to run, so only their presence is compared; the bench prints them."""
+    g = c.conversation_runs(spark, d)
+    return measures.check_times(g, c.rerun(g)).select("up_to_nodes", "runs", "nodes", "edges", "matched", (F.col("seconds") > 0).alias("timed"))
+
+
+@query("SELECT unnest(['normal', 'audited', 'repeated']) AS mode, true AS timed")
+def run_time_overhead(spark, d):
+    """Order workflow as it is, with its trace kept, and repeated with the check of its graph; seconds are the bench's."""
+    return _overheads(spark, d).select("mode", (F.col("seconds") > 0).alias("timed"))
+
+
+def _overheads(spark, d):
+    steps = {"revenue": lambda: c.table(spark, d, "lineitem").groupBy("l_suppkey").agg(F.sum("l_extendedprice").alias("x")), "orders": lambda: c.table(spark, d, "orders").groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"))}
+    return measures.audit_overhead(spark, steps, c.rerun, lambda: c.star(spark, d))
+
+
 @query()
 def one_hop_vs_exact(spark, d):
     """A ring and two squares of processes and files: equal one-hop hashes, no isomorphism."""
@@ -268,7 +334,9 @@ def partial_descendants(spark, d):
     return replay.required(g, _ids(spark, "r:0"), "descendants").select("node_id")
 
 
-@query()
+@query(
+    o.STAR + o.spawn_sql("c:1") + ", up AS (SELECT node_id FROM hit UNION SELECT dst FROM star_e JOIN up ON src = up.node_id) SELECT up.node_id FROM up JOIN star_n ON star_n.node_id = up.node_id WHERE node_type = 'activity'"
+)
 def partial_lineage(spark, d):
     return replay.required(*_star_part(spark, d), "lineage").select("node_id")
 
@@ -285,15 +353,53 @@ def partial_files(spark, d):
 
 @query(
     o.STAR
+    + o.reach_sql("p:0")
     + """, p AS (SELECT 'c:1' AS node_id UNION SELECT src FROM star_e WHERE dst = 'c:1' AND label = 'wasInformedBy'),
-    f AS (SELECT DISTINCT CASE WHEN label = 'used' THEN dst ELSE src END AS node_id FROM star_e WHERE label = 'used' AND src IN (SELECT node_id FROM p) OR label = 'wasGeneratedBy' AND dst IN (SELECT node_id FROM p)),
-    k AS (SELECT *, node_id IN (SELECT node_id FROM f) AS kept FROM star_n WHERE node_type = 'entity')
+    fe AS (SELECT CASE WHEN label = 'used' THEN dst ELSE src END AS file, CASE WHEN label = 'used' THEN src ELSE dst END AS proc, label, epoch_us(e) - epoch_us(b) AS us FROM star_e WHERE label <> 'wasInformedBy'),
+    f AS (SELECT DISTINCT file AS node_id FROM fe WHERE proc IN (SELECT node_id FROM p)),
+    k AS (SELECT star_n.*, coalesce(p_size, 0) AS size, node_id IN (SELECT node_id FROM f) AS kept FROM star_n LEFT JOIN part ON node_id = 'p:' || p_partkey WHERE node_type = 'entity')
     SELECT count(*) FILTER (class = 'program') AS program, count(*) FILTER (class = 'data') AS data, count(*) FILTER (class = 'dependency') AS dependency,
-    count(*) FILTER (kept AND class = 'program') AS program_partial, count(*) FILTER (kept AND class = 'data') AS data_partial, count(*) FILTER (kept AND class = 'dependency') AS dependency_partial, 0::BIGINT AS unused, true AS executable FROM k"""
+    count(*) FILTER (kept AND class = 'program') AS program_partial, count(*) FILTER (kept AND class = 'data') AS data_partial, count(*) FILTER (kept AND class = 'dependency') AS dependency_partial,
+    count(*) FILTER (class = 'program') AS program_modified, count(*) FILTER (class = 'data') AS data_modified, count(*) FILTER (class = 'dependency') AS dependency_modified,
+    sum(size)::BIGINT AS size_original, coalesce(sum(size) FILTER (kept), 0)::BIGINT AS size_partial, sum(size)::BIGINT AS size_modified,
+    (SELECT round(sum(us) / 1e6, 3) FROM fe) AS seconds_original, (SELECT round(coalesce(sum(us), 0) / 1e6, 3) FROM fe WHERE proc IN (SELECT node_id FROM p)) AS seconds_partial,
+    (SELECT round(coalesce(sum(us), 0) / 1e6, 3) FROM fe WHERE proc IN (SELECT node_id FROM hit)) AS seconds_modified,
+    (SELECT count(*) FROM f WHERE NOT EXISTS (SELECT 1 FROM fe WHERE file = node_id AND proc IN (SELECT node_id FROM p))) AS unused,
+    NOT EXISTS (SELECT 1 FROM fe WHERE label = 'used' AND proc IN (SELECT node_id FROM p) AND file NOT IN (SELECT node_id FROM k WHERE kept)) AS executable FROM k"""
 )
 def partial_report(spark, d):
+    """The original, the partial and the modified container: files by class, bytes, seconds, files shipped for nothing, whether it runs."""
     g, sel = _star_part(spark, d)
-    return measures.partial_report(g, sel).drop("run_id", "seconds_original", "seconds_partial")
+    return measures.partial_report(g, sel, changed=_ids(spark, "p:0")).drop("run_id")
+
+
+@query(
+    o.STAR
+    + """, p AS (SELECT 'c:1' AS node_id UNION SELECT src FROM star_e WHERE dst = 'c:1' AND label = 'wasInformedBy')
+    SELECT NOT EXISTS (SELECT 1 FROM star_e JOIN star_n ON star_n.node_id = dst WHERE label = 'used' AND src IN (SELECT node_id FROM p) AND class = 'dependency') AS executable"""
+)
+def partial_without_dependencies(spark, d):
+    """The negative case: a sub-container that lost its dependencies can't run."""
+    g, sel = _star_part(spark, d)
+    sub = replay.sub_container(g, sel)
+    kept = ProvGraph(sub.nodes.filter(F.coalesce(F.element_at("attrs", "class"), F.lit("")) != "dependency"), sub.edges)
+    return replay.executable(kept, g).select("executable")
+
+
+@query(o.STAR + o.reach_sql("p:0") + "SELECT 'full' AS repeat, count(*) AS processes FROM star_n WHERE node_type = 'activity' UNION ALL SELECT 'modified', count(*) FROM star_n WHERE node_type = 'activity' AND node_id IN (SELECT node_id FROM hit)")
+def rerun_full_vs_modified(spark, d):
+    g = c.star(spark, d)
+    full = baselines.full_rerun(g).agg(F.lit("full").alias("repeat"), F.count(F.lit(1)).alias("processes"))
+    again = replay.modified(g, _ids(spark, "p:0")).filter("action = 'rerun'")
+    return full.unionByName(again.agg(F.lit("modified").alias("repeat"), F.count(F.lit(1)).alias("processes")))
+
+
+@query(o.STAR + o.reach_sql("p:0").replace("'p:0' AS node_id", "node_id FROM star_n WHERE class = 'program'") + "SELECT CASE WHEN n.class = 'program' THEN 'changed' WHEN n.node_id IN (SELECT node_id FROM hit) THEN CASE WHEN n.node_type = 'activity' THEN 'rerun' ELSE 'regenerate' END ELSE 'reuse' END AS action, count(*) AS n FROM star_n n GROUP BY 1")
+def modified_programs(spark, d):
+    """Every program file changed: what a repeat does, by action."""
+    g = c.star(spark, d)
+    changed = g.nodes.filter(F.element_at("attrs", "class") == "program").select("run_id", "node_id")
+    return replay.modified(g, changed).groupBy("action").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(o.STAR + ", u AS (SELECT src AS p FROM star_e WHERE label = 'used' AND dst = 'p:0') SELECT p AS node_id FROM u UNION SELECT src FROM star_e WHERE label = 'wasInformedBy' AND dst IN (SELECT p FROM u)")
@@ -322,7 +428,14 @@ def modified_many(spark, d):
     return replay.modified_many(c.star(spark, d), ch).groupBy("change_id").agg(F.count(F.lit(1)).alias("again"))
 
 
-@query()
+@query(
+    o.AUDIT
+    + o.spread_sql("f:1", 16)
+    + """, acts AS (SELECT actor AS node_id FROM acc UNION SELECT 'u:' || split_part(actor, ':', 2) FROM acc UNION SELECT object FROM acc WHERE op = 'spawned'),
+    s AS (SELECT CASE WHEN label = 'used' THEN src ELSE dst END AS node_id, sum(e - b) AS us FROM aud_e WHERE label IN ('used', 'wasGeneratedBy') GROUP BY 1),
+    j AS (SELECT coalesce(us, 0) AS us, best.node_id IS NOT NULL AS again FROM acts LEFT JOIN s ON s.node_id = acts.node_id LEFT JOIN best ON best.node_id = acts.node_id)
+    SELECT count(*) AS processes, count(*) FILTER (again) AS rerun, count(*) FILTER (NOT again) AS reused, round(sum(us) / 1e6, 3) AS seconds, round(coalesce(sum(us) FILTER (NOT again), 0) / 1e6, 3) AS seconds_saved FROM j"""
+)
 def rerun_savings(spark, d):
     g = trace.from_accesses(c.audit_accesses(spark, d))
     return measures.rerun_savings(g, replay.modified(g, _ids(spark, "f:1"), "temporal")).drop("run_id")
@@ -342,13 +455,13 @@ def collapse_pack_round1(spark, d):
     return collapse.packable(g).groupBy("rule").agg(F.count(F.lit(1)).alias("packed"))
 
 
-@query()
+@query(o.STAR + o.collapse("star_n", "star_e") + "SELECT " + o.sizes())
 def collapse_summary(spark, d):
     q, _ = collapse.summarize(c.star(spark, d))
     return graph.stats(q).drop("run_id")
 
 
-@query()
+@query(o.recursive(o.CONV) + o.collapse("conv_n", "conv_e") + "SELECT rule, count(*) AS merged, " + o.sizes() + " FROM km GROUP BY rule")
 def collapse_conversations(spark, d):
     g = _one_run(c.conversation_runs(spark, d))
     q, m = collapse.summarize(g)
@@ -361,13 +474,25 @@ def annotated_processes(spark, d):
     return collapse.annotations(c.page_links(spark, d)).select("node_id", F.array_join("files", " ").alias("files"))
 
 
-@query()
+@query(
+    o.recursive(o.CONV)
+    + o.collapse("conv_n", "conv_e")
+    + """, comp AS (SELECT DISTINCT step, parent AS node FROM km), up AS (SELECT km.child, km.parent, count(*) AS c FROM km JOIN comp ON comp.node = km.parent AND comp.step >= km.step GROUP BY km.child, km.parent, km.step)
+    SELECT coalesce(max(u.c + coalesce(w.c, 0)), 0) AS max_clicks, (SELECT count(*) FROM comp) AS composites FROM up u LEFT JOIN up w ON w.child = u.parent"""
+)
 def expansion_clicks(spark, d):
     _, m = collapse.summarize(_one_run(c.conversation_runs(spark, d)))
     return collapse.clicks(m)
 
 
-@query()
+@query(
+    o.recursive(o.PAGES)
+    + ", show_n AS (SELECT node_id, node_type FROM page_n WHERE NOT coalesce(regexp_matches(label, '^/[a-z]*$'), false)), show_e AS (SELECT * FROM page_e WHERE src IN (SELECT node_id FROM show_n) AND dst IN (SELECT node_id FROM show_n))"
+    + o.collapse("show_n", "show_e")
+    + """, f AS (SELECT DISTINCT dst AS file, src AS proc FROM ke WHERE label = 'used'), sh AS (SELECT file FROM f GROUP BY 1 HAVING count(*) >= 2), left_n AS (SELECT * FROM kn WHERE node_id NOT IN (SELECT file FROM sh))
+    SELECT count(*) FILTER (node_type = 'activity') AS activities, count(*) FILTER (node_type = 'entity') AS entities, (SELECT count(*) FROM ke WHERE dst NOT IN (SELECT file FROM sh)) AS edges,
+    (SELECT count(DISTINCT proc) FROM f WHERE file IN (SELECT file FROM sh)) AS annotated FROM left_n"""
+)
 def process_view(spark, d):
     g, _, notes = collapse.process_view(c.page_links(spark, d), r"^/[a-z]*$")
     return graph.stats(g).drop("run_id").crossJoin(notes.agg(F.count(F.lit(1)).alias("annotated")))  # one row each
@@ -405,7 +530,7 @@ def ancestry_incoming_groups(spark, d):
     return grouping.ancestry(_one_run(c.conversation_runs(spark, d)), "incoming").select("node_id", "group_id")
 
 
-@query()
+@query(o.CONV + o.refine("conv_n", "conv_e", ("out",), False, 14, degrees=True))
 def ancestry_label_degree_groups(spark, d):
     return grouping.ancestry_degree(_one_run(c.conversation_runs(spark, d)), "label").select("node_id", "group_id")
 
@@ -420,7 +545,7 @@ def attribute_groups(spark, d):
     return grouping.by_attributes(c.star(spark, d), ("node_type", "kind")).select("node_id", "group_id")
 
 
-@query()
+@query(o.CONV + o.refine("conv_n", "conv_e", ("out", "in"), True, 8))
 def splitter_queue_groups(spark, d):
     return baselines.splitter_queue(_one_run(c.conversation_runs(spark, d))).select("node_id", "group_id")
 
@@ -431,11 +556,11 @@ def summary_graph(spark, d):
     return grouping.summary_graph(g, grouping.ancestry(g))[1].drop("run_id")
 
 
-@query()
+@query(o.reductions())
 def reduction_report(spark, d):
     """Reductions of files, processes and edges by graph and method, and their means over the graphs."""
     rows = None
-    for name, g in (("orders", _one_run(c.order_runs(spark, d))), ("conversations", _one_run(c.conversation_runs(spark, d))), ("pages", c.page_links(spark, d))):
+    for name, g in (("orders", _one_run(c.order_runs(spark, d))), ("conversations", _one_run(c.conversation_runs(spark, d))), ("pages", c.page_links(spark, d)), ("star", c.star(spark, d))):
         made = [("collapse", measures.reduction(g, collapse.summarize(g)[0]))]
         made += [(m, measures.grouped_reduction(g, *grouping.summary_graph(g, f(g)))) for m, f in (("ancestry", grouping.ancestry), ("ancestry_degree", grouping.ancestry_degree), ("relationship", grouping.relationship))]
         for method, r in made:
@@ -445,12 +570,36 @@ def reduction_report(spark, d):
     return rows.unionByName(mean)
 
 
-@query()
+@query(
+    o.STAR
+    + ", grp AS MATERIALIZED (" + o.refine("star_n", "star_e", ("out",), False, 5, top=False) + ")"
+    + """, k AS (SELECT group_id, kind, count(*)::DOUBLE AS n FROM grp JOIN star_n ON star_n.node_id = grp.node_id GROUP BY ALL), t AS (SELECT (SELECT sum(n * (n - 1) / 2) FROM k) AS tp,
+    (SELECT sum(n * (n - 1) / 2) FROM (SELECT sum(n) AS n FROM k GROUP BY group_id)) AS pp, (SELECT sum(n * (n - 1) / 2) FROM (SELECT sum(n) AS n FROM k GROUP BY kind)) AS pr)
+    SELECT round(tp / pp, 6) AS precision, round(tp / pr, 6) AS recall, round(2 * (tp / pp) * (tp / pr) / (tp / pp + tp / pr), 6) AS f1 FROM t"""
+)
 def workflow_agreement(spark, d):
     g = c.star(spark, d)
     return measures.agreement(grouping.ancestry(g), g.nodes).drop("run_id")
 
 
+@query(o.by_method())
+def summary_by_method(spark, d):
+    """Every summarization of the conversations by the one entry to all of them."""
+    g, rows = _one_run(c.conversation_runs(spark, d)), None
+    for method in ("collapse", "ancestry", "ancestry_degree", "relationship"):
+        n, e = summaries.summarize(g, method)
+        count = n.agg(F.lit(method).alias("method"), F.count_if(F.col("node_type") == ACTIVITY).alias("activities"), F.count_if(F.col("node_type") == ENTITY).alias("entities"))
+        row = count.crossJoin(e.agg(F.count(F.lit(1)).alias("edges")))  # one row each
+        rows = row if rows is None else rows.unionByName(row)
+    return rows
+
+
+@query(o.CONV + "SELECT DISTINCT a.dst AS source, b.src AS node_id FROM conv_e a JOIN conv_e b ON b.dst = a.src WHERE a.label = 'used' AND b.label = 'wasGeneratedBy' AND a.dst <> b.src")
+def dependency_graph(spark, d):
+    """Dependencies among files over at most one process."""
+    return temporal.dependency_graph(_one_run(c.conversation_runs(spark, d)), 2).select("source", "node_id")
+
+
 @query(o.STAR + "SELECT DISTINCT a.kind AS src, b.kind AS dst, label FROM star_e JOIN star_n a ON a.node_id = src JOIN star_n b ON b.node_id = dst")
 def drawn_workflow(spark, d):
     return baselines.drawn_workflow(c.star(spark, d)).drop("run_id")
@@ -501,14 +650,24 @@ def expected_outputs(spark, d):
     return replay.check_expected(got, want)
 
 
-@query("SELECT conv_id AS run_id, count(*) AS nodes FROM conversations GROUP BY 1")
+def _catalog(spark) -> Catalog:
+    return Catalog(spark, f"{shared_dir(spark)}/runs-{uuid.uuid4().hex}")
+
+
+@query("SELECT dense_rank() OVER (ORDER BY conv_id) - 1 AS run_id, count(*) AS nodes FROM conversations GROUP BY conv_id")
 def run_catalog(spark, d):
-    return c.conversation_runs(spark, d).nodes.groupBy("run_id").agg(F.count(F.lit(1)).alias("nodes"))
+    """Every conversation recorded as a run, and listed."""
+    cat = _catalog(spark)
+    cat.record_all("conversations", c.conversation_runs(spark, d))
+    return cat.list().select("run_id", "nodes")
 
 
-@query("SELECT max(conv_id) AS run_id FROM conversations")
+@query("SELECT max(conv_id) AS run_id, max_by(k, conv_id) AS nodes FROM (SELECT conv_id, count(*) AS k FROM conversations GROUP BY 1)")
 def run_last(spark, d):
-    return c.conversation_runs(spark, d).nodes.agg(F.max("run_id").alias("run_id"))
+    """The last of the recorded runs, read back."""
+    cat = _catalog(spark)
+    cat.record_all("conversations", c.conversation_runs(spark, d))
+    return cat.show("conversations").nodes.groupBy("run_id").agg(F.count(F.lit(1)).alias("nodes"))
 
 
 @query("SELECT lang, source, count(*) AS files, grouping(lang) * 2 + grouping(source) AS level FROM documents GROUP BY ROLLUP (lang, source)")
@@ -520,7 +679,7 @@ def subtask_languages(spark, d):
 @query("SELECT 2::BIGINT AS runs, 1::BIGINT AS last_run, true AS same_token")
 def catalog_roundtrip(spark, d):
     """Two stored runs, the last of which is exported and opened again."""
-    cat = Catalog(spark, tempfile.mkdtemp(prefix="runs-", dir=None) if not shared_dir(spark) else f"{shared_dir(spark)}/runs-{spark.sparkContext.applicationId}-{id(d)}")
+    cat = _catalog(spark)
     g = c.conversation_runs(spark, d).run(0)
     for _ in range(2):
         cat.record("lab", g)
@@ -535,39 +694,53 @@ def catalog_roundtrip(spark, d):
 
 
 def _stream(spark, d):
-    import os
-
     s = spark.readStream.schema(live.EVENTS).option("pathGlobFilter", "events.parquet").parquet(d)
-    return s.withColumn("at", F.col("ts").cast("timestamp")), f"s{os.getpid()}_{abs(hash(d)) % 10**6}"
-
-
-def _written(stream, name, mode="append"):
-    """The rows of a stream over all that is there, by way of the shared folder, as they may be many."""
-    path = f"{shared_dir(stream.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    live.sink_runs(stream, f"{path}/rows", f"{path}/ck", mode).awaitTermination()
-    return stream.sparkSession.read.parquet(f"{path}/rows").select(*stream.columns)
+    return s.withColumn("at", F.col("ts").cast("timestamp"))
 
 
 @query("SELECT strftime(time_bucket(INTERVAL 1 DAY, ts), '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
 def stream_window_counts(spark, d):
-    s, name = _stream(spark, d)
+    s = _stream(spark, d)
     w = s.groupBy(F.window("at", "1 day"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "event_type", "n")
-    return live.drain(w, f"{name}_w", "complete")
+    return live.drain(w, "complete")
 
 
 @query("SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY 1")
 def stream_dedup(spark, d):
-    s, name = _stream(spark, d)
-    return live.drain(live.dedup_events(s, "400 days").select("event_id", "event_type"), f"{name}_d").groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+    s = _stream(spark, d)
+    return live.drain(live.dedup_events(s, "400 days").select("event_id", "event_type")).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query()
+@query(
+    o.AUDIT
+    + """, g AS (SELECT op, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER w > 3600000000 OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS new FROM acc WINDOW w AS (PARTITION BY actor, op, object ORDER BY ts))
+    SELECT op, sum(new)::BIGINT AS sessions, count(*) AS accesses FROM g GROUP BY op"""
+)
 def stream_intervals(spark, d):
-    s, name = _stream(spark, d)
-    return _written(live.open_close_intervals(s, delay=None), f"{name}_i", "complete").groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
+    s = _stream(spark, d)
+    return live.drain(live.open_close_intervals(s, delay=None), "complete").groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
 
 
-@query()
+@query(
+    o.AUDIT
+    + """, r AS (SELECT object AS file, actor AS reader, min(ts) AS t FROM acc WHERE op = 'read' AND object IS NOT NULL GROUP BY ALL), w AS (SELECT object AS file, actor AS writer, max(ts) AS t FROM acc WHERE op = 'written' AND object IS NOT NULL GROUP BY ALL)
+    SELECT count(*) AS hazards FROM r JOIN w ON r.file = w.file WHERE reader <> writer AND w.t > r.t"""
+)
 def stream_hazards(spark, d):
-    s, name = _stream(spark, d)
-    return _written(live.live_hazards(s, None).select("reader", "file", "writer"), f"{name}_h").distinct().agg(F.count(F.lit(1)).alias("hazards"))
+    s = _stream(spark, d)
+    return live.drain(live.live_hazards(s, None).select("reader", "file", "writer")).distinct().agg(F.count(F.lit(1)).alias("hazards"))
+
+
+@query("WITH m AS (SELECT date_trunc('day', min(ts) + (max(ts) - min(ts)) / 2) AS cut FROM events) SELECT count(*) AS events, count(*) FILTER (ts >= cut) AS counted, count(*) FILTER (ts < cut) AS late FROM events, m")
+def op_stream_late(spark, d):
+    """Events of the first half that come after those of the second: a daily count with a watermark leaves them out."""
+    ev = c.table(spark, d, "events").select("event_id", "ts", "user_id", "event_type", "value", "props")
+    middle = F.timestamp_add("MICROSECOND", F.floor(F.timestamp_diff("MICROSECOND", F.min("ts"), F.max("ts")) / 2), F.min("ts"))
+    both = ev.crossJoin(F.broadcast(ev.agg(F.date_trunc("day", middle).cast("timestamp").alias("cut"))))  # one row
+    late, path = F.col("ts").cast("timestamp") < F.col("cut"), f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    # files are taken in the order of their writing, one in a batch; rows are late by the watermark of the batch before the last
+    for part in (both.filter(~late & (F.col("event_id") % 2 == 0)), both.filter(~late & (F.col("event_id") % 2 == 1)), both.filter(late)):
+        part.drop("cut").coalesce(1).write.mode("append").parquet(path)
+    counts = live.drain(live.access_counts(live.audit_source(spark, path)), "update")
+    counted = counts.groupBy("begun", "event_type").agg(F.max("n").alias("n")).agg(F.sum("n").alias("counted"))
+    return ev.agg(F.count(F.lit(1)).alias("events")).crossJoin(counted).withColumn("late", F.col("events") - F.col("counted"))  # one row each

@@ -1,7 +1,7 @@
 """A data source for raw audit-log lines: ``time|actor|operation|object|microseconds``, batch and stream.
 
-Register with ``spark.dataSource.register(AuditLogSource)`` and read with ``spark.read.format("audit_log").load(folder)``. Lines that
-do not parse are left out and counted by the reader's caller, who may read the folder as text.
+Register with ``spark.dataSource.register(AuditLogSource)`` and read with ``spark.read.format("audit_log").load(folder)``. A line that
+does not parse is a row with the operation 'malformed' and itself as the object, so that it can be counted; traces have no edge for it.
 """
 
 from __future__ import annotations
@@ -10,7 +10,7 @@ import os
 from collections.abc import Iterator
 from datetime import datetime
 
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
+from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, InputPartition
 
 SCHEMA = "run_id long, seq long, ts timestamp_ntz, actor string, op string, object string, dur_us long"
 
@@ -20,14 +20,15 @@ class FilePart(InputPartition):
         self.path, self.number = path, number
 
 
-def parse(line: str, run: int, seq: int) -> tuple | None:
-    parts = line.rstrip("\n").split("|")
-    if len(parts) != 5:
-        return None
+def parse(line: str, run: int, seq: int) -> tuple:
+    line = line.rstrip("\n")
+    parts = line.split("|")
     try:
-        return (run, seq, datetime.fromisoformat(parts[0]), parts[1], parts[2], parts[3], int(parts[4] or 0))
+        if len(parts) == 5:
+            return (run, seq, datetime.fromisoformat(parts[0]), parts[1], parts[2], parts[3], int(parts[4] or 0))
     except ValueError:
-        return None
+        pass
+    return (run, seq, None, None, "malformed", line, 0)
 
 
 def _files(path: str) -> list[str]:
@@ -47,26 +48,27 @@ class AuditLogReader(DataSourceReader):
     def read(self, partition: FilePart) -> Iterator[tuple]:
         with open(partition.path, encoding="utf-8", errors="replace") as f:
             for k, line in enumerate(f):
-                if row := parse(line, self.run, partition.number << 32 | k):
-                    yield row
+                yield parse(line, self.run, partition.number << 32 | k)
 
 
-class AuditLogStream(SimpleDataSourceStreamReader):
-    """New files in name order; the offset is how many have been read."""
+class AuditLogStream(DataSourceStreamReader):
+    """Files that are new by name, one partition each; the offset is the names seen, so a late file of an earlier name is read once."""
 
     def __init__(self, options: dict):
         self.reader = AuditLogReader(options)
 
     def initialOffset(self) -> dict:
-        return {"files": 0}
+        return {"files": []}
+
+    def latestOffset(self) -> dict:
+        return {"files": _files(self.reader.path)}
 
-    def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
-        end = {"files": len(_files(self.reader.path))}
-        return self.readBetweenOffsets(start, end), end
+    def partitions(self, start: dict, end: dict) -> list[InputPartition]:
+        seen = set(start["files"])
+        return [FilePart(p, i) for i, p in enumerate(end["files"]) if p not in seen]
 
-    def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:
-        parts = self.reader.partitions()[start["files"] : end["files"]]
-        return iter([row for p in parts for row in self.reader.read(p)])
+    def read(self, partition: FilePart) -> Iterator[tuple]:
+        return self.reader.read(partition)
 
     def commit(self, end: dict) -> None:
         pass
@@ -83,5 +85,5 @@ class AuditLogSource(DataSource):
     def reader(self, schema) -> DataSourceReader:
         return AuditLogReader(self.options)
 
-    def simpleStreamReader(self, schema) -> SimpleDataSourceStreamReader:
+    def streamReader(self, schema) -> DataSourceStreamReader:
         return AuditLogStream(self.options)

@@ -120,12 +120,18 @@ def files(spark: SparkSession, sf_dir: str) -> DataFrame:
 def rerun(g: ProvGraph, seed: int = 1, perturb: str | None = None, every: int = 10) -> ProvGraph:
     """The graph as another run would record it: other identifiers, other row order.
 
-    ``perturb``: in runs whose identifier ``every`` divides, 'drop' removes the first edge, 'flip' changes its label.
+    ``perturb``: in runs whose identifier ``every`` divides, 'drop' removes the first edge, 'flip' changes its label, and 'move' lets
+    the first and the last edge of use, if they share no end, change their far ends: no node sees another number of edges to nodes of a type.
     """
     new = lambda c: F.when(c.isNotNull(), F.md5(F.concat(F.lit(f"{seed}:"), c)))
     nodes = g.nodes.withColumn("node_id", new(F.col("node_id")))
     e = g.edges
-    if perturb:
+    if perturb == "move":
+        ends = e.filter((F.col("label") == USED) & (F.col("run_id") % every == 0)).groupBy("run_id").agg(F.min(F.struct("src", "dst")).alias("p"), F.max(F.struct("src", "dst")).alias("q"))
+        ends = ends.filter("p.src <> q.src and p.dst <> q.dst")
+        at = lambda x: (F.col("label") == USED) & (F.struct("src", "dst") == F.col(x))
+        e = e.join(ends, "run_id", "left").withColumn("dst", F.when(at("p"), F.col("q.dst")).when(at("q"), F.col("p.dst")).otherwise(F.col("dst"))).select(*g.edges.columns)
+    elif perturb:
         hit = (F.col("run_id") % every == 0) & (F.row_number().over(Window.partitionBy("run_id").orderBy("src", "dst", "label")) == 1)
         e = e.withColumn("_hit", hit)
         e = e.filter("not _hit") if perturb == "drop" else e.withColumn("label", F.when(F.col("_hit"), F.when(F.col("label") == USED, GENERATED).otherwise(USED)).otherwise(F.col("label")))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -9,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
+from provgraph.plans.iterate import shared_dir
 from provgraph.sources.carriers import accesses_of
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -92,14 +94,15 @@ def sink_runs(stream: DataFrame, path: str, checkpoint: str, mode: str = "append
     return stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def drain(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None, then: Callable | None = None) -> DataFrame:
-    """Runs a stream over all that is there, into an in-memory table, and returns the table."""
-    w = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    q = (w.option("checkpointLocation", checkpoint) if checkpoint else w).start()
+def drain(stream: DataFrame, mode: str = "append", then: Callable | None = None) -> DataFrame:
+    """Runs a stream over all that is there, into a table in the shared folder, and returns the table."""
+    path = f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    stream.sparkSession.createDataFrame([], stream.schema).write.parquet(f"{path}/rows/none")  # if there is no batch
+    q = sink_runs(stream, f"{path}/rows", f"{path}/state", mode)
     q.awaitTermination()
     if then:
         then(q)
-    return stream.sparkSession.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{path}/rows/*")
 
 
 def late_rows(query) -> int:

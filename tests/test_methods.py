@@ -3,7 +3,7 @@
 import pytest
 from micro import F7, F8, F9, RING, SQUARES, build, groups, ids, names, sec
 
-from provgraph.operators import baselines, collapse, content, graph, grouping, isomorph, reach, replay, temporal, versioning
+from provgraph.operators import baselines, collapse, content, graph, grouping, isomorph, reach, replay, runwise, summaries, temporal, versioning
 from provgraph.operators.catalog import Catalog
 from provgraph.plans.choose import choose, salted_counts
 from provgraph.schema import ProvGraph
@@ -170,7 +170,70 @@ def test_catalog_and_plans(spark, tmp_path):
     assert [cat.record("lab", g), cat.record("lab", g), cat.record("other", g)] == [0, 1, 0]
     assert cat.list().count() == 3 and cat.show("lab").edges.count() == 11
     assert names(cat.repeat("lab", given=["A1"]).filter("action = 'rerun'")) == {"P1", "P2", "P3"}
+    put = cat.repeat("lab", given={"A1": "mine"})
+    assert names(put.filter("action = 'given'")) == {"mine"} and names(put.filter("action = 'changed'")) == {"A1"}
+    with pytest.raises(ValueError, match="nowhere"):
+        cat.repeat("lab", given=["nowhere"])
+    many = ProvGraph(*(x.union(y).union(z) for x, y, z in zip(*((h.nodes, h.edges) for h in (build(spark, F7, run=k) for k in (0, 1, 1500))), strict=True)))
+    assert cat.record_all("bulk", many) == 1500 and cat.record("bulk", g) == 1501
+    assert cat.show("bulk", 1500).edges.count() == 3 and cat.show("bulk").edges.count() == 11
     token = cat.export("lab", 1, f"file://{tmp_path}/out")
     assert token == cat.token("lab", 0) and Catalog.open(spark, f"file://{tmp_path}/out", token).nodes.count() == 9
     assert choose(g) == "run-parallel" and choose(g, 5) == "giant-graph"
     assert {r["label"]: r["n"] for r in salted_counts(g.edges.select("label", "src"), ["label"]).collect()} == {"used": 6, "wasGeneratedBy": 2, "wasInformedBy": 3}
+
+
+def test_summaries_by_one_entry(spark):
+    g = build(spark, F9)
+    q, merges = collapse.summarize(g)
+    nodes, edges = summaries.summarize(g)
+    assert {r["group_id"] for r in nodes.collect()} == names(q.nodes) and edges.count() == q.edges.count()
+    assert sum(r["size"] for r in nodes.collect()) == g.nodes.count()
+    for method in summaries.METHODS[1:]:
+        n, _ = summaries.summarize(g, method)
+        assert sum(r["size"] for r in n.collect()) == g.nodes.count()
+    with pytest.raises(ValueError, match="no summarization"):
+        summaries.summarize(g, "else")
+
+
+@pytest.mark.parametrize("edges", [F7, F8, F9, RING, SQUARES, ["P1 I P0", "P1 I P0", "P2 I P0"]])
+def test_runwise_colours_equal_those_by_rounds(spark, edges):
+    runs = [build(spark, edges, run=k) for k in (3, 8)]
+    g = ProvGraph(*(x.union(y) for x, y in zip(*((h.nodes, h.edges) for h in runs), strict=True)))
+    state = grouping.refine(g, grouping.start(g), ("out", "in"), True)
+
+    def parts(df):
+        by = {}
+        for r in df.collect():
+            by.setdefault((r["c1"], r["c2"]), set()).add((r["run_id"], r["node_id"]))
+        return {frozenset(v) for v in by.values()}
+
+    assert parts(runwise.colours(g)) == parts(state)
+
+
+def test_classes_are_checked_inside(spark):
+    runs = [build(spark, e, run=k) for k, e in enumerate((RING, SQUARES, RING, F8, SQUARES))]
+    g = ProvGraph(_union([r.nodes for r in runs]), _union([r.edges for r in runs]))
+    rough = {r["run_id"]: r["class_id"] for r in isomorph.classes(g).collect()}
+    exact = {r["run_id"]: r["class_id"] for r in isomorph.classes(g, exact=True).collect()}
+    assert rough == {0: 0, 1: 0, 2: 0, 3: 3, 4: 0} and exact == {0: 0, 1: 1, 2: 0, 3: 3, 4: 1}
+
+
+def _union(frames):
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
+
+
+def test_moved_edges_keep_one_hop_hashes(spark):
+    g = build(spark, ["A U x", "B U x", "B U y"])
+    moved = carriers.rerun(g, perturb="move", every=1)
+    assert [r["verdict"] for m in ("one_hop", "exact") for r in isomorph.verify(g, moved, m).collect()] == ["matched", "unmatched"]
+    assert g.edges.count() == moved.edges.count()
+
+
+def test_versions_of_hazard_files_alone(spark):
+    g = build(spark, [("P1 U F", 1, 2), ("F G P2", 3, 4), ("H G P2", 5, 6), ("P3 U H", 7, 8)])
+    v = names(versioning.version_files(g, "hazard").nodes)
+    assert {"F#0", "F#1", "H"} <= v and "F" not in v

@@ -13,11 +13,16 @@ def test_audit_log_source(spark, tmp_path):
     (tmp_path / "b.log").write_text("2024-01-01T00:00:02|d:2:2024-01-01|failed|f:3|1\n")
     spark.dataSource.register(AuditLogSource)
     a = spark.read.format("audit_log").load(str(tmp_path))
-    assert a.count() == 3
+    assert a.count() == 4 and [r["object"] for r in a.filter("op = 'malformed'").collect()] == ["broken"]
     g = trace.from_accesses(a)
     assert {r["label"]: r["n"] for r in g.edges.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()} == {"used": 1, "wasGeneratedBy": 1, "wasInformedBy": 2}
     s = spark.readStream.format("audit_log").load(str(tmp_path))
-    assert live.drain(s.select("op"), "audit_lines").count() == 3
+    state, seen = str(tmp_path / "state"), str(tmp_path / "rows")
+    live.sink_runs(s.select("op"), seen, state).awaitTermination()
+    (tmp_path / "aa.log").write_text("2024-01-01T00:00:03|d:2:2024-01-01|read|f:4|1\n")  # late, and earlier by name than one seen
+    live.sink_runs(s.select("op"), seen, state).awaitTermination()
+    got = spark.read.parquet(seen)
+    assert got.count() == 5 and got.filter("op = 'malformed'").count() == 1
 
 
 def _parts(spark, tmp_path, k=4):
@@ -32,7 +37,7 @@ def _parts(spark, tmp_path, k=4):
 def test_streams_equal_batch(spark, tmp_path):
     s = _parts(spark, tmp_path / "events")
     ev = carriers.table(spark, SF, "events")
-    got = live.drain(live.access_counts(s), "counts", "complete")
+    got = live.drain(live.access_counts(s), "complete")
     want = ev.groupBy(F.date_trunc("day", F.col("ts").cast("timestamp")).alias("begun"), "event_type").agg(F.count(F.lit(1)).alias("n"))
     assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
     q = live.sink_runs(s.select("event_id"), str(tmp_path / "out"), str(tmp_path / "ck"))
@@ -43,7 +48,7 @@ def test_streams_equal_batch(spark, tmp_path):
 def test_live_versions(spark, tmp_path):
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     s = live.audit_source(spark, f"file://{_one(spark, tmp_path)}")
-    got = live.drain(live.live_versions(s), "versions", "append")
+    got = live.drain(live.live_versions(s))
     writes = got.filter("op = 'written'").groupBy("object").agg(F.max("version").alias("m"), F.count(F.lit(1)).alias("n"))
     assert writes.filter("m <> n").isEmpty() and not writes.isEmpty()
 

@@ -47,7 +47,7 @@ def test_all_orders_pair(spark, duck):  # noqa: F811
 def test_live_hazards_equal_batch(spark, tmp_path):
     a = carriers.audit_accesses(spark, SF)
     want = {tuple(r) for r in versioning.hazards(trace.from_accesses(a, "access")).select("reader", "file", "writer").collect()}
-    got = live.drain(live.live_hazards(_parts(spark, tmp_path / "events"), None), "all_hazards")
+    got = live.drain(live.live_hazards(_parts(spark, tmp_path / "events"), None))
     assert {tuple(r) for r in got.select("reader", "file", "writer").collect()} == want
     assert queries.QUERIES["stream_hazards"](spark, SF).first()["hazards"] == len(want)
 
@@ -56,7 +56,7 @@ def test_live_sessions_equal_batch(spark, tmp_path):
     a = carriers.audit_accesses(spark, SF)
     at = F.col("t_begin").cast("timestamp").alias("t_begin")
     want = trace.coarsen(a, "session").select("actor", "op", "object", at, "n")
-    got = live.drain(live.open_close_intervals(_parts(spark, tmp_path / "events"), delay=None), "all_sessions", "complete").select(*want.columns)
+    got = live.drain(live.open_close_intervals(_parts(spark, tmp_path / "events"), delay=None), "complete").select(*want.columns)
     assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
     total = want.groupBy("op").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("accesses"))
     assert {tuple(r) for r in queries.QUERIES["stream_intervals"](spark, SF).collect()} == {tuple(r) for r in total.collect()}
@@ -76,27 +76,3 @@ def test_automorphisms_are_never_missing(spark):
     assert baselines.all_automorphisms(wide).first()["automorphisms"] == 5040
     assert baselines.all_automorphisms(build(spark, [f"P U F{i}" for i in range(25)])).first()["automorphisms"] == 15511210043330985984000000
     assert queries.QUERIES["automorphism_baseline"](spark, SF).filter("automorphisms is null").isEmpty()
-
-
-def test_chat_format_folds_events(spark, monkeypatch):
-    """The query goes through the fold of events, which keeps repeated turns."""
-    from provgraph.llm import chat_format
-    from provgraph.llm import queries as text
-
-    rows = [(1, 0, "user", "a"), (1, 1, "assistant", "x"), (1, 1, "assistant", None), (1, 1, "assistant", "x"), (2, None, None, None), (None, 0, "assistant", "ok")]
-    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
-    a, b = (chat_format.render(x) for x in (df, chat_format.fold(chat_format.as_events(df))))
-    assert sorted(map(str, a.collect())) == sorted(map(str, b.collect()))
-    fold, seen = chat_format.fold, []
-    monkeypatch.setattr(chat_format, "fold", lambda e: seen.append(e.columns) or fold(e))
-    text.op10_chat_format(spark, SF)
-    assert seen == [["conv_id", "turn", "seq", "kind", "role", "text"]]
-
-
-def test_limit_of_spoken_addresses():
-    """The stated limit of op5: a spoken "at" needs a spoken dot and a known last part."""
-    from provgraph.llm import pii
-
-    found = [pii.added(t, pii.detect(t))["email"] for t in ("jane at example dot com", "jane at example dot gr", "jane at example.com")]
-    assert found == [[(0, 23)], [], []]
-    assert "not found" in pii.find_pii.__doc__
