@@ -9,6 +9,7 @@ from provgraph import oracles as o
 from provgraph import sqlapi
 from provgraph.functions.paths import prov_label, short_path
 from provgraph.operators import graph, temporal, trace
+from provgraph.plans.choose import salted_counts
 from provgraph.plans.iterate import shared_dir
 from provgraph.queries import query
 from provgraph.sources import carriers as c
@@ -148,6 +149,19 @@ def op_agg_distinct(spark, d):
     return c.audit_accesses(spark, d).groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.count_distinct("actor").alias("processes"), F.count_distinct("object").alias("files"))
 
 
+@query("SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def op_agg_salted(spark, d):
+    """Counts of few, hot keys, added up by many tasks first."""
+    return salted_counts(_events(spark, d).select("event_type", "event_id"), ["event_type"])
+
+
+@query(o.AUDIT + "SELECT CASE label WHEN 'used' THEN 'read' WHEN 'wasGeneratedBy' THEN 'written' ELSE 'spawned' END AS label, count(*) AS n, count(DISTINCT dst) AS starts FROM aud_e GROUP BY 1")
+def op_trace_view(spark, d):
+    """Stored edges as audited ones, from where information comes."""
+    t = trace.to_trace(trace.from_accesses(c.audit_accesses(spark, d)).edges)
+    return t.groupBy("label").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("start").alias("starts"))
+
+
 @query()
 def op_agg_approx(spark, d):
     a = c.audit_accesses(spark, d)

@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from provgraph.functions.paths import short_path
 from provgraph.operators import isomorph, reach, temporal
 from provgraph.operators import content as store
+from provgraph.plans.choose import broadcast_if_small
+from provgraph.plans.iterate import materialize
 from provgraph.schema import ACTIVITY, ENTITY, GENERATED, INFORMED, USED, ProvGraph, edges_of
 
 
@@ -47,13 +49,14 @@ def touched(g: ProvGraph, procs: DataFrame) -> DataFrame:
     file = F.when(F.col("label") == USED, F.col("dst")).otherwise(F.col("src"))
     proc = F.when(F.col("label") == USED, F.col("src")).otherwise(F.col("dst"))
     pairs = f.select("run_id", file.alias("file"), proc.alias("node_id"))
-    return pairs.join(procs.select("run_id", "node_id"), ["run_id", "node_id"], "left_semi").select("run_id", F.col("file").alias("node_id")).distinct()
+    own = broadcast_if_small(procs.select("run_id", "node_id"))  # a few selected processes leave all edges where they are
+    return pairs.join(own, ["run_id", "node_id"], "left_semi").select("run_id", F.col("file").alias("node_id")).distinct()
 
 
 def sub_container(g: ProvGraph, sel: DataFrame, closure: str = "direct") -> ProvGraph:
     """The processes of ``required``, the files they touch, and the edges between these."""
     procs = required(g, sel, closure)
-    keep = procs.union(touched(g, procs)).distinct()
+    keep = broadcast_if_small(materialize(procs.union(touched(g, procs)).distinct(), "kept"))
     e = g.edges
     for side in ("src", "dst"):
         e = e.join(keep.withColumnRenamed("node_id", side), ["run_id", side], "left_semi")
