@@ -161,7 +161,7 @@ page_e AS (SELECT 'g:' || page_id AS src, 'h:' || href AS dst, 'used' AS label F
 
 def reductions() -> str:
     """Reductions by graph and method with their means, over all the graphs."""
-    graphs = {"orders": ("ord_n", "ord_e", 6), "conversations": ("conv_n", "conv_e", 14), "pages": ("page_n", "page_e", 10), "star": ("star_n", "star_e", 8)}
+    graphs = {"orders": ("ord_n", "ord_e", 6), "conversations": ("conv_n", "conv_e", 14), "pages": ("page_n", "page_e", 10), "star": ("star_n", "star_e", 16)}
     methods = {"ancestry": (("out",), False), "ancestry_degree": (("out", "in"), True), "relationship": (("out", "in"), False)}
     body = STAR + "".join(", " + x.split("WITH ", 1)[1] for x in (CONV, ORDERS, PAGES))
     rows = []
