@@ -78,7 +78,7 @@ def chunk(files: DataFrame, mode: str = "content", size: int = 1024, least: int
         kinds = {c: f.schema[c].dataType.simpleString() for c in ("run_id", "file_id")}
         return f.mapInArrow(run, f"run_id {kinds['run_id']}, file_id {kinds['file_id']}, ord int, chunk_hash string, len int, data binary")
     if mode == "fixed":
-        blocks = F.transform(F.sequence(F.lit(0), F.floor((F.length("content") - 1) / size)), lambda k: F.substring("content", (k * size + 1).cast("int"), F.lit(size)))
+        blocks = F.regexp_extract_all("content", F.lit(f"(?s).{{1,{size}}}"), F.lit(0))  # one pass; a substring each would start at the text's first character
         pieces = f.filter(F.length("content") > 0).select("run_id", "file_id", F.posexplode(blocks).alias("ord", "piece"))
     else:
         pieces = f.select("run_id", "file_id", F.posexplode(F.split("content", "\n")).alias("ord", "piece"))

@@ -623,6 +623,11 @@ def file_dedup(spark, d):
     return content.dedup_files(c.files(spark, d)).select("file_id", "stored_as")
 
 
+@query("SELECT 'f:' || doc_id AS file_id, row_number() OVER (PARTITION BY coalesce(text, '') ORDER BY 'f:' || doc_id) AS copy_no FROM documents")
+def file_copies(spark, d):
+    return content.copies(c.files(spark, d)).select("file_id", "copy_no")
+
+
 @query()
 def cdc_dedup(spark, d):
     return content.dedup_ratio(content.chunk(c.files(spark, d).withColumnRenamed("container", "run_id"), "content"))

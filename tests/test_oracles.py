@@ -10,7 +10,7 @@ from provgraph import queries
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"reduction_report", "acyclic_audit_before_after"}
+SLOW = {"acyclic_audit_before_after"}
 
 
 @pytest.fixture(scope="module")
