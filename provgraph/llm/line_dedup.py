@@ -3,9 +3,10 @@
 A line is the set of its distinct words, A-Z in lower case; lines with one set are one class, which stands where its first line
 does, by document identifier and line number. Words are ordered by rarity: by a count sketch over all lines, of
 fixed size, then by hash, so any error of the sketch costs time only. Classes whose first ``n - ceil(t n) + 1`` words
-share one meet in that word's block; sizes and the word's positions rule out most pairs. Each class's likeliest
-neighbour is verified first. Classes that this settles are no longer looked up; for the others every earlier
-class of their blocks is verified. Bitmaps, whose differences bound those of the sets, rule out most pairs of strangers. A line goes if an earlier line has its set, or one similar to it.
+share one meet in that word's block; sizes and the word's positions rule out most pairs, and bitmaps, whose differences bound
+those of the sets, most pairs of strangers. A pair is left to the block of its first common word. Classes are settled in rounds: each
+class's likeliest neighbour is verified first, then the best two earlier classes of each task, then, for classes that had more
+than these and are still open, every earlier one. A line goes if an earlier line has its set, or one similar to it.
 """
 
 from __future__ import annotations
@@ -14,14 +15,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from provgraph.llm.common import stage
-from provgraph.llm.ngram_join import Outbox, _column, _feasible, _likeliest, _small_blocks, differing, need, part_bits
-from provgraph.llm.wordkernel import batches, give_back, joined, mix, words
+from provgraph.llm.ngram_join import Outbox, _column, _feasible, _likeliest, _small_blocks, differing, first_common, in_parts, need, part_bits, place_of
+from provgraph.llm.wordkernel import batches, distinct, give_back, joined, mix, words
 
 CELLS = 1 << 20
+HEAD = 4
 _U64 = np.uint64
 
 
@@ -36,13 +39,17 @@ class Lines:
         first = np.searchsorted(ends, at[:-1])  # each text's first line
         self.n_lines = np.diff(np.append(first, len(ends)))
         cell = (w & _U64(CELLS - 1)).astype(np.int64)
-        # by line, then rarity, then hash; in one number where the slice's lines fit 14 bits (28 bits of the hash then settle ties:
-        # words that agree in those are one word as far as the order goes)
+        # by line, then rarity, then hash; in one number where the slice's lines fit 14 bits. That has 28 bits of the hash: where
+        # words of one line agree in these, the whole hashes decide
         rare = np.zeros(len(w), np.int64) if rarity is None else np.minimum(rarity[cell], (1 << 22) - 1).astype(np.int64)
+        order = None
         if len(ends) < 1 << 14:
-            order = np.argsort((line.astype(_U64) << _U64(50)) | (rare.astype(_U64) << _U64(28)) | (w >> _U64(36)))
-        else:
-            order = np.lexsort((w >> _U64(36), rare, line))
+            key = (line.astype(_U64) << _U64(50)) | (rare.astype(_U64) << _U64(28)) | (w >> _U64(36))
+            order = np.argsort(key)
+            if ((key[order][1:] == key[order][:-1]) & (w[order][1:] != w[order][:-1])).any():
+                order = None
+        if order is None:
+            order = np.lexsort((w, rare, line))
         w, line = w[order], line[order]
         keep = np.concatenate(([True], (w[1:] != w[:-1]) | (line[1:] != line[:-1]))) if len(w) else np.zeros(0, bool)
         self.words, line = w[keep], line[keep]
@@ -88,7 +95,7 @@ def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
             if len(seen):
                 new &= seen[np.minimum(np.searchsorted(seen, x.node), len(seen) - 1)] != x.node
             if len(seen) < 1_000_000:
-                seen = np.union1d(seen, x.node[new])
+                seen = distinct(np.concatenate([seen, x.node[new]]))
             p = np.where(new, x.size + (-percent * x.size // 100) + 1, 0)
             at = np.arange(p.sum()) + np.repeat(x.begin - (np.cumsum(p) - p), p)
             offsets = np.concatenate([[0], np.cumsum(p * 4)]).astype(np.int32)
@@ -102,8 +109,8 @@ def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
 
 
 def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
-    """Rows (token, a, n, at, b0, b1, null) for block members that have a possible partner, and (null, a, ..., b) for neighbours
-    by size. b0 and b1: the bitmap, folded to 128 bits."""
+    """Rows (token, a, n, at, null) for block members that have a possible partner, by bitmaps folded to 128 bits too, and
+    (null, a, ..., b) for neighbours by size."""
 
     def emit(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         box = Outbox(bits, (np.int64, np.int32, np.uint16, np.int64, np.int64))
@@ -122,11 +129,13 @@ def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
         order = np.lexsort((node, n, low))
         keep = order[np.concatenate(([True], (low[order][1:] != low[order][:-1]) | (node[order][1:] != node[order][:-1])))] if len(low) else order
         low, node, n, at, flags = low[keep], node[keep], n[keep].astype(np.int64), at[keep], flags[keep]
-        keep = _feasible(low, n, at, percent, 256, flags)
+        part, piece = place_of(t)
+        split = np.isin(low, low[n == 0]) | piece  # others of these blocks are elsewhere: none is ruled out here
+        keep = (_feasible(low, n, at, percent, 256, flags) | split) & (n > 0)
         low, node, n, at, flags = low[keep], node[keep], n[keep], at[keep], flags[keep]
         same = (low[1:] == low[:-1]) & (100 * n[:-1] >= percent * n[1:])
         near = np.flatnonzero(same)
-        token = low.astype(np.int64) | t.column("part")[0].as_py() << 32
+        token = low.astype(np.int64) | part << 32
         k, m = len(token), len(near)
         pair = np.arange(k + m) >= k
         give_back()
@@ -135,48 +144,56 @@ def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
             "a": pa.array(np.concatenate([node, node[near]]), pa.int64()),
             "n": pa.array(np.concatenate([n, np.zeros(m, np.int64)]).astype(np.int32), mask=pair),
             "at": pa.array(np.concatenate([at, np.zeros(m, np.uint16)]).astype(np.int32), mask=pair),
-            **{f"b{c}": pa.array(np.concatenate([flags[:, c], np.zeros(m, np.int64)]), mask=pair) for c in (0, 1)},
             "b": pa.array(np.concatenate([np.zeros(k, np.int64), node[near + 1]]), mask=~pair),
         })
 
     rows = lines.filter("octet_length(prefix) > 0").select("node", "n", "w0", "w1", "w2", "w3", "prefix").mapInArrow(emit, "part int, low binary, c0 binary, c1 binary, c2 binary, c3 binary, c4 binary")
-    return rows.groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, b0 long, b1 long, b long")
+    return rows.groupBy("part").applyInArrow(meet, "token long, a long, n int, at int, b long")
 
 
-def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
-    """(a, b): b open and later than a, in one block, not ruled out; from rows (token, node, n, at, b0, b1, i, line, open).
+def earlier_pairs(held: DataFrame, tasks: int, percent: int, bits: int, most: int | None = None) -> DataFrame:
+    """(a, b, more): b open and later than a, in one block, not ruled out; from rows (token, block, side, node, n, at, w0 to w3, head, i,
+    line, open).
 
-    (i, line): where the class comes first, null first.
+    (i, line): where the class comes first, null first. head: the class's first words, by which a pair is left to its first common
+    block. With ``most``, a task gives each b its best so many; ``more`` says that it had others.
     """
 
     def join(t: pa.Table) -> pa.Table:
-        token, node, n, at, line, open_ = (t.column(c).to_numpy() for c in ("token", "node", "n", "at", "line", "open"))
-        flags = np.stack([t.column("b0").to_numpy(), t.column("b1").to_numpy()], 1)
-        i = t.column("i").to_pandas()
-        doc = i.rank(method="dense", na_option="top").to_numpy()
-        order = np.argsort(token, kind="stable")
-        cut = np.flatnonzero(np.concatenate(([True], token[order][1:] != token[order][:-1], [True])))
-        size, left, right = np.diff(cut), [], []
+        token, block, side, node, n, at, line, open_ = (t.column(c).to_numpy() for c in ("token", "block", "side", "node", "n", "at", "line", "open"))
+        flags = np.stack([t.column(f"w{k}").to_numpy() for k in range(4)], 1)
+        raw = t.column("head").to_pylist()
+        known = np.array([len(x) // 4 for x in raw])[:, None] > np.arange(HEAD)
+        head = np.frombuffer(b"".join(x.ljust(4 * HEAD, b"\0") for x in raw), np.uint32).astype(_U64)
+        head = np.where(known, (mix(head) >> _U64(32 - bits)).astype(np.int64).reshape(-1, HEAD), -1)
+        doc = pc.rank(t.column("i").combine_chunks(), sort_keys="ascending", null_placement="at_start", tiebreaker="dense").to_numpy()
+        order = np.argsort(block, kind="stable")
+        cut = np.flatnonzero(np.concatenate(([True], block[order][1:] != block[order][:-1], [True])))
+        size, found = np.diff(cut), []
+        ready = np.logical_or.reduceat(open_[order], cut[:-1]) if len(order) else np.zeros(0, bool)
 
         def take(x: np.ndarray, y: np.ndarray) -> None:
             later = (doc[x] < doc[y]) | (doc[x] == doc[y]) & (line[x] < line[y])
             p, q = np.where(later, x, y), np.where(later, y, x)
-            ok = open_[q] & ((doc[x] != doc[y]) | (line[x] != line[y]))
+            ok = open_[q] & ((doc[x] != doc[y]) | (line[x] != line[y])) & ((side[x] < 0) | (side[x] != side[y]))
             p, q = p[ok], q[ok]
             least = need(n[p], n[q], percent)
             ok = (np.minimum(n[p] - at[p], n[q] - at[q]) >= least) & ((n[p] != n[q]) | (least < n[p]))
-            ok &= n[p].astype(np.int64) + n[q] - differing(flags[p], flags[q]) >= 2 * least
-            left.append(node[p[ok]])
-            right.append(node[q[ok]])
-
-        small = np.flatnonzero(size <= 512)
+            p, q, least = p[ok], q[ok], least[ok]
+            common = n[p].astype(np.int64) + n[q] - differing(flags[p], flags[q])
+            ok = common >= 2 * least
+            p, q, spare = p[ok], q[ok], (common - 2 * least)[ok]
+            ok = first_common(p, q, head, at, token)
+            found.append((p[ok], q[ok], spare[ok]))
+
+        small = np.flatnonzero((size <= 512) & ready)
         budget = np.cumsum(size[small].astype(np.int64) ** 2) // 300_000
         for g in np.unique(budget):
             part = small[budget == g]
             own = order[np.concatenate([np.arange(cut[k], cut[k + 1]) for k in part])]
             x, y = _small_blocks(size[part])
             take(own[x], own[y])
-        for k in np.flatnonzero(size > 512):  # by size: each member against those up to its limit
+        for k in np.flatnonzero((size > 512) & ready):  # by size: each member against those up to its limit
             own = order[cut[k] : cut[k + 1]]
             own = own[np.argsort(n[own], kind="stable")]
             to = np.searchsorted(n[own], 100 * n[own].astype(np.int64) // percent, "right")
@@ -185,11 +202,22 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int) -> DataFrame:
                 x = np.repeat(np.arange(a, min(a + 16, len(own))), width)
                 y = x + 1 + np.arange(len(x)) - np.repeat(np.cumsum(width) - width, width)
                 take(own[x], own[y])
-        pairs = np.unique(np.stack([np.concatenate(left), np.concatenate(right)], 1), axis=0) if left else np.zeros((0, 2), np.int64)
+        p, q, spare = (np.concatenate(c) for c in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 3
+        a, b = node[p], node[q]
+        by = np.lexsort((a, -spare, b))
+        a, b = a[by], b[by]
+        keep = np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1]))) if len(a) else np.zeros(0, bool)
+        a, b, more = a[keep], b[keep], np.zeros(int(keep.sum()), bool)
+        if most is not None and len(b):
+            first = np.flatnonzero(np.concatenate(([True], b[1:] != b[:-1])))
+            many = np.diff(np.append(first, len(b)))
+            more = np.repeat(many > most, many)
+            keep = np.arange(len(b)) - np.repeat(first, many) < most
+            a, b, more = a[keep], b[keep], more[keep]
         give_back()
-        return pa.table({"a": pa.array(pairs[:, 0], pa.int64()), "b": pa.array(pairs[:, 1], pa.int64())})
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "more": pa.array(more, pa.bool_())})
 
-    return held.groupBy(F.pmod(F.xxhash64("token"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long").distinct()
+    return held.groupBy(F.pmod(F.xxhash64("block"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long, more boolean")
 
 
 def _hold(percent: int, kind: type):
@@ -207,58 +235,86 @@ def _hold(percent: int, kind: type):
     return hold
 
 
+def chosen(texts: list[bytes], want: list[list[dict] | None]) -> tuple[Lines, np.ndarray, list[tuple[int, int]]]:
+    """The wanted lines (line, node) of each text, alone; which of them are of the class that was asked for, as rows that share an
+    identifier may differ; and each one's text and number."""
+    parts, node, place = [], [], []
+    for k, (text, own) in enumerate(zip(texts, want, strict=True)):
+        lines = text.split(b"\n") if own else []
+        for w in own or ():
+            if w["line"] < len(lines):
+                parts.append(lines[w["line"]])
+                node.append(w["node"])
+                place.append((k, w["line"]))
+    x = Lines(parts, None)
+    return x, x.node == np.array(node, np.int64)[x.text], [place[t] for t in x.text.tolist()]
+
+
 def verify(pairs: DataFrame, docs: DataFrame, first: DataFrame, percent: int, most: int = 1 << 20) -> DataFrame:
     """The pairs (a, b) of classes that are similar; words are taken from the documents where the classes come first."""
-    nodes = stage(first.join(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "node", "left_semi"), "nodes")
-    few = nodes.count() <= most
-    ids, wanted = nodes.select(F.col("f.i").alias("k")).distinct(), nodes.select("node")
-    texts = docs.join(F.broadcast(ids) if few else ids, F.col("i").eqNullSafe(F.col("k")), "left_semi").select("t")
+    nodes = stage(first.join(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "node", "left_semi").select("node", "f"), "nodes")
+    want = nodes.groupBy(F.col("f.i").alias("k")).agg(F.collect_list(F.struct("f.line", "node")).alias("want"))  # at most a document's lines
+    texts = docs.join(F.broadcast(want) if nodes.count() <= most else want, F.col("i").eqNullSafe(F.col("k"))).select("t", "want")
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, texts in batches(it, "t"):
-            x = Lines(texts, None)
-            at = np.unique(x.node, return_index=True)[1]
+        for b, texts in batches(it, "t"):
+            x, ok, _ = chosen(texts, b.column("want").to_pylist())
+            at = np.flatnonzero(ok)
             yield pa.RecordBatch.from_arrays([pa.array(x.node[at], pa.int64()), pa.array([x.words[x.begin[k] : x.begin[k] + x.size[k]].tobytes() for k in at], pa.binary())], ["node", "elements"])
 
-    sets = stage(texts.mapInArrow(run, "node long, elements binary").join(F.broadcast(wanted) if few else wanted, "node", "left_semi").dropDuplicates(["node"]), "sets")
+    sets = stage(texts.mapInArrow(run, "node long, elements binary").dropDuplicates(["node"]), "sets")
     both = pairs
     for side in ("a", "b"):
         both = both.join(sets.select(F.col("node").alias(side), F.col("elements").alias(f"e{side}")), side)
     return both.select("a", "b", "ea", "eb").mapInArrow(_hold(percent, np.uint64), "a long, b long")
 
 
-def later_lines(docs: DataFrame, percent: int) -> DataFrame:
+def later_lines(docs: DataFrame, percent: int, per_block: int = 20_000) -> DataFrame:
     """(i, gone array<struct<line, node>>) of the identifiers with lines to remove, from (i, t)."""
     rows = docs.count()
     bits = part_bits(rows, 8_000)
     lines = stage(classes(docs, rarity(docs), percent), "lines")
-    first = lines.groupBy("node").agg(F.min(F.struct("i", "line")).alias("f"), F.count(F.lit(1)).alias("m"), *(F.min(c).alias(c) for c in ("n", "w0", "w1", "w2", "w3")))
+    cols = ("n", "w0", "w1", "w2", "w3")
+    first = lines.groupBy("node").agg(F.min(F.struct("i", "line")).alias("f"), F.count(F.lit(1)).alias("m"), *(F.min(c).alias(c) for c in cols), F.max(F.substring("prefix", 1, 4 * HEAD)).alias("head"))
     first = stage(first, "classes")
     met = stage(blocks(lines, bits, percent), "blocks")
     near = met.filter("b is not null").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("score"))
+    near = stage(near, "near")
     links = _likeliest(near)
-    rank = first.select("node", "f")
+    members = met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at")
+    hot = stage(members.groupBy("token").agg(F.ceil(F.count(F.lit(1)) / F.lit(per_block)).cast("int").alias("parts")).filter("parts > 1"), "hot")
+    members = members.join(F.broadcast(hot) if hot.count() <= 1 << 20 else hot, "token", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+    # what all rounds need to know of the classes that have a possible partner
+    known = stage(first.drop("m").join(met.select(F.col("a").alias("node")).union(near.select("b")).distinct(), "node", "left_semi"), "known")
 
     def later(pairs: DataFrame) -> DataFrame:
-        """(a, b), b the later one, without those whose wider bitmaps differ in more bits than similar sets do in words."""
-        cols = ("f", "n", "w0", "w1", "w2", "w3")
+        """(a, b), b the later one, without those whose bitmaps differ in more bits than similar sets do in words."""
         both = pairs.select("a", "b")
         for side in ("a", "b"):
-            both = both.join(first.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in cols)), side)
+            both = both.join(known.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in ("f", *cols))), side)
         differ = sum((F.bit_count(F.col(f"w{k}_a").bitwiseXOR(F.col(f"w{k}_b"))) for k in range(4)), F.lit(0))
         total = F.col("n_a").cast("long") + F.col("n_b")
         least = F.ceil(percent * total / F.lit(100 + percent))
         turn = F.col("f_a") < F.col("f_b")
         return both.filter((F.col("f_a") != F.col("f_b")) & (total - differ >= 2 * least)).select(F.when(turn, F.col("a")).otherwise(F.col("b")).alias("a"), F.when(turn, F.col("b")).otherwise(F.col("a")).alias("b"))
 
-    sure = stage(verify(stage(later(links), "links"), docs, first, percent), "sure")
-    settled = stage(sure.select(F.col("b").alias("node")).distinct(), "settled")
-    held = met.filter("b is null").select("token", F.col("a").alias("node"), "n", "at", "b0", "b1")
-    held = held.join(rank, "node").join(settled.withColumn("s", F.lit(True)), "node", "left").select("token", "node", "n", "at", "b0", "b1", F.col("f.i").alias("i"), F.col("f.line").alias("line"), F.col("s").isNull().alias("open"))
+    def round_(open_: DataFrame, of: DataFrame, most: int | None) -> tuple[DataFrame, DataFrame]:
+        """Pairs of the classes (node, open) of ``open_`` in the blocks ``of``, and the classes that a verified one settles."""
+        held = of.join(known.drop("n"), "node").join(open_, "node", "left")
+        held = in_parts(held).select("token", "block", "side", "node", "n", "at", "w0", "w1", "w2", "w3", "head", F.col("f.i").alias("i"), F.col("f.line").alias("line"), "open")
+        pairs = stage(earlier_pairs(held.withColumn("open", F.coalesce("open", F.lit(most is not None))), tasks, percent, bits, most), "pairs")
+        return pairs, stage(verify(pairs.select("a", "b").distinct(), docs, known, percent).select(F.col("b").alias("node")).distinct(), "settled")
+
     tasks = max(16, met.count() // 100_000)
-    more = verify(stage(later(earlier_pairs(held, tasks, percent)), "pairs"), docs, first, percent)
-    flagged = settled.union(more.select(F.col("b").alias("node"))).distinct().withColumn("similar", F.lit(True))
-    repeated = first.join(flagged, "node", "left").filter("m > 1 or similar").select("node", "f", "similar")
+    settled = stage(verify(stage(later(links), "links"), docs, known, percent).select(F.col("b").alias("node")).distinct(), "settled")
+    pairs, sure = round_(settled.withColumn("open", F.lit(False)), members, 2)
+    settled = settled.union(sure)
+    rest = stage(pairs.filter("more").select(F.col("b").alias("node")).distinct().join(settled, "node", "left_anti"), "rest")
+    if not rest.isEmpty():
+        tokens = members.join(rest, "node", "left_semi").select("token").distinct()
+        settled = settled.union(round_(rest.withColumn("open", F.lit(True)), members.join(tokens, "token", "left_semi"), None)[1])
+    flagged = settled.distinct().withColumn("similar", F.lit(True))
+    repeated = first.select("node", "f", "m").join(flagged, "node", "left").filter("m > 1 or similar").select("node", "f", "similar")
     gone = lines.select("i", "line", "node").join(repeated, "node").filter(F.col("similar").isNotNull() | ~F.struct("i", "line").eqNullSafe(F.col("f")))
     return gone.groupBy("i").agg(F.collect_list(F.struct("line", "node")).alias("gone"))
 
@@ -281,22 +337,19 @@ def remove_lines(df: DataFrame, percent: int = 75, id_col: str = "doc_id", text_
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b, texts in batches(it, text_col):
             gone, null, out, counts, removed = b.column("_gone").to_pylist(), b.column(text_col).is_null().to_pylist(), [], [], []
-            listed = [k for k, g in enumerate(gone) if g]
-            x = Lines([texts[k] for k in listed], None)
-            node = {(listed[t], n): c for t, n, c in zip(x.text.tolist(), x.number.tolist(), x.node.tolist(), strict=True)}
-            if not listed:
-                yield pa.RecordBatch.from_arrays([*(b.column(n) for n in range(len(names))), pa.array([t.count(b"\n") + 1 for t in texts], pa.int64()), pa.array([0] * len(texts), pa.int64())], [*names, "n_lines", "n_removed"])
-                continue
+            _, ok, place = chosen(texts, gone)
+            drop: dict[int, set[int]] = {}
+            for (k, n), good in zip(place, ok.tolist(), strict=True):
+                if good:
+                    drop.setdefault(k, set()).add(n)
             for k, text in enumerate(texts):
+                lost = drop.get(k, ())
                 counts.append(text.count(b"\n") + 1)
-                if not gone[k]:
-                    out.append(None if null[k] else text.decode("utf-8", "replace"))
-                    removed.append(0)
-                    continue
-                drop = {g["line"] for g in gone[k] if node.get((k, g["line"])) == g["node"]}
-                out.append(b"\n".join(s for n, s in enumerate(text.split(b"\n")) if n not in drop).decode("utf-8", "replace"))
-                removed.append(len(drop))
-            cols = [pa.array(out, pa.string()) if n == at else b.column(n) for n in range(len(names))]
+                removed.append(len(lost))
+                if lost:
+                    text = b"\n".join(s for n, s in enumerate(text.split(b"\n")) if n not in lost)
+                out.append(None if null[k] else text)
+            cols = [pa.array(out, pa.binary()).cast(pa.string()) if n == at and drop else b.column(n) for n in range(len(names))]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(counts, pa.int64()), pa.array(removed, pa.int64())], [*names, "n_lines", "n_removed"])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema)

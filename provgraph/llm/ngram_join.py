@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from provgraph.llm.common import components, stage
-from provgraph.llm.wordkernel import batches, give_back, window_arrays
+from provgraph.llm.wordkernel import batches, distinct, give_back, window_arrays
 
 GROUPS = 256
 HEAD = 6  # a posting shows its node's first tokens, by which a pair is left to its first common block
@@ -56,14 +56,21 @@ def node_id(sorted_hashes: np.ndarray) -> int:
 def _sets(texts: list[bytes], k: int) -> Iterator[np.ndarray]:
     h, begin, _, _ = window_arrays(texts, k, True, True)
     for a, b in zip(begin[:-1].tolist(), begin[1:].tolist(), strict=True):
-        yield np.unique(h[a:b])
+        yield distinct(h[a:b])
+
+
+MARKED = 24  # bits of a part's number; above them stands what tells the pieces of a hot token's block apart
 
 
 class Outbox:
-    """Gathers (hash, payload columns) and lays them out by the hash's leading bits as one binary row per part."""
+    """Gathers (hash, payload columns) and lays them out by the hash's leading bits as one binary row per part.
+
+    A token that comes more than ``split`` times in a buffer is hot: its entries go out as a row of their own, with one of 127 numbers
+    above the part's, so that no task gets all of them; the part itself gets one entry of zeros that says so.
+    """
 
-    def __init__(self, bits: int, kinds: tuple[type, ...], flush: int = 500_000):
-        self.bits, self.kinds, self.flush = bits, kinds, flush
+    def __init__(self, bits: int, kinds: tuple[type, ...], flush: int = 500_000, split: int = 5_000):
+        self.bits, self.kinds, self.flush, self.split = bits, kinds, flush, split
         self.held: list[tuple[np.ndarray, ...]] = []
         self.n = 0
 
@@ -77,15 +84,36 @@ class Outbox:
         self.held, self.n = [], 0
         order = np.argsort(h)
         h = h[order]
-        low = (h << _U64(self.bits) >> _U64(32)).astype(np.uint32)
         cols = [c[order].astype(k) for c, k in zip(cols, self.kinds, strict=True)]
+        token = h >> _U64(32 - self.bits)
+        first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1]))) if len(h) else np.zeros(0, np.int64)
+        many = np.diff(np.append(first, len(h)))
+        cold, rows, parts = np.repeat(many <= self.split, many), [], []
+        piece = 1 + int(h[:: max(1, len(h) // 64)].sum(dtype=_U64) % _U64(127)) << MARKED
+        for a, n in zip(first[many > self.split].tolist(), many[many > self.split].tolist(), strict=True):
+            parts.append(piece | int(h[a] >> _U64(64 - self.bits)))
+            rows.append([(h[a : a + n] << _U64(self.bits) >> _U64(32)).astype(np.uint32).tobytes(), *(c[a : a + n].tobytes() for c in cols)])
+        if rows:
+            cold[first[many > self.split]] = True
+            for c in cols:
+                c[first[many > self.split]] = 0
+            h, cols = h[cold], [c[cold] for c in cols]
+        low = (h << _U64(self.bits) >> _U64(32)).astype(np.uint32)
         part = (h >> _U64(64 - self.bits)).astype(np.int64)
         at = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1]))) if len(part) else np.zeros(0, np.int64)
         ends = np.append(at[1:], len(part))[: len(at)]
-        rows = [[x[a:b].tobytes() for a, b in zip(at, ends, strict=True)] for x in (low, *cols)]
-        del h, order, cols, low
+        rows += [[x[a:b].tobytes() for x in (low, *cols)] for a, b in zip(at, ends, strict=True)]
+        parts += part[at].tolist()
+        n_cols = 1 + len(cols)
+        del h, order, cols, low, token
         give_back()
-        return pa.RecordBatch.from_arrays([pa.array(part[at], pa.int32()), *(pa.array(r, pa.binary()) for r in rows)], ["part", "low", *(f"c{i}" for i in range(len(rows) - 1))])
+        return pa.RecordBatch.from_arrays([pa.array(parts, pa.int32()), *(pa.array([r[c] for r in rows], pa.binary()) for c in range(n_cols))], ["part", "low", *(f"c{i}" for i in range(n_cols - 1))])
+
+
+def place_of(t: pa.Table) -> tuple[int, bool]:
+    """The part of an exchanged group, and whether it is a piece of a hot token's block."""
+    part = t.column("part")[0].as_py()
+    return part & ((1 << MARKED) - 1), part >> MARKED > 0
 
 
 def part_bits(rows: int, each: int = 8_000) -> int:
@@ -110,8 +138,7 @@ def frequent(docs: DataFrame, k: int, bits: int, least: int = 16, most: int = 1
     def count(t: pa.Table) -> pa.Table:
         v, n = np.unique(_column(t, "low", np.uint32), return_counts=True)
         hot = n >= least
-        part = t.column("part")[0].as_py()
-        return pa.table({"key": pa.array((v[hot].astype(np.int64)) | part << 32, pa.int64()), "n": pa.array(n[hot], pa.int64())})
+        return pa.table({"key": pa.array((v[hot].astype(np.int64)) | place_of(t)[0] << 32, pa.int64()), "n": pa.array(n[hot], pa.int64())})
 
     rows = docs.select("t").mapInArrow(emit, "part int, low binary").groupBy("part").applyInArrow(count, "key long, n long")
     return np.array(sorted(r["key"] for r in rows.orderBy(F.desc("n"), "key").limit(most).collect()), np.int64)
@@ -217,13 +244,16 @@ def blocks(sig: DataFrame, bits: int, percent: int) -> DataFrame:
         order = np.lexsort((node, n, low))
         low, node, n, at = low[order], node[order], n[order], at[order]
         keep = np.concatenate(([True], (low[1:] != low[:-1]) | (node[1:] != node[:-1]))) if len(low) else np.zeros(0, bool)
-        low, node, n, at = low[keep], node[keep], n[keep], at[keep]
-        keep = _feasible(low, n.astype(np.int64), None, percent)
-        low, node, n, at = low[keep], node[keep], n[keep], at[keep]
+        part, piece = place_of(t)
+        split = np.isin(low, low[n == 0]) | piece  # others of these blocks are elsewhere: none is ruled out here
+        keep &= n > 0
+        low, node, n, at, split = low[keep], node[keep], n[keep], at[keep], split[keep]
+        keep = _feasible(low, n.astype(np.int64), None, percent) | split
+        low, node, n, at, split = low[keep], node[keep], n[keep], at[keep], split[keep]
         same = low[1:] == low[:-1]
-        many = np.concatenate(([False], same)) | np.concatenate((same, [False])) if len(low) else keep[keep]
+        many = np.concatenate(([False], same)) | np.concatenate((same, [False])) | split if len(low) else keep[keep]
         near = np.flatnonzero(same & (100 * n[:-1].astype(np.int64) >= percent * n[1:].astype(np.int64)))
-        token = low[many].astype(np.int64) | t.column("part")[0].as_py() << 32
+        token = low[many].astype(np.int64) | part << 32
         k, m = len(token), len(near)
         return pa.table({
             "token": pa.array(np.concatenate([token, np.zeros(m, np.int64)]), mask=np.arange(k + m) >= k),
@@ -371,6 +401,16 @@ def block_pairs(block: np.ndarray, p: Postings, percent: int, leaf: int = 24) ->
     return (np.concatenate(left), np.concatenate(right)) if left else (none, none)
 
 
+def in_parts(members: DataFrame) -> DataFrame:
+    """Rows (token, node, parts, ...) with ``block`` and ``side``: a token of several parts has a block for each part, in which all meet
+    (side -1), and one for each pair of parts, in which those of different sides meet."""
+    own = F.pmod(F.xxhash64("node"), "parts").cast("int")
+    split = members.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    key = F.xxhash64("token", F.least("own", "other"), F.greatest("own", "other"))
+    block, side = F.when(F.col("parts") == 1, F.col("token")).otherwise(key), F.when(F.col("own") == F.col("other"), F.lit(-1)).otherwise(F.col("own"))
+    return split.withColumns({"block": block, "side": side}).drop("own", "other", "parts")
+
+
 def cross_pairs(mixed: DataFrame, tasks: int, percent: int, thin: bool) -> DataFrame:
     """Candidate pairs (a, b) of different roots, from rows (token, parts, node, root, n, at, vec, head); ``thin``: each node's likeliest alone.
 
@@ -400,11 +440,7 @@ def cross_pairs(mixed: DataFrame, tasks: int, percent: int, thin: bool) -> DataF
         give_back()
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "score": pa.array(score, pa.float64())})
 
-    own = F.pmod(F.xxhash64("node"), "parts").cast("int")
-    split = mixed.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    key = F.xxhash64("token", F.least("own", "other"), F.greatest("own", "other"))
-    both = F.col("own") == F.col("other")  # else the block holds pairs across two parts alone
-    split = split.withColumns({"block": F.when(F.col("parts") == 1, F.col("token")).otherwise(key), "side": F.when(both, F.lit(-1)).otherwise(F.col("own"))})
+    split = in_parts(mixed)
     pairs = split.select("block", "token", "side", "node", "n", "at", "root", "vec", "head").groupBy(F.pmod(F.xxhash64("block"), F.lit(tasks)).alias("task")).applyInArrow(join, "a long, b long, score double")
     pairs = stage(pairs, "candidates")
     return _likeliest(pairs.groupBy("a", "b").agg(F.max("score").alias("score"))) if thin else pairs.select("a", "b").distinct()
