@@ -39,6 +39,13 @@ def stage(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Lets Spark hand rows to Python ``rows`` at a time, unless the session says otherwise than its default of 10000: texts and sets
+    of that many rows would be held several times over, on both sides."""
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
+
+
 def made() -> int:
     """How many tables have been staged so far."""
     return len(_MADE)

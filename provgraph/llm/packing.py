@@ -33,11 +33,14 @@ class ChunkTokenizer:
     """Token ids of whole texts, put together from those of white-space-free chunks, which are remembered.
 
     The tokenizer collapses white space to a blank that no token holds, and neither its case mapping nor its
-    composition of accents reaches across one, so chunks between ASCII white space are independent. It maps letters to lower
-    case anyway, so A-Z are mapped at once; and a full stop or comma after an ASCII letter ends a chunk as a token of its own.
+    composition of accents reaches across one, so chunks between ASCII white space are independent. At about ``most`` bytes the
+    memory of chunks starts anew. The tokenizer maps letters to lower case anyway, so A-Z are mapped at once; and a full stop or comma
+    after an ASCII letter ends a chunk as a token of its own.
     """
 
-    def __init__(self, path: str, most: int = 2_000_000):
+    ENTRY = 200  # bytes that the tables hold for a chunk besides its own and its ids
+
+    def __init__(self, path: str, most: int = 64 << 20):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -47,8 +50,8 @@ class ChunkTokenizer:
 
     def forget(self) -> None:
         self.place: dict[bytes, int] = {}
-        self.ids, self.start, self.size = np.zeros(1 << 20, np.uint32), np.zeros(1 << 18, np.int64), np.zeros(1 << 18, np.int64)
-        self.used = 0
+        self.ids, self.start, self.size = np.zeros(1 << 18, np.uint32), np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64)
+        self.used = self.bytes = 0
 
     def _learn(self, new: set[bytes]) -> None:
         stopped = [c for c in new if c[-1] in b".," and len(c) > 1 and 97 <= c[-2] <= 122]
@@ -68,6 +71,7 @@ class ChunkTokenizer:
                 step = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
                 self.ids[np.repeat(to, many) + step] = self.ids[np.repeat(self.start[part], many) + step]
             self.place.update(zip(stopped, range(n, n + len(stopped)), strict=True))
+            self.bytes += sum(map(len, stopped)) + self.ENTRY * len(stopped) + 4 * total
             self.used += total
 
     def _make_room(self, ids: int, entries: int) -> None:
@@ -86,13 +90,14 @@ class ChunkTokenizer:
         self.start[n : n + len(new)] = self.used + np.cumsum(size) - size
         self.size[n : n + len(new)] = size
         self.place.update(zip(new, range(n, n + len(new)), strict=True))
+        self.bytes += sum(map(len, new)) + self.ENTRY * len(new) + 4 * len(flat)
         self.used += len(flat)
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and where each text's begin (one more entry for the end)."""
         chunks = [t.lower().split() for t in texts]
         flat = list(chain.from_iterable(chunks))
-        if len(self.place) > self.most:
+        if self.bytes > self.most:
             self.forget()
         at = np.fromiter(map(self.place.get, flat, repeat(-1)), np.int64, len(flat))
         if len(missing := np.flatnonzero(at < 0)):

@@ -4,15 +4,17 @@ from __future__ import annotations
 
 import os
 from collections.abc import Callable
+from functools import wraps
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provgraph.llm import chat_format, decontaminate, exact_dedup, language_id, line_dedup, ngram_join, packing, pii, substring_dedup, token_counts
-from provgraph.llm.common import table
+from provgraph.llm.common import small_batches, table
 
 #: Folder of the public tokenizers' files; a parameter, as the files are never copied.
-TOKENIZERS = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
+TOKENIZERS = os.environ.get("TOKENIZER_DIR") or os.path.dirname(public_tokenizers.path("word_bpe_49k.json"))
 #: Fixed value: the pre-token pattern that belongs to the byte-level vocabulary.
 BYTE_PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
@@ -61,7 +63,17 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.digest(chat_format.read_back(chat_format.render(chat_format.fold(chat_format.as_events(rows)))))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_language_id, op2_exact_dedup, op3_line_dedup, op4_best_fit_packing, op5_personal_data, op6_ngram_jaccard_join, op7_token_counts, op8_decontamination, op9_substring_dedup, op10_chat_format)}
+def _registered(query: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
+    @wraps(query)
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        small_batches(spark)
+        return query(spark, sf_dir)
+
+    return run
+
+
+_ALL = (op1_language_id, op2_exact_dedup, op3_line_dedup, op4_best_fit_packing, op5_personal_data, op6_ngram_jaccard_join, op7_token_counts, op8_decontamination, op9_substring_dedup, op10_chat_format)
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: _registered(f) for f in _ALL}
 
 _WORDS = r"[^\x20\x09-\x0D]+"
 _LOWERED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
