@@ -11,14 +11,15 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.llm.wordkernel import batches, window_arrays
+from provgraph.llm.common import stage
+from provgraph.llm.wordkernel import batches, distinct, window_arrays
 
 RATIO = 1.5
 
@@ -28,7 +29,7 @@ class ItemIndex:
 
     def __init__(self, ids: list[int], texts: list[str], k: int, percent: int, miss: float, seed: int = 11):
         h, begin, _, _ = window_arrays([(t or "").encode() for t in texts], k, True, True)
-        sets = [np.unique(h[a:b]) for a, b in zip(begin[:-1], begin[1:], strict=True)]
+        sets = [distinct(h[a:b]) for a, b in zip(begin[:-1], begin[1:], strict=True)]
         self.items = [(i, s) for i, s in zip(ids, sets, strict=True) if len(s)]
         self.k, self.percent = k, percent
         sizes = np.array([len(s) for _, s in self.items], np.int64)
@@ -100,7 +101,7 @@ def _hits(index: ItemIndex, texts: list[bytes]) -> list[list[tuple[int | None, i
         if begin[doc] == begin[doc + 1]:
             continue
         if doc not in sets:
-            sets[doc] = np.unique(h[begin[doc] : begin[doc + 1]])
+            sets[doc] = distinct(h[begin[doc] : begin[doc + 1]])
         own, (name, want) = sets[doc], index.items[item]
         n = int((own[np.minimum(np.searchsorted(own, want), len(own) - 1)] == want).sum())
         if 100 * n >= index.percent * len(want):
@@ -108,26 +109,35 @@ def _hits(index: ItemIndex, texts: list[bytes]) -> list[list[tuple[int | None, i
     return hits
 
 
-def _indexes(df: DataFrame, items: DataFrame, k: int, percent: int, miss: float, item_id: str, item_text: str, block: int) -> Iterator:
-    """Broadcast indexes of the items, ``block`` at a time; one at least."""
+def _indexes(df: DataFrame, items: DataFrame, k: int, percent: int, miss: float, item_id: str, item_text: str, block: int) -> Iterator[tuple[Broadcast, bool]]:
+    """Broadcast indexes of the items, ``block`` at a time, one at least, and whether it is the only one. Each is destroyed when the next is asked for."""
     held: list = []
-    rows, none = items.select(F.col(item_id).cast("long").alias("i"), F.col(item_text).alias("t")), True
-    for r in chain(rows.toLocalIterator(), [None]):
-        held += [r] if r is not None else []
-        if len(held) == block or r is None and (held or none):
-            yield df.sparkSession.sparkContext.broadcast(ItemIndex([x["i"] for x in held], [x["t"] for x in held], k, percent, miss))
-            held, none = [], False
+    rows, before = items.select(F.col(item_id).cast("long").alias("i"), F.col(item_text).alias("t")).toLocalIterator(), None
+
+    def send(own: list) -> Broadcast:
+        return df.sparkSession.sparkContext.broadcast(ItemIndex([x["i"] for x in own], [x["t"] for x in own], k, percent, miss))
+
+    for r in rows:
+        if len(held) == block:
+            before = send(held)
+            yield before, False
+            before.destroy()
+            held = []
+        held.append(r)
+    yield send(held), before is None
 
 
 def drop_contaminated(df: DataFrame, items: DataFrame, k: int = 5, percent: int = 75, miss: float = 1e-6, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", block: int = 20_000) -> DataFrame:
-    """The rows of ``df`` that hold no item, as find_items() says."""
-    for shared in _indexes(df, items, k, percent, miss, item_id, item_text, block):
+    """The rows of ``df`` that hold no item, as find_items() says. With several blocks of items the rows left are written after each, so
+    that one index at a time is in memory."""
+    for shared, only in _indexes(df, items, k, percent, miss, item_id, item_text, block):
 
         def run(it: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             for b, texts in batches(it, text_col):
                 yield b.filter(pa.array([not x for x in _hits(shared.value, texts)]))
 
         df = df.mapInArrow(run, df.schema)
+        df = df if only else stage(df, "clean")
     return df
 
 
@@ -137,28 +147,28 @@ def find_items(df: DataFrame, items: DataFrame, k: int = 5, percent: int = 75, m
     An item is in a text if at least ``percent`` of its distinct k-word shingles are; words are lower-cased A-Z and a text with
     fewer than k words is one shingle. Items without words are in nothing. ``item_ids``: ascending, null ones
     left out; ``n_items`` counts all. ``best_percent``: the largest containment found among these, floored. Null text is empty.
-    Items are taken in blocks of ``block`` against all rows; with no item nothing is contaminated. Equal item
+    Items are taken in blocks of ``block`` against all rows, one index at a time; with no item nothing is contaminated. Equal item
     rows count each. Clashing names in other columns do not matter: only the named ones are read.
     """
     kind = df.schema[id_col].dataType.simpleString()
-    docs, out = df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")), []
-    for shared in _indexes(df, items, k, percent, miss, item_id, item_text, block):
+    docs, found = df.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")), None
+    for shared, only in _indexes(df, items, k, percent, miss, item_id, item_text, block):
+        if not only and found is None:  # rows need a name that all blocks agree on
+            docs = stage(docs.withColumn("u", F.monotonically_increasing_id()), "rows")
+        name = docs.columns[-1] if not only else "i"
 
-        def run(it: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+        def run(it: Iterator[pa.RecordBatch], shared=shared, name=name, only=only) -> Iterator[pa.RecordBatch]:
             for b, texts in batches(it, "t"):
                 hits = _hits(shared.value, texts)
-                yield pa.RecordBatch.from_arrays(
-                    [b.column("i"), pa.array([len(x) for x in hits], pa.int64()), pa.array([sorted(i for i, _ in x if i is not None) for x in hits], pa.list_(pa.int64())), pa.array([max((p for _, p in x), default=0) for x in hits], pa.int64())],
-                    ["id", "n", "ids", "best"],
-                )
-
-        out.append(docs.mapInArrow(run, f"id {kind}, n long, ids array<long>, best long"))
-    if len(out) > 1:  # each row's findings from all blocks of items
-        uid = [x.withColumn("u", F.monotonically_increasing_id()) for x in out]
-        all_ = uid[0]
-        for x in uid[1:]:
-            all_ = all_.unionByName(x)
-        got = all_.groupBy("u").agg(F.first("id").alias("id"), F.sum("n").alias("n"), F.array_sort(F.flatten(F.collect_list("ids"))).alias("ids"), F.max("best").alias("best"))
-    else:
-        got = out[0]
+                cols = [b.column(name), pa.array([len(x) for x in hits], pa.int64()), pa.array([sorted(i for i, _ in x if i is not None) for x in hits], pa.list_(pa.int64())), pa.array([max((p for _, p in x), default=0) for x in hits], pa.int64())]
+                yield pa.RecordBatch.from_arrays(cols if only else [c.filter(pa.array([bool(x) for x in hits])) for c in cols], ["id", "n", "ids", "best"])
+
+        got = docs.mapInArrow(run, f"id {kind if only else 'long'}, n long, ids array<long>, best long")
+        if only:
+            break
+        found = stage(got, "items") if found is None else found.union(stage(got, "items"))
+    if found is not None:  # each row's findings from all blocks of items
+        sums = found.groupBy("id").agg(F.sum("n").alias("n"), F.array_sort(F.flatten(F.collect_list("ids"))).alias("ids"), F.max("best").alias("best"))
+        got = docs.select("i", "u").join(sums.withColumnRenamed("id", "u"), "u", "left")
+        got = got.select(F.col("i").alias("id"), F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("ids", F.array().cast("array<bigint>")).alias("ids"), F.coalesce("best", F.lit(0)).alias("best"))
     return got.select(F.col("id").alias(id_col), (F.col("n") > 0).alias("contaminated"), F.col("n").alias("n_items"), F.array_join("ids", ",").alias("item_ids"), F.col("best").alias("best_percent"))
