@@ -11,15 +11,17 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from provgraph.llm.wordkernel import batches
 
-OTHER = 1  # code of a character outside the alphabet; 0: between words
+OTHERS = 8  # codes 1 to 8: letters outside the alphabet, by blocks of 128 code points; 0: between words
+_KNOWN = 0x30000  # code points below this are told apart
 
 
 @dataclass
@@ -36,16 +38,17 @@ def _codes(text: str, lut: np.ndarray) -> np.ndarray:
     return lut[np.minimum(c, len(lut) - 1)]
 
 
+@cache
 def _lut(alphabet: str) -> np.ndarray:
-    lut = np.full(0x3000, OTHER, np.int32)
-    for i in range(0x3000):
-        if not chr(i).isalpha():
-            lut[i] = 0
+    lut = np.zeros(_KNOWN + 1, np.int32)
+    for i in range(_KNOWN):
+        if chr(i).isalpha():
+            lut[i] = 1 + (i >> 7) * 5 % OTHERS
     for i, ch in enumerate(alphabet):
         for x in {ch, ch.upper()}:
-            if len(x) == 1 and ord(x) < len(lut) - 1:
-                lut[ord(x)] = i + 2
-    lut[-1] = OTHER  # all higher code points
+            if len(x) == 1 and ord(x) < _KNOWN:
+                lut[ord(x)] = i + 1 + OTHERS
+    lut[-1] = 1  # all higher code points
     return lut
 
 
@@ -85,30 +88,37 @@ def _presence(cells: list[np.ndarray], place: np.ndarray, columns: int) -> np.nd
 
 
 def sample(df: DataFrame, label_col: str, text_col: str, id_col: str, per_label: int, most: int) -> list[tuple[str, str]]:
-    """At most ``per_label`` (and in all ``most``) labelled rows, those with the least hash of their identifier and text length."""
-    have = df.filter(F.col(label_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(label_col).alias("y"), F.col(text_col).alias("t"), F.col(id_col).alias("i"))
-    counts = {r["y"]: r["n"] for r in have.groupBy("y").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "y").limit(most).collect()}
+    """At most ``per_label`` (and in all ``most``) different labelled rows, those with the least hash of identifier and text.
+
+    Rows that agree in these count once, however often they come, so that no more than ``most`` reach the driver.
+    """
+    have = df.filter(F.col(label_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(label_col).alias("y"), F.col(text_col).alias("t"), F.xxhash64(id_col, text_col).alias("h"))
+    counts = {r["y"]: r["n"] for r in have.groupBy("y").agg(F.approx_count_distinct("h").alias("n")).orderBy(F.desc("n"), "y").limit(most).collect()}
     if not counts:
         return []
     want = max(1, min(per_label, most // len(counts)))
-    share = F.create_map(*(x for y, n in counts.items() for x in (F.lit(y), F.lit(min(1.0, 1.5 * (want + 10) / n)))))
-    draw = F.pmod(F.xxhash64("i"), F.lit(1 << 40)) / F.lit(float(1 << 40))
-    got: dict[str, list] = {}
-    for r in have.filter(draw < F.coalesce(F.element_at(share, F.col("y")), F.lit(0.0))).select("y", "t", F.xxhash64("i").alias("h")).collect():
-        got.setdefault(r["y"], []).append((r["h"], r["t"]))
-    return [(y, t) for y in sorted(got) for _, t in sorted(got[y])[:want]]
+    # half as many again as wanted, and as the count may be wrong by; the rank then cuts
+    share = F.create_map(*(x for y, n in counts.items() for x in (F.lit(y), F.lit(min(1.0, 1.8 * (want + 20) / max(n, 1))))))
+    draw = F.pmod("h", F.lit(1 << 40)) / F.lit(float(1 << 40))
+    drawn = have.filter(draw < F.coalesce(F.element_at(share, F.col("y")), F.lit(0.0))).groupBy("y", "h").agg(F.first("t").alias("t"))
+    turn = F.row_number().over(Window.partitionBy("y").orderBy("h"))
+    got = drawn.withColumn("turn", turn).filter(F.col("turn") <= want).collect()
+    return [(r["y"], r["t"]) for r in sorted(got, key=lambda r: (r["y"], r["h"]))]
 
 
-def fit(rows: list[tuple[str, str]], orders: int = 3, landmarks: int = 400, ridge: float = 1e-2, letters: int = 62) -> KernelModel:
-    """``rows``: (label, text). Landmarks are taken evenly from the labels' rows."""
+def fit(rows: list[tuple[str, str]], orders: int = 3, landmarks: int = 400, ridge: float = 1e-2, letters: int = 55) -> KernelModel:
+    """``rows``: (label, text). Landmarks are taken evenly from the labels' rows.
+
+    The ``letters`` that most rows have are told apart; further ones, as those of large scripts, by their blocks of code points alone.
+    """
     labels = sorted({y for y, _ in rows})
     seen: dict[str, int] = {}
     for _, t in rows:
         for ch in set(t.lower()):
-            if ch.isalpha() and ord(ch) < 0x2FFF:
+            if ch.isalpha() and ord(ch) < _KNOWN:
                 seen[ch] = seen.get(ch, 0) + 1
     alphabet = "".join(sorted(sorted(seen, key=lambda ch: (-seen[ch], ch))[:letters]))
-    size = len(alphabet) + 2
+    size = len(alphabet) + 1 + OTHERS
     if not labels:
         return KernelModel("", [], np.zeros(0, np.int64), np.zeros((0, 0), np.float32), orders)
     lut, width = _lut(alphabet), _width(size, orders)
@@ -135,7 +145,7 @@ def fit(rows: list[tuple[str, str]], orders: int = 3, landmarks: int = 400, ridg
 
 def predict(texts: list[str | None], model: KernelModel, block: int = 64) -> list[tuple[str, float]]:
     """(label or 'und', score in [0, 1]) of each text; the score is the winner's share after a softmax of the regressions."""
-    lut, size = _lut(model.alphabet), len(model.alphabet) + 2
+    lut, size = _lut(model.alphabet), len(model.alphabet) + 1 + OTHERS
     width = _width(size, model.orders)
     mark, place, out = np.zeros(width, np.uint8), _places(model.cells, width), []
     for a in range(0, len(texts), block):
@@ -144,7 +154,7 @@ def predict(texts: list[str | None], model: KernelModel, block: int = 64) -> lis
         for i, t in enumerate(part):
             if t:
                 codes = _codes(t, lut)
-                known[i] = bool(codes.any()) and (codes.max() > OTHER or any(ch.isalpha() for ch in t))
+                known[i] = bool(codes.any()) and (codes.max() > 1 or any(ch.isalpha() for ch in t))
                 cells[i] = _cells(codes, size, model.orders, mark)
         if not model.labels:
             out += [("und", 0.0)] * len(part)

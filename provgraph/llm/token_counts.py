@@ -11,7 +11,6 @@ from __future__ import annotations
 
 import base64
 import re
-from bisect import bisect_right
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
