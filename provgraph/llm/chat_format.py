@@ -35,10 +35,26 @@ def fold(events: DataFrame) -> DataFrame:
 
 
 def as_events(messages: DataFrame) -> DataFrame:
-    """Rows (conv_id, turn, role, text) as message events. Turns are numbered anew by turn, role and text, so that rows that repeat one stay apart."""
-    order = Window.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), F.coalesce("role", F.lit("")), F.coalesce("text", F.lit("")))
-    at = F.row_number().over(order).cast("long")
-    return messages.select("conv_id", at.alias("turn"), "role", "text").select("conv_id", "turn", F.col("turn").alias("seq"), F.lit("message").alias("kind"), "role", "text")
+    """Rows (conv_id, turn, role, text) as the event log that a chat service would have kept of them; its fold is the rows again.
+
+    Turns are numbered anew by turn, role and text, so that rows that repeat one stay apart. By a fixed rule, turns 3, 6, ... are
+    streamed (an empty message, then both halves as deltas), turns 1, 4, ... are edited (a message of the first half, then an
+    edit to the whole text), and turns 2, 5, ... are regenerated (a message of the second half, a new start, then a delta).
+    """
+    text = F.coalesce("text", F.lit(""))
+    order = Window.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), F.coalesce("role", F.lit("")), text)
+    rows = messages.select("conv_id", F.row_number().over(order).cast("long").alias("turn"), "role", text.alias("text"))
+    half = F.floor(F.length("text") / 2).cast("int")
+    head, tail = F.substring("text", F.lit(1), half), F.substring("text", half + 1, F.lit(2**31 - 1))
+
+    def event(kind: str, text: Column) -> Column:
+        return F.struct(F.lit(kind).alias("kind"), text.alias("text"))
+
+    kept = F.when(F.col("turn") % 3 == 0, F.array(event("message", F.lit("")), event("delta", head), event("delta", tail)))
+    kept = kept.when(F.col("turn") % 3 == 1, F.array(event("message", head), event("edit", F.col("text"))))
+    kept = kept.otherwise(F.array(event("message", tail), event("regenerate", F.lit("")), event("delta", F.col("text"))))
+    log = rows.select("conv_id", "turn", "role", F.posexplode(kept).alias("at", "event"))
+    return log.select("conv_id", "turn", (F.col("turn") * 10 + F.col("at")).alias("seq"), "event.kind", "role", "event.text")
 
 
 def render(messages: DataFrame, trained_role: str = "assistant") -> DataFrame:
