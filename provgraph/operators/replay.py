@@ -10,7 +10,7 @@ from provgraph.operators import isomorph, reach, temporal
 from provgraph.operators import content as store
 from provgraph.plans.choose import broadcast_if_small
 from provgraph.plans.iterate import materialize
-from provgraph.schema import ACTIVITY, ENTITY, GENERATED, INFORMED, USED, ProvGraph, edges_of
+from provgraph.schema import ACTIVITY, GENERATED, INFORMED, USED, ProvGraph, edges_of
 
 
 def select(g: ProvGraph, pids: list[int] | None = None, paths: list[str] | None = None, ids: list[str] | None = None) -> DataFrame:
