@@ -80,8 +80,8 @@ def rarity(docs: DataFrame, shards: int = 16) -> np.ndarray:
 
 
 def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
-    """(i, line, node, n, w0 to w3, prefix) of each line with words; the prefix, as 32-bit hashes, only where a task sees
-    the class first, else empty. w0 to w3 have one of 256 bits set for each word."""
+    """(i, line, node, n, w0 to w3, prefix) of each line with words; the size, the bitmap and the prefix, as 32-bit hashes, only where a
+    task sees the class first, else null and empty. w0 to w3 have one of 256 bits set for each word."""
     shared = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -102,7 +102,7 @@ def classes(docs: DataFrame, counts: np.ndarray, percent: int) -> DataFrame:
             place = x.words & _U64(255)
             wide = [np.bitwise_or.reduceat(np.where(place >> _U64(6) == _U64(k), _U64(1) << (place & _U64(63)), _U64(0)), x.begin).view(np.int64) for k in range(4)]
             prefix = pa.Array.from_buffers(pa.binary(), len(p), [None, pa.py_buffer(offsets), pa.py_buffer((x.words[at] >> _U64(32)).astype(np.uint32).tobytes())])
-            yield pa.RecordBatch.from_arrays([b.column("i").take(pa.array(x.text)), pa.array(x.number, pa.int32()), pa.array(x.node, pa.int64()), pa.array(x.size, pa.int32()), *(pa.array(w, pa.int64()) for w in wide), prefix], ["i", "line", "node", "n", "w0", "w1", "w2", "w3", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column("i").take(pa.array(x.text)), pa.array(x.number, pa.int32()), pa.array(x.node, pa.int64()), pa.array(x.size, pa.int32(), mask=~new), *(pa.array(w, pa.int64(), mask=~new) for w in wide), prefix], ["i", "line", "node", "n", "w0", "w1", "w2", "w3", "prefix"])
 
     kind = docs.schema["i"].dataType.simpleString()
     return docs.select("i", "t").mapInArrow(run, f"i {kind}, line int, node long, n int, w0 long, w1 long, w2 long, w3 long, prefix binary")
@@ -125,14 +125,17 @@ def blocks(lines: DataFrame, bits: int, percent: int) -> DataFrame:
 
     def meet(t: pa.Table) -> pa.Table:
         low, node, n, at = _column(t, "low", np.uint32), _column(t, "c0", np.int64), _column(t, "c1", np.int32), _column(t, "c2", np.uint16)
-        flags = np.stack([_column(t, "c3", np.int64), _column(t, "c4", np.int64)], 1)
-        order = np.lexsort((node, n, low))
+        flags = [_column(t, "c3", np.int64), _column(t, "c4", np.int64)]
+        if len(n) and n.max() < 1 << 16:  # by block, size and class in one number; two classes that share 16 bits may leave a repeated one, which meets itself in vain
+            order = np.argsort(low.astype(_U64) << _U64(32) | n.astype(_U64) << _U64(16) | node.view(_U64) & _U64(0xFFFF))
+        else:
+            order = np.lexsort((node, n, low))
         keep = order[np.concatenate(([True], (low[order][1:] != low[order][:-1]) | (node[order][1:] != node[order][:-1])))] if len(low) else order
-        low, node, n, at, flags = low[keep], node[keep], n[keep].astype(np.int64), at[keep], flags[keep]
+        low, node, n, at, flags = low[keep], node[keep], n[keep].astype(np.int64), at[keep], [f[keep] for f in flags]
         part, piece = place_of(t)
         split = np.isin(low, low[n == 0]) | piece  # others of these blocks are elsewhere: none is ruled out here
         keep = (_feasible(low, n, at, percent, 256, flags) | split) & (n > 0)
-        low, node, n, at, flags = low[keep], node[keep], n[keep], at[keep], flags[keep]
+        low, node, n, at = low[keep], node[keep], n[keep], at[keep]
         same = (low[1:] == low[:-1]) & (100 * n[:-1] >= percent * n[1:])
         near = np.flatnonzero(same)
         token = low.astype(np.int64) | part << 32
@@ -161,7 +164,7 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int, bits: int, most: in
 
     def join(t: pa.Table) -> pa.Table:
         token, block, side, node, n, at, line, open_ = (t.column(c).to_numpy() for c in ("token", "block", "side", "node", "n", "at", "line", "open"))
-        flags = np.stack([t.column(f"w{k}").to_numpy() for k in range(4)], 1)
+        flags = [t.column(f"w{k}").to_numpy() for k in range(4)]
         raw = t.column("head").to_pylist()
         known = np.array([len(x) // 4 for x in raw])[:, None] > np.arange(HEAD)
         head = np.frombuffer(b"".join(x.ljust(4 * HEAD, b"\0") for x in raw), np.uint32).astype(_U64)
@@ -180,7 +183,7 @@ def earlier_pairs(held: DataFrame, tasks: int, percent: int, bits: int, most: in
             least = need(n[p], n[q], percent)
             ok = (np.minimum(n[p] - at[p], n[q] - at[q]) >= least) & ((n[p] != n[q]) | (least < n[p]))
             p, q, least = p[ok], q[ok], least[ok]
-            common = n[p].astype(np.int64) + n[q] - differing(flags[p], flags[q])
+            common = n[p].astype(np.int64) + n[q] - differing(flags, p, q)
             ok = common >= 2 * least
             p, q, spare = p[ok], q[ok], (common - 2 * least)[ok]
             ok = first_common(p, q, head, at, token)

@@ -180,12 +180,15 @@ def signatures(docs: DataFrame, hot: np.ndarray, k: int, percent: int, bits: int
     return docs.mapInArrow(run, f"id {kind}, key long, n int, node long, prefix binary, vec binary, head binary")
 
 
-def differing(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """In how many bits rows of 64-bit numbers differ."""
-    return np.bitwise_count((x ^ y).view(np.uint64)).sum(1, dtype=np.int64)
+def differing(flags: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """In how many bits the bitmaps of the pairs differ; a bitmap is a 64-bit number of each of ``flags``."""
+    total = np.zeros(len(x), np.uint16)
+    for f in flags:
+        total += np.bitwise_count((f[x] ^ f[y]).view(np.uint64))
+    return total.astype(np.int64)
 
 
-def _feasible(low: np.ndarray, n: np.ndarray, at: np.ndarray | None, percent: int, most: int = 64, flags: np.ndarray | None = None) -> np.ndarray:
+def _feasible(low: np.ndarray, n: np.ndarray, at: np.ndarray | None, percent: int, most: int = 64, flags: list[np.ndarray] | None = None) -> np.ndarray:
     """Which postings (sorted by token) have a partner in their block by size and, if given, position.
 
     What follows the first common element is all that two sets can share besides it, so a pair may be left to the block of
@@ -199,11 +202,14 @@ def _feasible(low: np.ndarray, n: np.ndarray, at: np.ndarray | None, percent: in
         ok = 100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y])
         x, y = x[ok], y[ok]
         least = need(n[x], n[y], percent)
-        ok = np.ones(len(x), bool) if at is None else np.minimum(n[x] - at[x], n[y] - at[y]) >= least
+        if at is not None:
+            ok = np.minimum(n[x] - at[x], n[y] - at[y]) >= least
+            x, y, least = x[ok], y[ok], least[ok]
         if flags is not None:  # bitmaps that differ in d bits belong to sets that differ in d elements at least
-            ok &= n[x] + n[y] - differing(flags[x], flags[y]) >= 2 * least
-        keep[x[ok]] = True
-        keep[y[ok]] = True
+            ok = n[x] + n[y] - differing(flags, x, y) >= 2 * least
+            x, y = x[ok], y[ok]
+        keep[x] = True
+        keep[y] = True
 
     small = np.flatnonzero((size > 1) & (size <= most))
     weight = np.cumsum(size[small].astype(np.int64) ** 2) // 200_000
