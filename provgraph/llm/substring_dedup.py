@@ -300,7 +300,7 @@ def remove_repeats(df: DataFrame, window: int = 13, id_col: str = "doc_id", text
     """
     kind = df.schema[id_col].dataType.simpleString()
     docs = df.select(whole_id(df, id_col).alias("i"), F.col(text_col).alias("t"))
-    bits = part_bits(df.count(), 4_000)
+    bits = part_bits(df.count(), 16_000)
     base = stage(candidates(docs, shared_anchors(docs, window, bits), window, bits), "candidates")
     held = base.filter("passages is not null").select("i", "passages")
     needs = recurring(held, window, bits).groupBy(F.col("id").alias("i")).agg(F.collect_list("keys").alias("keys"), F.collect_list("owners").alias("owners"))
