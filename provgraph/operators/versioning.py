@@ -20,6 +20,11 @@ def hazard_counts(g: ProvGraph) -> DataFrame:
     """(run_id, file, n): the number of hazards of each file, by one sorted pass and without pairs."""
     r = g.edges.filter(F.col("label") == USED).groupBy("run_id", F.col("dst").alias("file"), F.col("src").alias("p")).agg(F.min("t_begin").alias("t"))
     w = g.edges.filter(F.col("label") == GENERATED).groupBy("run_id", F.col("src").alias("file"), F.col("dst").alias("p")).agg(F.max("t_begin").alias("t"))
+    return counts_of(r, w)
+
+
+def counts_of(r: DataFrame, w: DataFrame) -> DataFrame:
+    """The same from first reads and last writes (run_id, file, p, t), one row per process and file in each."""
     both = r.withColumn("write", F.lit(0)).unionByName(w.withColumn("write", F.lit(1)))
     after = Window.partitionBy("run_id", "file").orderBy(F.col("t").desc()).rangeBetween(Window.unboundedPreceding, Window.currentRow)
     later = F.sum("write").over(after) - F.sum("write").over(Window.partitionBy("run_id", "file", "t"))
