@@ -9,11 +9,33 @@ from provgraph.operators import reach
 from provgraph.schema import ENTITY, GENERATED, INFORMED, USED, ProvGraph, edges_of
 
 
+#: Readers or writers of a file that meet in one task as a group, writers in one array, and tasks that make pairs for each shuffle partition.
+GROUP, ARRAY, SPREAD = 4096, 512, 4
+
+
 def hazards(g: ProvGraph) -> DataFrame:
-    """(run_id, reader, file, writer): ``writer`` last begins a write of ``file`` after ``reader`` first began to read it."""
-    r = g.edges.filter(F.col("label") == USED).groupBy("run_id", F.col("dst").alias("file"), F.col("src").alias("reader")).agg(F.min("t_begin").alias("r"))
-    w = g.edges.filter(F.col("label") == GENERATED).groupBy("run_id", F.col("src").alias("file"), F.col("dst").alias("writer")).agg(F.max("t_begin").alias("w"))
-    return r.join(w, ["run_id", "file"]).filter("reader <> writer and w > r").select("run_id", "reader", "file", "writer")
+    """(run_id, reader, file, writer): ``writer`` last begins a write of ``file`` after ``reader`` first began to read it.
+
+    One sort of each file numbers its writers from the latest on and tells each reader how many of them are later: those with the
+    lowest numbers. Groups of readers meet groups of writers, so that many tasks make the pairs of one file; writers travel in arrays.
+    """
+    used, parts = F.col("label") == USED, SPREAD * int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    acc = g.edges.filter(F.col("label").isin(USED, GENERATED)).select("run_id", F.when(used, F.col("dst")).otherwise(F.col("src")).alias("file"), F.when(used, F.col("src")).otherwise(F.col("dst")).alias("p"), (~used).cast("int").alias("write"), "t_begin")
+    acc = acc.groupBy("run_id", "file", "p", "write").agg(F.when(F.col("write") == 0, F.min("t_begin")).otherwise(F.max("t_begin")).alias("t")).dropna()
+    order = Window.partitionBy("run_id", "file").orderBy("t", F.col("write").desc(), "p")  # of one time, writes come first: they are not later
+    seen, whole = order.rowsBetween(Window.unboundedPreceding, 0), order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    # later: the writers after a row, which is a writer's number; earlier: the readers up to it, which is a reader's number
+    acc = acc.select("run_id", "file", "p", "write", (F.sum("write").over(whole) - F.sum("write").over(seen)).alias("later"), F.sum(1 - F.col("write")).over(seen).alias("earlier"))
+    group = lambda n: F.floor(n / GROUP).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), group(n - 1)))
+    readers = acc.filter("write = 0 and later > 0").select("run_id", "file", group(F.col("earlier") - 1).alias("rs"), every(F.col("later")).alias("ws"), F.col("p").alias("reader"), "later")
+    named = F.transform(F.array_sort(F.collect_list(F.struct("later", "p"))), lambda x: x["p"])
+    arrays = acc.filter("write = 1 and earlier > 0").groupBy("run_id", "file", F.floor(F.col("later") / ARRAY).alias("k")).agg(F.max("earlier").alias("earlier"), F.min("later").alias("first"), named.alias("writers"))
+    arrays = arrays.select("run_id", "file", every(F.col("earlier")).alias("rs"), group(F.col("first")).alias("ws"), "first", "writers")
+    keys = ["run_id", "file", "rs", "ws"]
+    met = readers.repartition(parts, *keys).join(arrays.repartition(parts, *keys), keys).filter("first < later")
+    pairs = met.select("run_id", "reader", "file", (F.col("later") - F.col("first")).alias("most"), F.posexplode("writers").alias("i", "writer"))
+    return pairs.filter("i < most and reader <> writer").select("run_id", "reader", "file", "writer")
 
 
 def hazard_counts(g: ProvGraph) -> DataFrame:
