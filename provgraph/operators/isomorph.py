@@ -7,6 +7,7 @@ colours by a join, interchangeable twins by rank, and only what is left by a bou
 
 from __future__ import annotations
 
+import math
 from collections import Counter, defaultdict
 
 import pyarrow as pa
@@ -16,9 +17,11 @@ from pyspark.sql import functions as F
 from provgraph.functions.hashing import colour, multiset
 from provgraph.operators import grouping, runwise
 from provgraph.plans.choose import choose
-from provgraph.plans.iterate import materialize
+from provgraph.plans.iterate import materialize, release
 from provgraph.schema import ProvGraph
 
+SHARE = 24_000_000  # edges
+
 MATCHED, UNMATCHED, UNDECIDED = "matched", "unmatched", "undecided"
 
 
@@ -93,26 +96,56 @@ def verify_many(a: ProvGraph, b: ProvGraph, pairs: DataFrame, mode: str = "exact
     """(run_a, run_b, verdict) of pairs (run_a, run_b) of runs of ``a`` and ``b``.
 
     Two empty runs match only if ``empty_matches``. 'exact' never guesses: a search that passes ``max_steps`` is 'undecided'.
-    'one_hop' compares sums over hashes made run by run where all runs fit a task.
+    'one_hop' compares sums over hashes, made run by run where all runs fit a task, else by shares of the names.
     """
-    if mode == "one_hop" and choose(a) == choose(b) == "run-parallel":
-        return _by_sums(pairs.select("run_a", "run_b").distinct(), runwise.one_hop(a), runwise.one_hop(b), empty_matches)
+    if mode == "one_hop":
+        sums = runwise.one_hop if choose(a) == choose(b) == "run-parallel" else one_hop_by_shares
+        return _by_sums(pairs.select("run_a", "run_b").distinct(), sums(a), sums(b), empty_matches)
     p = pairs.select("run_a", "run_b").distinct().withColumn("pair", F.concat_ws("|", "run_a", "run_b"))
     p = p.join(_sizes(a).select(F.col("run_id").alias("run_a"), F.col("nodes").alias("na"), F.col("edges").alias("ea")), "run_a", "left").join(_sizes(b).select(F.col("run_id").alias("run_b"), F.col("nodes").alias("nb"), F.col("edges").alias("eb")), "run_b", "left")
     p = materialize(p.fillna(0, ["na", "nb", "ea", "eb"]), "pairs")
     fit = p.filter("na = nb and ea = eb and na > 0")
     one = _histogram_equal(node_hashes(a), node_hashes(b), fit)
     good = materialize(fit.join(one.filter("same").select("pair"), "pair", "left_semi"), "pairs")
-    if mode == "exact":
-        good = good.join(_mappings(a, b, good, max_steps).groupBy("pair").agg(F.min("status").alias("status")), "pair", "left")
-    else:
-        good = good.withColumn("status", F.lit(MATCHED))
+    good = good.join(_mappings(a, b, good, max_steps).groupBy("pair").agg(F.min("status").alias("status")), "pair", "left")
     verdict = F.when((F.col("na") == 0) & (F.col("nb") == 0), F.lit(MATCHED if empty_matches else UNMATCHED)).otherwise(F.coalesce("status", F.lit(UNMATCHED)))
     return p.join(good.select("pair", "status"), "pair", "left").select("run_a", "run_b", verdict.alias("verdict"))
 
 
+def one_hop_by_shares(g: ProvGraph) -> DataFrame:
+    """(run_id, nodes, edges, f1, f2) of runs with nodes, as ``runwise.one_hop`` says, for graphs with runs that fit no task.
+
+    Names meet as numbers. One share of them after the other gets the types at its edges' far ends, its hashes, and their sums by run; the
+    shuffles of a share go before the next one is made, so that disk follows ``SHARE`` and the nodes, not all edges at once.
+    """
+    spark = g.nodes.sparkSession
+    name = lambda c: F.when(F.col("run_id").isNotNull() & F.col(c).isNotNull(), F.xxhash64("run_id", c))
+    word = lambda c: F.xxhash64(F.coalesce(F.col(c), F.lit("")))
+    nodes = g.nodes.select("run_id", name("node_id").alias("x"), word("node_type").alias("type"))
+    ends = g.edges.select(name("src").alias("s"), name("dst").alias("d"), word("label").alias("label"))
+    both = F.explode(F.array(F.struct(F.col("s").alias("x"), F.col("d").alias("far")), F.struct(F.col("d").alias("x"), F.col("s").alias("far"))))
+    views = ends.filter("s is not null and d is not null").select("label", both.alias("v")).select("v.x", "v.far", "label")
+    sizes = materialize(g.edges.groupBy("run_id").agg(F.count(F.lit(1)).alias("edges")), "sizes")
+    total = sizes.agg(F.sum("edges")).first()[0] or 1
+    shares = max(math.ceil(total / SHARE), min(4, math.ceil(8 * total / SHARE)))
+    made = None
+    for k in range(shares):
+        share = F.pmod(F.col("x"), F.lit(shares)) == k
+        far = nodes.filter("x is not null").select(F.col("x").alias("far"), "type").hint("shuffle_hash")
+        items = views.filter(share).join(far, "far").groupBy("x", "label", "type").agg(F.count(F.lit(1)).alias("n"))
+        sig = items.groupBy("x").agg(*multiset(F.col("label"), F.col("type"), F.col("n")))
+        own = nodes.filter(share | F.col("x").isNull() if k == 0 else share)
+        parts = [F.col("type"), F.coalesce("m_count", F.lit(0)), *(F.coalesce(c, F.lit(0)).cast("decimal(38,0)") for c in ("m_sum1", "m_sum2"))]
+        sums = own.join(sig, "x", "left").select("run_id", "type", *colour(*parts)).groupBy("run_id").agg(*multiset(F.col("type"), F.col("c1"), F.col("c2")))
+        sums = materialize(sums, "sums")
+        release(spark)
+        made = sums if made is None else made.unionByName(sums)
+    made = made.groupBy("run_id").agg(F.sum("m_count").alias("nodes"), F.sum("m_sum1").alias("f1"), F.sum("m_sum2").alias("f2"))
+    return made.join(sizes, "run_id", "left").select("run_id", "nodes", F.coalesce("edges", F.lit(0)).alias("edges"), "f1", "f2")
+
+
 def _by_sums(pairs: DataFrame, a: DataFrame, b: DataFrame, empty_matches: bool) -> DataFrame:
-    """(run_a, run_b, verdict) of pairs by what ``runwise.one_hop`` says of their runs."""
+    """(run_a, run_b, verdict) of pairs by the sums of their runs."""
     names = ("nodes", "edges", "f1", "f2")
     x, y = (h.select(F.col("run_id").alias(f"run_{s}"), F.struct(*names).alias(s)) for h, s in ((a, "a"), (b, "b")))
     j = pairs.join(x, "run_a", "left").join(y, "run_b", "left")
